@@ -7,8 +7,8 @@
    make first components: what is known of a hub answers for its members.
 4. Prefix filtering: n-grams are ordered by (bucket frequency, hash); sets that reach the similarity share one of
    their first n - ceil(t n) + 1 n-grams. These index entries are cut into blocks by (n-gram, size band); bands
-   further apart than the similarity allows are never joined, and positions bound the overlap still possible.
-   Entries of an n-gram whose classes are all in one component are skipped at once.
+   further apart than the similarity allows are never joined; the number of common n-grams in two prefixes and
+   their positions bound the overlap still possible. Entries of an n-gram whose classes are all in one component are skipped at once.
 5. Remaining pairs are verified on whole sets; components of all links are the result.
 
 The order only steers speed: any common order gives the same links. No candidate is capped. Sets travel only
@@ -164,7 +164,9 @@ def near_components(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     keyed = classes.select("rep", "n", F.posexplode("m").alias("h", "x"))
     hubs = keyed.groupBy("h", "x").agg(F.min("rep").alias("a"), F.min_by("n", "rep").alias("na"), F.count("*").alias("c")).filter("c > 1").drop("c")
     star = keyed.join(hubs, ["h", "x"]).filter("a < rep").filter(f"least(n, na) * 100 >= greatest(n, na) * {percent}")
-    star = stored(star.select("a", F.col("rep").alias("b")).distinct(), "star-pairs")
+    # two common minima are worth a look; a link missed here is found through the index
+    star = star.groupBy("a", F.col("rep").alias("b")).agg(F.count("*").alias("c")).filter("c >= 2").select("a", "b")
+    star = stored(star, "star-pairs")
     first = stored(verified(star, docs, k, percent), "star-links")
     # documents whose rows repeat an id with other texts are joined through that id
     same = live.join(classes.select("f1", "f2", "n", "rep"), ["f1", "f2", "n"]).filter("doc_id <> rep").select(F.col("doc_id"), "rep")
@@ -183,9 +185,19 @@ def near_components(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     left = own.select("g", F.col("id").alias("a"), F.col("c").alias("ca"), F.col("n").alias("na"), F.col("p").alias("pa"), F.explode(F.sequence(F.col("band"), F.col("band") + 2)).alias("band"))
     right = own.select("g", F.col("id").alias("b"), F.col("c").alias("cb"), F.col("n").alias("nb"), F.col("p").alias("pb"), "band")
     least = F.ceil((F.col("na") + F.col("nb")) * percent / (100 + percent) - F.lit(1e-9))
-    met = left.join(right, ["g", "band"]).filter("ca <> cb").filter("na < nb or (na = nb and a < b)")
-    met = met.filter(f"na * 100 >= nb * {percent}").filter(F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) >= least)
-    pairs = stored(met.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "pairs")
+    met = left.join(right, ["g", "band"]).filter("ca <> cb").filter("na < nb or (na = nb and a < b)").filter(f"na * 100 >= nb * {percent}")
+    met = met.groupBy("a", "b").agg(
+        F.count("*").alias("k"), F.first("na").alias("na"), F.first("nb").alias("nb"),
+        F.min("pa").alias("ia"), F.min("pb").alias("ib"), F.max("pa").alias("ja"), F.max("pb").alias("jb"),
+    )
+    # k common n-grams lie in both prefixes; behind the last of them, one prefix is used up before the other
+    cut = lambda n: F.ceil(F.col(n) * percent / 100 - F.lit(1e-9)) - 1
+    more = F.greatest(
+        F.least(cut("na"), F.col("nb") - F.col("jb") - 1),
+        F.least(F.col("na") - F.col("ja") - 1, cut("nb")),
+    )
+    met = met.filter(F.least(F.col("na") - F.col("ia"), F.col("nb") - F.col("ib")) >= least).filter(F.col("k") + more >= least)
+    pairs = stored(met.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), "pairs")
     links = first.unionByName(verified(pairs, docs, k, percent))
     shared = same.groupBy("doc_id").agg(F.countDistinct("rep").alias("k")).filter("k > 1").select("doc_id")
     links = links.unionByName(same.join(shared, "doc_id", "left_semi").select(F.col("doc_id").alias("a"), F.col("rep").alias("b")))
