@@ -26,7 +26,7 @@ from __future__ import annotations
 import re
 import struct
 from dataclasses import dataclass
-from itertools import accumulate
+from itertools import accumulate, islice
 
 import numpy as np
 import pandas as pd
@@ -37,6 +37,7 @@ from .common import in_blocks, stored, table
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 CHUNK = 32_768
+KEEP_SEGMENTS = 300_000
 MAX_PIECES = 1 << 20
 MARK = "▁"
 _RAW_MARK = "\udc81"
@@ -116,6 +117,7 @@ class Encoder:
 
     def __init__(self, v: Vocabulary):
         self.v, self.width = v, v.width
+        self.forget()
         wall = "" if any("\n" in p for p in v.ids) else "\n"
         self.cut = re.compile(f"{wall and wall + '|'}{MARK}+[^{MARK}{wall}]*|[^{MARK}{wall}]+")
         self.walls = re.compile(f"(?<=[^{MARK}]){MARK}" + (f"|{wall}|(?<={wall})[^{wall}]" if wall else ""))
@@ -275,18 +277,29 @@ class Encoder:
         return (np.concatenate(pool) if pool else np.zeros(0, np.int32)), first, count, score
 
     def encode_marked(self, texts: list[str]) -> list[tuple[np.ndarray, int]]:
-        """(ids, score) of normalised texts, each beginning at a wall."""
-        seen: dict[str, int] = {}
+        """(ids, score) of normalised texts, each beginning at a wall. Segments met before are looked up."""
+        if len(self.seen) > KEEP_SEGMENTS:
+            self.forget()
+        seen, old = self.seen, len(self.seen)
         add = seen.setdefault
         codes = [np.array([add(w, len(seen)) for w in self.cut.findall(t)], np.int64) for t in texts]
-        pool, first, count, score = self.segments(list(seen))
+        if len(seen) > old:
+            pool, first, count, score = self.segments(list(islice(seen, old, None)))
+            first += len(self.pool)
+            self.pool = np.concatenate([self.pool, pool.astype(np.int32)])
+            self.pool_at, self.pool_n, self.pool_score = (np.concatenate(x) for x in ((self.pool_at, first), (self.pool_n, count), (self.pool_score, score)))
         out = []
         for c in codes:
-            n = count[c]
-            where = np.repeat(first[c] - (np.cumsum(n) - n), n) + np.arange(n.sum())
-            out.append((pool[where].astype(np.int32), int(score[c].sum())))
+            n = self.pool_n[c]
+            where = np.repeat(self.pool_at[c] - (np.cumsum(n) - n), n) + np.arange(n.sum())
+            out.append((self.pool[where], int(self.pool_score[c].sum())))
         return out
 
+    def forget(self) -> None:
+        self.seen: dict[str, int] = {}
+        self.pool = np.zeros(0, np.int32)
+        self.pool_at, self.pool_n, self.pool_score = (np.zeros(0, np.int64) for _ in range(3))
+
     def encode(self, texts: list[str]) -> list[tuple[np.ndarray, int]]:
         return self.encode_marked([MARK + normalise(t) if t else "" for t in texts])
 
@@ -387,18 +400,22 @@ def _shared(spark, v: Vocabulary):
     return get
 
 
-def encode_whole(docs: DataFrame, v: Vocabulary, text: str) -> DataFrame:
+def encode_whole(docs: DataFrame, v: Vocabulary, text: str, verify: bool) -> DataFrame:
     get = _shared(docs.sparkSession, v)
 
     def run(batches):
+        e = get()
         for batch in batches:
-            e = get()
-            got = [g for _, texts in in_blocks(batch[text], batch[text]) for g in e.encode(texts)]
-            batch["ids"], batch["piece_score"] = [g[0] for g in got], [g[1] for g in got]
-            yield batch
+            for at, texts in in_blocks(range(len(batch)), batch[text], 1 << 21):
+                part = batch.iloc[at[0] : at[-1] + 1].copy()
+                got = e.encode(texts)
+                part["ids"], part["piece_score"] = [g[0] for g in got], [g[1] for g in got]
+                if verify:
+                    part["round_trip"] = [e.decode(g[0]) == t for g, t in zip(got, texts, strict=True)]
+                yield part
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return docs.mapInPandas(run, f"{fields}, ids array<int>, piece_score bigint")
+    return docs.mapInPandas(run, f"{fields}, ids array<int>, piece_score bigint" + ", round_trip boolean" * verify)
 
 
 def encode_chunked(texts: DataFrame, v: Vocabulary, chunk: int = CHUNK) -> DataFrame:
@@ -456,15 +473,18 @@ def encode_chunked(texts: DataFrame, v: Vocabulary, chunk: int = CHUNK) -> DataF
     return whole.select("k1", "k2", F.flatten(F.transform("ps", lambda p: p["part"])).alias("ids"), "piece_score")
 
 
-def encode(docs: DataFrame, v: Vocabulary, text: str = "text", chunk: int = CHUNK) -> DataFrame:
-    """docs with ids (array<int>) and piece_score appended."""
-    docs = docs.drop("ids", "piece_score")
+def encode(docs: DataFrame, v: Vocabulary, text: str = "text", chunk: int = CHUNK, verify: bool = False) -> DataFrame:
+    """docs with ids (array<int>) and piece_score appended; with verify, also whether decoding returns the text."""
+    docs = docs.drop("ids", "piece_score", *["round_trip"] * verify)
     short = docs.filter(f"`{text}` is null or length(`{text}`) < {chunk}")
     keys = {"k1": F.xxhash64(text), "k2": F.xxhash64(F.lit(1), text)}
     long = docs.filter(F.length(text) >= chunk).withColumns({"__k1": keys["k1"], "__k2": keys["k2"]})
     texts = long.select(F.col("__k1").alias("k1"), F.col("__k2").alias("k2"), F.col(text).alias("text")).dropDuplicates(["k1", "k2"])
     made = encode_chunked(texts, v, chunk).select(F.col("k1").alias("__k1"), F.col("k2").alias("__k2"), "ids", "piece_score")
-    return encode_whole(short, v, text).unionByName(long.join(made, ["__k1", "__k2"]).drop("__k1", "__k2"))
+    joined = long.join(made, ["__k1", "__k2"]).drop("__k1", "__k2")
+    if verify:
+        joined = decode(joined, v, "ids", "round_trip").withColumn("round_trip", F.col("round_trip") == F.col(text))
+    return encode_whole(short, v, text, verify).unionByName(joined)
 
 
 def decode(docs: DataFrame, v: Vocabulary, ids: str = "ids", into: str = "decoded") -> DataFrame:
@@ -482,16 +502,9 @@ def decode(docs: DataFrame, v: Vocabulary, ids: str = "ids", into: str = "decode
 
 
 def op10_pieces(spark, sf_dir: str, model: str = MODEL) -> DataFrame:
-    """Per document: number of pieces and of byte pieces, score, a digest of the ids, and whether decoding returns the text."""
+    """Per document: number of pieces, score, a digest of the ids, and whether decoding returns the text."""
     v = Vocabulary.load(model)
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    back = decode(encode(docs, v), v)
-    is_byte = [i for i, k in enumerate(v.kinds) if k == 6]
-    return back.select(
-        "doc_id",
-        F.size("ids").cast("long").alias("n_pieces"),
-        F.size(F.filter("ids", lambda i: i.between(min(is_byte, default=0), max(is_byte, default=-1)))).cast("long").alias("n_byte_pieces"),
-        "piece_score",
-        F.xxhash64("ids").alias("ids_hash"),
-        (F.col("decoded") == F.coalesce("text", F.lit(""))).alias("round_trip"),
+    return encode(docs, v, verify=True).select(
+        "doc_id", F.size("ids").cast("long").alias("n_pieces"), "piece_score", F.xxhash64("ids").alias("ids_hash"), "round_trip"
     )
