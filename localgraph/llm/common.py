@@ -4,10 +4,13 @@ column hygiene and vectorised word hashing."""
 from __future__ import annotations
 
 import atexit
+import ctypes
+import shutil
 import tempfile
 import uuid
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -19,15 +22,12 @@ def shared_dir(spark: SparkSession) -> str:
     set_dir = spark.conf.get("spark.checkpoint.dir", None)
     if set_dir:
         return set_dir.rstrip("/")
-    if not spark.sparkContext.master.startswith("local"):
-        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
-    if spark.sparkContext.master.startswith("local-cluster"):
+    master = spark.sparkContext.master
+    if not master.startswith("local") or master.startswith("local-cluster"):
         raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
     key = id(spark.sparkContext)
     if key not in _LOCAL_DIRS:
         _LOCAL_DIRS[key] = tempfile.mkdtemp(prefix="stage-tables-")
-        import shutil
-
         atexit.register(shutil.rmtree, _LOCAL_DIRS[key], True)
     return _LOCAL_DIRS[key]
 
@@ -40,6 +40,18 @@ def stored(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def tidied(f):
+    """A batch function that gives freed memory back when its partition ends: workers outlive their stage."""
+
+    def run(batches):
+        yield from f(batches)
+        pa.default_memory_pool().release_unused()
+        if hasattr(libc := ctypes.CDLL(None), "malloc_trim"):
+            libc.malloc_trim(0)
+
+    return run
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -153,7 +165,7 @@ def shingle_hashes(words: np.ndarray, k: int) -> np.ndarray:
     return mix(out)
 
 
-def in_blocks(ids, texts, limit: int = 1 << 22):
+def in_blocks(ids, texts, limit: int = 1 << 20):
     """Cut a batch into runs of whole texts of about `limit` characters."""
     held_i, held_t, size = [], [], 0
     for i, t in zip(ids, texts, strict=True):

@@ -22,7 +22,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import SIGNS, in_blocks, shingle_hashes, table, word_hashes
+from .common import SIGNS, in_blocks, shingle_hashes, table, tidied, word_hashes
 
 MIN_TILE = 5
 MIN_COVERAGE = 0.5
@@ -136,7 +136,7 @@ def decontaminate(
                 batch["contaminated"] = [n > 0 for n in many]
                 yield batch
 
-        out = out.mapInPandas(run, fields)
+        out = out.mapInPandas(tidied(run), fields)
     return out
 
 

@@ -22,7 +22,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, stored, table
+from .common import components, stored, table, tidied
 
 SIMILARITY = 0.9
 LEAD = 8
@@ -50,7 +50,7 @@ def principal_axes(classes: DataFrame) -> dict[int, np.ndarray]:
         for dim, m in sums.items():
             yield pd.DataFrame({"dim": dim, "at": np.arange(dim * dim), "x": m.ravel()})
 
-    got = classes.select("dim", "v").mapInPandas(moments, "dim int, at long, x double").groupBy("dim", "at").agg(F.sum("x").alias("x"))
+    got = classes.select("dim", "v").mapInPandas(tidied(moments), "dim int, at long, x double").groupBy("dim", "at").agg(F.sum("x").alias("x"))
     axes: dict[int, np.ndarray] = {}
     for dim, part in got.toPandas().groupby("dim"):
         m = np.zeros(dim * dim)
@@ -154,7 +154,7 @@ def linked_components(vectors: DataFrame, vec_id: str = "vec_id", embedding: str
             yield b[["rep", "w", "v", "dim", "y", "cell"]]
 
     cells = [F.col("cell")[i] for i in range(LEAD)]
-    ordered = classes.select("rep", "w", "v", "dim").mapInPandas(order, "rep long, w long, v array<double>, dim int, y array<double>, cell array<int>")
+    ordered = classes.select("rep", "w", "v", "dim").mapInPandas(tidied(order), "rep long, w long, v array<double>, dim int, y array<double>, cell array<int>")
     ordered = ordered.repartitionByRange(max(1, -(-total // BLOCK)), "dim", *cells, "rep").sortWithinPartitions("dim", *cells, "rep")
 
     def pack(batches):
@@ -176,7 +176,7 @@ def linked_components(vectors: DataFrame, vec_id: str = "vec_id", embedding: str
         if held is not None and len(held):
             yield block(held)
 
-    blocks = stored(ordered.mapInPandas(pack, "block long, dim int, lo array<double>, hi array<double>, ids binary, ws binary, vs binary, ys binary"), "blocks")
+    blocks = stored(ordered.mapInPandas(tidied(pack), "block long, dim int, lo array<double>, hi array<double>, ids binary, ws binary, vs binary, ys binary"), "blocks")
     boxes = blocks.select("block", "dim", "lo", "hi")
     cell_of = lambda c: F.floor(F.col(c)[0] / max(eps, 1e-6))
     left = boxes.select(F.col("block").alias("b1"), "dim", F.col("lo").alias("lo1"), F.col("hi").alias("hi1"), F.explode(F.sequence(cell_of("lo") - 1, cell_of("hi") + 1)).alias("c"))
@@ -200,7 +200,7 @@ def linked_components(vectors: DataFrame, vec_id: str = "vec_id", embedding: str
                     yield tally.take()
         yield tally.take()
 
-    found = stored(work.mapInPandas(join, "a long, b long, n long"), "vector-links")
+    found = stored(work.mapInPandas(tidied(join), "a long, b long, n long"), "vector-links")
     links = found.filter("b is null").groupBy(F.col("a").alias("rep")).agg(F.sum("n").alias("n"))
     roots = components(found.filter("b is not null").select("a", "b")).select(F.col("v").alias("rep"), "root")
     known = classes.select("k1", "k2", "rep", "w").join(links, "rep", "left").join(roots, "rep", "left")

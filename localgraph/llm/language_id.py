@@ -24,7 +24,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import in_blocks, table
+from .common import in_blocks, table, tidied
 
 DIM = 512
 MAX_LANGUAGES = 10_000
@@ -98,7 +98,7 @@ def learn(docs: DataFrame, text: str = "text", lang: str = "lang", dim: int = DI
 
     rows = docs.select(F.col(lang).alias("lang"), F.col(text).alias("text")).filter("lang is not null and text is not null")
     sums = (
-        rows.mapInPandas(partial, "lang string, hv array<bigint>")
+        rows.mapInPandas(tidied(partial), "lang string, hv array<bigint>")
         .select("lang", F.posexplode("hv").alias("at", "x"))
         .groupBy("lang", "at")
         .agg(F.sum("x").alias("x"))
@@ -133,7 +133,7 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], text: str = "tex
 
     docs = docs.drop("lang_pred", "score")
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return docs.mapInPandas(label, f"{fields}, lang_pred string, score double")
+    return docs.mapInPandas(tidied(label), f"{fields}, lang_pred string, score double")
 
 
 def split_column(doc_id: str = "doc_id"):

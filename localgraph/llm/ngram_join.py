@@ -27,7 +27,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, in_blocks, mix, shingle_hashes, stored, table, word_hashes
+from .common import components, in_blocks, mix, shingle_hashes, stored, table, tidied, word_hashes
 
 HUBS = 6
 BUCKET_BITS = 20
@@ -69,7 +69,7 @@ def profile(docs: DataFrame, k: int) -> DataFrame:
         often = np.flatnonzero(counts > 2 * seen / len(counts) + 8)
         yield pd.DataFrame({"doc_id": pd.array([None] * len(often), "Int64"), "n": counts[often].astype(np.int64), "f1": 0, "f2": 0, "m": [[]] * len(often), "bucket": often})
 
-    return docs.mapInPandas(run, "doc_id long, n long, f1 long, f2 long, m array<long>, bucket long")
+    return docs.mapInPandas(tidied(run), "doc_id long, n long, f1 long, f2 long, m array<long>, bucket long")
 
 
 def bucket_weights(profiles: DataFrame) -> np.ndarray:
@@ -95,7 +95,7 @@ def prefixes(docs: DataFrame, weights: np.ndarray, k: int, percent: int) -> Data
                     out.append((i, len(s), s[order].view(np.int64)))
             yield pd.DataFrame(out, columns=["doc_id", "n", "grams"])
 
-    return docs.mapInPandas(run, "doc_id long, n long, grams array<long>")
+    return docs.mapInPandas(tidied(run), "doc_id long, n long, grams array<long>")
 
 
 def bitmap_of(ids: DataFrame) -> np.ndarray:
@@ -127,7 +127,7 @@ def sets_of(docs: DataFrame, ids: DataFrame, k: int) -> DataFrame:
             out = [(i, s.tobytes()) for i, s in _sets(b["doc_id"], b["text"], k)]
             yield pd.DataFrame(out, columns=["id", "s"])
 
-    return marked.mapInPandas(run, "id long, s binary")
+    return marked.mapInPandas(tidied(run), "id long, s binary")
 
 
 def verified(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFrame:
@@ -149,7 +149,7 @@ def verified(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFra
                 keep.append(100 * common >= percent * (len(x) + len(y) - common))
             yield b.loc[keep, ["a", "b"]]
 
-    return both.mapInPandas(run, "a long, b long")
+    return both.mapInPandas(tidied(run), "a long, b long")
 
 
 def near_components(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:

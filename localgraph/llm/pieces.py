@@ -33,7 +33,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import in_blocks, stored, table
+from .common import in_blocks, stored, table, tidied
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 CHUNK = 32_768
@@ -406,16 +406,17 @@ def encode_whole(docs: DataFrame, v: Vocabulary, text: str, verify: bool) -> Dat
     def run(batches):
         e = get()
         for batch in batches:
-            for at, texts in in_blocks(range(len(batch)), batch[text], 1 << 21):
+            for at, texts in in_blocks(range(len(batch)), batch[text], 1 << 20):
                 part = batch.iloc[at[0] : at[-1] + 1].copy()
                 got = e.encode(texts)
                 part["ids"], part["piece_score"] = [g[0] for g in got], [g[1] for g in got]
                 if verify:
                     part["round_trip"] = [e.decode(g[0]) == t for g, t in zip(got, texts, strict=True)]
                 yield part
+        e.forget()
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return docs.mapInPandas(run, f"{fields}, ids array<int>, piece_score bigint" + ", round_trip boolean" * verify)
+    return docs.mapInPandas(tidied(run), f"{fields}, ids array<int>, piece_score bigint" + ", round_trip boolean" * verify)
 
 
 def encode_chunked(texts: DataFrame, v: Vocabulary, chunk: int = CHUNK) -> DataFrame:
@@ -444,7 +445,7 @@ def encode_chunked(texts: DataFrame, v: Vocabulary, chunk: int = CHUNK) -> DataF
         b["total"] = int(end)
         return b[["k1", "k2", "at", "vec", "total"]]
 
-    mats = rows.mapInPandas(matrices, "k1 bigint, k2 bigint, at bigint, m binary")
+    mats = rows.mapInPandas(tidied(matrices), "k1 bigint, k2 bigint, at bigint, m binary")
     vecs = mats.groupBy("k1", "k2").applyInPandas(scan, "k1 bigint, k2 bigint, at bigint, vec binary, total bigint")
     ready = stored(rows.join(vecs, ["k1", "k2", "at"]), "chunk-states")
 
@@ -459,7 +460,7 @@ def encode_chunked(texts: DataFrame, v: Vocabulary, chunk: int = CHUNK) -> DataF
         b["leave"] = exit_states([list(m) for m in b["map"]])
         return b[["k1", "k2", "at", "leave"]]
 
-    out_of = ready.mapInPandas(maps, "k1 bigint, k2 bigint, at bigint, map array<int>")
+    out_of = ready.mapInPandas(tidied(maps), "k1 bigint, k2 bigint, at bigint, map array<int>")
     out_of = out_of.groupBy("k1", "k2").applyInPandas(leave, "k1 bigint, k2 bigint, at bigint, leave int")
 
     def trace(batches):
@@ -468,7 +469,7 @@ def encode_chunked(texts: DataFrame, v: Vocabulary, chunk: int = CHUNK) -> DataF
             b["part"] = [e.chunk_ids(norm(s), low, np.frombuffer(x, np.int64), j) for s, low, x, j in zip(b["s"], b["low"], b["vec"], b["leave"], strict=True)]
             yield b[["k1", "k2", "at", "total", "part"]]
 
-    parts = ready.join(out_of, ["k1", "k2", "at"]).mapInPandas(trace, "k1 bigint, k2 bigint, at bigint, total bigint, part array<int>")
+    parts = ready.join(out_of, ["k1", "k2", "at"]).mapInPandas(tidied(trace), "k1 bigint, k2 bigint, at bigint, total bigint, part array<int>")
     whole = parts.groupBy("k1", "k2").agg(F.sort_array(F.collect_list(F.struct("at", "part"))).alias("ps"), F.min("total").alias("piece_score"))
     return whole.select("k1", "k2", F.flatten(F.transform("ps", lambda p: p["part"])).alias("ids"), "piece_score")
 
@@ -498,7 +499,7 @@ def decode(docs: DataFrame, v: Vocabulary, ids: str = "ids", into: str = "decode
             yield batch
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return docs.mapInPandas(run, f"{fields}, `{into}` string")
+    return docs.mapInPandas(tidied(run), f"{fields}, `{into}` string")
 
 
 def op10_pieces(spark, sf_dir: str, model: str = MODEL) -> DataFrame:

@@ -22,7 +22,7 @@ from collections import Counter
 
 from pyspark.sql import DataFrame
 
-from .common import table
+from .common import table, tidied
 
 MAX_PIECES = 1 << 20
 CACHE_WORDS = 300_000
@@ -128,7 +128,7 @@ def count_tokens(docs: DataFrame, pieces: list[bytes], text: str = "text") -> Da
 
     docs = docs.drop("n_words", "n_tokens", "n_bytes")
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return docs.mapInPandas(counted, f"{fields}, n_words bigint, n_tokens bigint, n_bytes bigint")
+    return docs.mapInPandas(tidied(counted), f"{fields}, n_words bigint, n_tokens bigint, n_bytes bigint")
 
 
 def op2_token_counts(spark, sf_dir: str, vocabulary: str = VOCABULARY) -> DataFrame:

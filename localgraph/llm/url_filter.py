@@ -25,7 +25,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mix, stored, table
+from .common import mix, stored, table, tidied
 
 MAX_LISTED = 1 << 20
 MAX_LEVELS = 64
@@ -106,7 +106,7 @@ def build_cascade(listed: DataFrame, universe: DataFrame) -> list[Cascade]:
             for batch in batches:
                 yield batch[first.has(batch["h"].to_numpy(np.int64).astype(np.uint64))]
 
-        false = hashed.mapInPandas(wrong, "h bigint")
+        false = hashed.mapInPandas(tidied(wrong), "h bigint")
         # a hash listed in another block is no member of this one
         held = np.array([r.h for r in false.toLocalIterator()], np.int64).astype(np.uint64)
         sides = [keys, np.setdiff1d(held, keys)]
@@ -180,7 +180,7 @@ def judge_urls(pages: DataFrame, rules: list[tuple[str, str, str]], blocked_host
 
     work = parts.withColumn("keys", cand).withColumns({"key_hashes": F.transform("keys", lambda k: F.xxhash64(k)), "host_hash": F.xxhash64("host")})
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in parts.schema.fields)
-    return work.mapInPandas(decide, f"{fields}, rule string, verdict string")
+    return work.mapInPandas(tidied(decide), f"{fields}, rule string, verdict string")
 
 
 def op9_url_filter(spark, sf_dir: str) -> DataFrame:
