@@ -5,25 +5,26 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 from ..graph import Graph
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def slope_at(ratios: pd.Series, volumes: pd.Series, x: pd.Series) -> pd.Series:
     """Ratio of the first prefix that reaches x, 0 past the support."""
     return pd.Series([next((r for r, v in zip(rs, vs, strict=True) if v >= at), 0.0) for rs, vs, at in zip(ratios, volumes, x, strict=True)])
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def conductance(cut: pd.Series, vol: pd.Series, total: pd.Series) -> float:
     """Conductance of a set from the rows of its members: cut arcs, degrees, graph volume."""
     side = min(vol.sum(), total.iloc[0] - vol.sum())
     return float(cut.sum() / side) if side > 0 else float("nan")
 
 
-@udtf(returnType="mask: bigint, size: int")
+@udtf(returnType=T.StructType().add("mask", T.LongType()).add("size", T.IntegerType()))
 class SubsetMasks:
     """All proper subsets of n elements up to complement."""
 
@@ -32,7 +33,7 @@ class SubsetMasks:
             yield m, m.bit_count()
 
 
-@udtf(returnType="b: int, p: double")
+@udtf(returnType=T.StructType().add("b", T.IntegerType()).add("p", T.DoubleType()))
 class GeometricScales:
     """Scales 1..ell with their probabilities."""
 

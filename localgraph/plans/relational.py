@@ -276,23 +276,26 @@ def op_rank_family(s, d):
     return load(s, d, "customer").select("c_custkey", F.row_number().over(x).alias("rn"), F.rank().over(w).alias("rk"), F.dense_rank().over(w).alias("dr"), F.percent_rank().over(w).alias("pr"), F.cume_dist().over(w).alias("cd"))
 
 
-_CW = W.partitionBy("o_custkey").orderBy("o_orderkey")
+def _cw():
+    return W.partitionBy("o_custkey").orderBy("o_orderkey")
+
+
 _CWS = "(PARTITION BY o_custkey ORDER BY o_orderkey"
 
 
-def _over(name, sql, **cols):
+def _over(name, sql, cols):
     def f(s, d):
-        return load(s, d, "orders").select("o_orderkey", *[c.alias(k) for k, c in cols.items()])
+        return load(s, d, "orders").select("o_orderkey", *[c.alias(k) for k, c in cols(_cw()).items()])
 
     f.__name__ = name
     q(f"SELECT o_orderkey, {sql} FROM orders")(f)
 
 
-_over("op_lag_lead", f"lag(o_orderkey) OVER {_CWS}) AS before, lead(o_orderkey, 2) OVER {_CWS}) AS after, first_value(o_orderkey) OVER {_CWS}) AS fst", before=F.lag("o_orderkey").over(_CW), after=F.lead("o_orderkey", 2).over(_CW), fst=F.first("o_orderkey").over(_CW))
-_over("op_running_sum", f"CAST(sum(o_orderkey) OVER {_CWS}) AS BIGINT) AS total", total=F.sum("o_orderkey").over(_CW))
-_over("op_rows_frame", f"CAST(sum(o_orderkey) OVER {_CWS} ROWS BETWEEN 2 PRECEDING AND 1 FOLLOWING) AS BIGINT) AS total", total=F.sum("o_orderkey").over(_CW.rowsBetween(-2, 1)))
-_over("op_range_frame", f"count(*) OVER {_CWS} RANGE BETWEEN 100 PRECEDING AND CURRENT ROW) AS n", n=F.count("*").over(_CW.rangeBetween(-100, 0)))
-_over("op_ntile", f"ntile(3) OVER {_CWS}) AS third", third=F.ntile(3).over(_CW))
+_over("op_lag_lead", f"lag(o_orderkey) OVER {_CWS}) AS before, lead(o_orderkey, 2) OVER {_CWS}) AS after, first_value(o_orderkey) OVER {_CWS}) AS fst", lambda w: {"before": F.lag("o_orderkey").over(w), "after": F.lead("o_orderkey", 2).over(w), "fst": F.first("o_orderkey").over(w)})
+_over("op_running_sum", f"CAST(sum(o_orderkey) OVER {_CWS}) AS BIGINT) AS total", lambda w: {"total": F.sum("o_orderkey").over(w)})
+_over("op_rows_frame", f"CAST(sum(o_orderkey) OVER {_CWS} ROWS BETWEEN 2 PRECEDING AND 1 FOLLOWING) AS BIGINT) AS total", lambda w: {"total": F.sum("o_orderkey").over(w.rowsBetween(-2, 1))})
+_over("op_range_frame", f"count(*) OVER {_CWS} RANGE BETWEEN 100 PRECEDING AND CURRENT ROW) AS n", lambda w: {"n": F.count("*").over(w.rangeBetween(-100, 0))})
+_over("op_ntile", f"ntile(3) OVER {_CWS}) AS third", lambda w: {"third": F.ntile(3).over(w)})
 
 
 @q("SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10")
@@ -302,7 +305,7 @@ def op_topk(s, d):
 
 @q(f"SELECT o_custkey, o_orderkey FROM (SELECT *, row_number() OVER {_CWS}) AS r FROM orders) WHERE r <= 2")
 def op_topk_per_group(s, d):
-    return load(s, d, "orders").withColumn("r", F.row_number().over(_CW)).filter("r <= 2").select("o_custkey", "o_orderkey")
+    return load(s, d, "orders").withColumn("r", F.row_number().over(_cw())).filter("r <= 2").select("o_custkey", "o_orderkey")
 
 
 @q("SELECT c_nationkey AS k FROM customer UNION ALL SELECT s_nationkey FROM supplier")
