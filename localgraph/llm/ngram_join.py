@@ -3,7 +3,7 @@
 1. One pass over the texts gives every document its set size, a 128-bit fingerprint of its set, HUBS minima of
    independent hashes, and, for the order of n-grams, the frequent hash buckets.
 2. Documents with equal fingerprints are one class.
-3. Classes that share a minimum are compared with that bucket's hub only (a star, never all pairs). Hub links
+3. Classes that share a minimum are compared with that bucket's two hubs only (stars, never all pairs). Hub links
    make first components: what is known of a hub answers for its members.
 4. Prefix filtering: n-grams are ordered by (bucket frequency, hash); sets that reach the similarity share one of
    their first n - ceil(t n) + 1 n-grams. These index entries are cut into blocks by (n-gram, size band); bands
@@ -65,9 +65,11 @@ def profile(docs: DataFrame, k: int) -> DataFrame:
                     out.append((i, 0, 0, 0, []))
             if held:
                 counts += np.bincount(np.concatenate(held), minlength=len(counts)).astype(np.int32)
-            yield pd.DataFrame(out, columns=["doc_id", "n", "f1", "f2", "m"]).assign(bucket=pd.array([None] * len(out), "Int64"))
-        often = np.flatnonzero(counts > 2 * seen / len(counts) + 8)
-        yield pd.DataFrame({"doc_id": pd.array([None] * len(often), "Int64"), "n": counts[often].astype(np.int64), "f1": 0, "f2": 0, "m": [[]] * len(often), "bucket": often})
+            if out:
+                yield pd.DataFrame(out, columns=["doc_id", "n", "f1", "f2", "m"]).assign(bucket=pd.array([None] * len(out), "Int64"))
+        often = np.flatnonzero(counts > 2 * seen / len(counts) + 2)
+        if len(often):
+            yield pd.DataFrame({"doc_id": pd.array([None] * len(often), "Int64"), "n": counts[often].astype(np.int64), "f1": 0, "f2": 0, "m": [[]] * len(often), "bucket": often})
 
     return docs.mapInPandas(tidied(run), "doc_id long, n long, f1 long, f2 long, m array<long>, bucket long")
 
@@ -93,7 +95,8 @@ def prefixes(docs: DataFrame, weights: np.ndarray, k: int, percent: int) -> Data
                     take = len(s) - -(-len(s) * percent // 100) + 1
                     order = np.lexsort((s, w[s >> np.uint64(64 - BUCKET_BITS)]))[:take]
                     out.append((i, len(s), s[order].view(np.int64)))
-            yield pd.DataFrame(out, columns=["doc_id", "n", "grams"])
+            if out:
+                yield pd.DataFrame(out, columns=["doc_id", "n", "grams"])
 
     return docs.mapInPandas(tidied(run), "doc_id long, n long, grams array<long>")
 
@@ -125,7 +128,8 @@ def sets_of(docs: DataFrame, ids: DataFrame, k: int) -> DataFrame:
             at = np.maximum(0, part - 1) * 4096 + pos // 8
             b = b[(have[at] >> (pos % 8).astype(np.uint8)) & 1 == 1]
             out = [(i, s.tobytes()) for i, s in _sets(b["doc_id"], b["text"], k)]
-            yield pd.DataFrame(out, columns=["id", "s"])
+            if out:
+                yield pd.DataFrame(out, columns=["id", "s"])
 
     return marked.mapInPandas(tidied(run), "id long, s binary")
 
@@ -160,12 +164,16 @@ def near_components(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     live = rows.filter("n > 0 and doc_id is not null")
     classes = stored(live.groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"), F.first("m").alias("m")), "classes")
 
-    # stars around the smallest class of each minimum's bucket
+    # stars around two hubs of each minimum's bucket: the smallest id, and the smallest set, which differs least
+    # from sets that share most of it
     keyed = classes.select("rep", "n", F.posexplode("m").alias("h", "x"))
-    hubs = keyed.groupBy("h", "x").agg(F.min("rep").alias("a"), F.min_by("n", "rep").alias("na"), F.count("*").alias("c")).filter("c > 1").drop("c")
-    star = keyed.join(hubs, ["h", "x"]).filter("a < rep").filter(f"least(n, na) * 100 >= greatest(n, na) * {percent}")
+    who = F.struct(F.col("rep").alias("a"), F.col("n").alias("na"))
+    hubs = keyed.groupBy("h", "x").agg(F.array_distinct(F.array(F.min(who), F.min_by(who, F.struct("n", "rep")))).alias("hub"), F.count("*").alias("c"))
+    hubs = hubs.filter("c > 1").select("h", "x", F.explode("hub").alias("hub")).select("h", "x", "hub.a", "hub.na")
+    star = keyed.join(hubs, ["h", "x"]).filter("a <> rep").filter(f"least(n, na) * 100 >= greatest(n, na) * {percent}")
+    star = star.select("h", F.least("a", "rep").alias("a"), F.greatest("a", "rep").alias("b")).distinct()
     # two common minima are worth a look; a link missed here is found through the index
-    star = star.groupBy("a", F.col("rep").alias("b")).agg(F.count("*").alias("c")).filter("c >= 2").select("a", "b")
+    star = star.groupBy("a", "b").agg(F.count("*").alias("c")).filter("c >= 2").select("a", "b")
     star = stored(star, "star-pairs")
     first = stored(verified(star, docs, k, percent), "star-links")
     # documents whose rows repeat an id with other texts are joined through that id
