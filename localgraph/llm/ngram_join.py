@@ -30,6 +30,7 @@ from pyspark.sql import functions as F
 from .common import components, in_blocks, mix, shingle_hashes, stored, table, tidied, word_hashes
 
 HUBS = 6
+BLOCK_ENTRIES = 128
 BUCKET_BITS = 20
 BITMAP_BITS = 1 << 26
 MAX_BUCKETS = 1 << BUCKET_BITS
@@ -156,6 +157,47 @@ def verified(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFra
     return both.mapInPandas(tidied(run), "a long, b long")
 
 
+def _counted(percent: int):
+    """Batch function over (a, ca, na, pa, ids, cs, ns, ps) sorted by a: pairs (a, b) that the bounds leave open.
+
+    k common n-grams lie in both prefixes; behind the last of them one prefix is used up before the other.
+    """
+
+    def pairs_of(b: pd.DataFrame) -> pd.DataFrame:
+        sizes = b["ids"].map(len).to_numpy()
+        i, c, n, p = (np.concatenate(b[x].to_numpy()) for x in ("ids", "cs", "ns", "ps"))
+        a, ca, na, pa = (np.repeat(b[x].to_numpy(np.int64), sizes) for x in ("a", "ca", "na", "pa"))
+        fit = (ca != c) & ((na < n) | ((na == n) & (a < i))) & (na * 100 >= n * percent)
+        a, i, na, n, pa, p = (x[fit] for x in (a, i, na, n, pa, p))
+        if not len(a):
+            return pd.DataFrame({"a": a, "b": i})
+        order = np.lexsort((i, a))
+        a, i, na, n, pa, p = (x[order] for x in (a, i, na, n, pa, p))
+        new = np.flatnonzero(np.append(True, (a[1:] != a[:-1]) | (i[1:] != i[:-1])))
+        k = np.diff(np.append(new, len(a)))
+        low = lambda x: np.minimum.reduceat(x, new)
+        top = lambda x: np.maximum.reduceat(x, new)
+        a, i, na, n = a[new], i[new], na[new], n[new]
+        least = -(-(na + n) * percent // (100 + percent))
+        more = np.maximum(np.minimum(-(-na * percent // 100) - 1, n - top(p) - 1), np.minimum(na - top(pa) - 1, -(-n * percent // 100) - 1))
+        keep = (np.minimum(na - low(pa), n - low(p)) >= least) & (k + more >= least)
+        return pd.DataFrame({"a": a[keep], "b": i[keep]})
+
+    def run(batches):
+        held = None
+        for b in batches:
+            b = b if held is None else pd.concat([held, b], ignore_index=True)
+            # the last set's rows may go on in the next batch
+            going = b["a"] == b["a"].iloc[-1]
+            held, b = b[going], b[~going]
+            if len(b):
+                yield pairs_of(b)
+        if held is not None and len(held):
+            yield pairs_of(held)
+
+    return run
+
+
 def near_components(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """(doc_id, n_shingles, component_id) per row of docs(doc_id, text)."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
@@ -185,26 +227,17 @@ def near_components(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     entries = entries.join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi")
     entries = entries.join(roots.select(F.col("v").alias("doc_id"), "root"), "doc_id", "left")
     entries = entries.select(F.col("doc_id").alias("id"), "n", F.coalesce("root", "doc_id").alias("c"), F.posexplode("grams").alias("p", "g"))
-    mixed = entries.groupBy("g").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo < hi").select("g")
-    index = stored(entries.join(mixed, "g", "left_semi"), "index")
+    mixed = entries.groupBy("g").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.count("*").alias("many")).filter("lo < hi").select("g", "many")
+    index = stored(entries.join(mixed, "g"), "index")
     band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(100.0 / percent)) + 1e-9)
     own = index.withColumn("band", band)
+    # blocks of the index: entries of one n-gram and size band, long lists cut by a hash of the set
+    part = F.pmod(F.xxhash64("id"), F.ceil(F.col("many") / BLOCK_ENTRIES))
+    lists = own.groupBy("g", "band", part.alias("part")).agg(F.collect_list(F.struct("id", "c", "n", "p")).alias("list"))
+    lists = lists.select("g", "band", *[F.col(f"list.{x}").alias(f"{x}s") for x in ("id", "c", "n", "p")])
     # a set meets the bands of its own size and of the next two larger ones
     left = own.select("g", F.col("id").alias("a"), F.col("c").alias("ca"), F.col("n").alias("na"), F.col("p").alias("pa"), F.explode(F.sequence(F.col("band"), F.col("band") + 2)).alias("band"))
-    right = own.select("g", F.col("id").alias("b"), F.col("c").alias("cb"), F.col("n").alias("nb"), F.col("p").alias("pb"), "band")
-    least = F.ceil((F.col("na") + F.col("nb")) * percent / (100 + percent) - F.lit(1e-9))
-    met = left.join(right, ["g", "band"]).filter("ca <> cb").filter("na < nb or (na = nb and a < b)").filter(f"na * 100 >= nb * {percent}")
-    met = met.groupBy("a", "b").agg(
-        F.count("*").alias("k"), F.first("na").alias("na"), F.first("nb").alias("nb"),
-        F.min("pa").alias("ia"), F.min("pb").alias("ib"), F.max("pa").alias("ja"), F.max("pb").alias("jb"),
-    )
-    # k common n-grams lie in both prefixes; behind the last of them, one prefix is used up before the other
-    cut = lambda n: F.ceil(F.col(n) * percent / 100 - F.lit(1e-9)) - 1
-    more = F.greatest(
-        F.least(cut("na"), F.col("nb") - F.col("jb") - 1),
-        F.least(F.col("na") - F.col("ja") - 1, cut("nb")),
-    )
-    met = met.filter(F.least(F.col("na") - F.col("ia"), F.col("nb") - F.col("ib")) >= least).filter(F.col("k") + more >= least)
+    met = left.join(lists, ["g", "band"]).repartition("a").sortWithinPartitions("a").mapInPandas(tidied(_counted(percent)), "a long, b long")
     pairs = stored(met.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), "pairs")
     links = first.unionByName(verified(pairs, docs, k, percent))
     shared = same.groupBy("doc_id").agg(F.countDistinct("rep").alias("k")).filter("k > 1").select("doc_id")
