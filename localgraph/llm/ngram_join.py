@@ -158,19 +158,15 @@ def verified(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFra
 
 
 def _counted(percent: int):
-    """Batch function over (a, ca, na, pa, ids, cs, ns, ps) sorted by a: pairs (a, b) that the bounds leave open.
+    """Batch function over (a, na, pa, ids, ns, ps) sorted by a: pairs (a, b) that the bounds leave open.
 
     k common n-grams lie in both prefixes; behind the last of them one prefix is used up before the other.
     """
 
     def pairs_of(b: pd.DataFrame) -> pd.DataFrame:
         sizes = b["ids"].map(len).to_numpy()
-        i, c, n, p = (np.concatenate(b[x].to_numpy()) for x in ("ids", "cs", "ns", "ps"))
-        a, ca, na, pa = (np.repeat(b[x].to_numpy(np.int64), sizes) for x in ("a", "ca", "na", "pa"))
-        fit = (ca != c) & ((na < n) | ((na == n) & (a < i))) & (na * 100 >= n * percent)
-        a, i, na, n, pa, p = (x[fit] for x in (a, i, na, n, pa, p))
-        if not len(a):
-            return pd.DataFrame({"a": a, "b": i})
+        i, n, p = (np.concatenate(b[x].to_numpy()).astype(np.int64) for x in ("ids", "ns", "ps"))
+        a, na, pa = (np.repeat(b[x].to_numpy(np.int64), sizes) for x in ("a", "na", "pa"))
         order = np.lexsort((i, a))
         a, i, na, n, pa, p = (x[order] for x in (a, i, na, n, pa, p))
         new = np.flatnonzero(np.append(True, (a[1:] != a[:-1]) | (i[1:] != i[:-1])))
@@ -229,15 +225,19 @@ def near_components(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     entries = entries.select(F.col("doc_id").alias("id"), "n", F.coalesce("root", "doc_id").alias("c"), F.posexplode("grams").alias("p", "g"))
     mixed = entries.groupBy("g").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.count("*").alias("many")).filter("lo < hi").select("g", "many")
     index = stored(entries.join(mixed, "g"), "index")
-    band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(100.0 / percent)) + 1e-9)
-    own = index.withColumn("band", band)
+    band = lambda n: F.floor(F.log(n.cast("double")) / F.log(F.lit(100.0 / percent)) + 1e-9)
+    own = index.withColumn("band", band(F.col("n")))
     # blocks of the index: entries of one n-gram and size band, long lists cut by a hash of the set
     part = F.pmod(F.xxhash64("id"), F.ceil(F.col("many") / BLOCK_ENTRIES))
-    lists = own.groupBy("g", "band", part.alias("part")).agg(F.collect_list(F.struct("id", "c", "n", "p")).alias("list"))
-    lists = lists.select("g", "band", *[F.col(f"list.{x}").alias(f"{x}s") for x in ("id", "c", "n", "p")])
-    # a set meets the bands of its own size and of the next two larger ones
-    left = own.select("g", F.col("id").alias("a"), F.col("c").alias("ca"), F.col("n").alias("na"), F.col("p").alias("pa"), F.explode(F.sequence(F.col("band"), F.col("band") + 2)).alias("band"))
-    met = left.join(lists, ["g", "band"]).repartition("a").sortWithinPartitions("a").mapInPandas(tidied(_counted(percent)), "a long, b long")
+    lists = own.groupBy("g", "band", part.alias("part")).agg(F.collect_list(F.struct("id", "c", F.col("n").cast("int").alias("n"), "p")).alias("list"))
+    # a set meets the bands from its own size up to the largest size that can be similar
+    widest = F.floor(F.col("n") * 100 / percent + 1e-9)
+    left = own.select("g", F.col("id").alias("a"), F.col("c").alias("ca"), F.col("n").cast("int").alias("na"), F.col("p").alias("pa"), F.explode(F.sequence(F.col("band"), band(widest))).alias("band"))
+    # only entries of other components and fitting sizes, each pair from its smaller set, go on to the count
+    fit = lambda x: (x["c"] != F.col("ca")) & ((F.col("na") < x["n"]) | ((F.col("na") == x["n"]) & (F.col("a") < x["id"]))) & (F.col("na").cast("long") * 100 >= x["n"].cast("long") * percent)
+    met = left.join(lists.select("g", "band", "list"), ["g", "band"]).select("a", "na", "pa", F.filter("list", fit).alias("list")).filter(F.size("list") > 0)
+    met = met.select("a", "na", "pa", *[F.col(f"list.{x}").alias(f"{x}s") for x in ("id", "n", "p")])
+    met = met.repartition("a").sortWithinPartitions("a").mapInPandas(tidied(_counted(percent)), "a long, b long")
     pairs = stored(met.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), "pairs")
     links = first.unionByName(verified(pairs, docs, k, percent))
     shared = same.groupBy("doc_id").agg(F.countDistinct("rep").alias("k")).filter("k > 1").select("doc_id")
