@@ -9,7 +9,8 @@
    their first n - ceil(t n) + 1 n-grams. These index entries are cut into blocks by (n-gram, size band); bands
    further apart than the similarity allows are never joined; the number of common n-grams in two prefixes and
    their positions bound the overlap still possible. Entries of an n-gram whose classes are all in one component are skipped at once.
-5. Remaining pairs are verified on whole sets; components of all links are the result.
+5. Remaining pairs pass a bound on small sketches, then are verified on whole sets; components of all links are
+   the result.
 
 The order only steers speed: any common order gives the same links. No candidate is capped. Sets travel only
 for classes that occur in a candidate pair: they are re-made from the texts in one pass whose rows are
@@ -114,8 +115,25 @@ def bitmap_of(ids: DataFrame) -> np.ndarray:
     return out
 
 
+def _sketch(s: np.ndarray) -> bytes:
+    """The set's occupied buckets as bits, four to eight buckets for each n-gram."""
+    at = np.zeros(max(64, 1 << (4 * len(s) - 1).bit_length()), bool)
+    at[(s & np.uint64(len(at) - 1)).astype(np.int64)] = True
+    return np.packbits(at).tobytes()
+
+
+def _differ(x: bytes, y: bytes) -> tuple[int, int]:
+    """At least so many n-grams lie in the first set only, and in the second only: buckets the other leaves empty."""
+    x, y = np.frombuffer(x, np.uint8), np.frombuffer(y, np.uint8)
+    while len(x) > len(y):
+        x = x[: len(x) // 2] | x[len(x) // 2 :]
+    while len(y) > len(x):
+        y = y[: len(y) // 2] | y[len(y) // 2 :]
+    return int(np.bitwise_count(x & ~y).sum()), int(np.bitwise_count(y & ~x).sum())
+
+
 def sets_of(docs: DataFrame, ids: DataFrame, k: int) -> DataFrame:
-    """(id, s): sets of the documents whose bit is in the bitmap of ids (all of ids, and some others)."""
+    """(id, n, bits, s): sets of the documents whose bit is in the bitmap of ids (all of ids, and some others)."""
     bits = docs.sparkSession.sparkContext.broadcast(bitmap_of(ids))
     bit = F.pmod(F.xxhash64("doc_id"), F.lit(BITMAP_BITS))
     marked = docs.select("doc_id", "text", bit.alias("bit"))
@@ -128,17 +146,34 @@ def sets_of(docs: DataFrame, ids: DataFrame, k: int) -> DataFrame:
             part, pos = b["part"].to_numpy(np.int64), b["pos"].to_numpy(np.int64)
             at = np.maximum(0, part - 1) * 4096 + pos // 8
             b = b[(have[at] >> (pos % 8).astype(np.uint8)) & 1 == 1]
-            out = [(i, s.tobytes()) for i, s in _sets(b["doc_id"], b["text"], k)]
+            out = [(i, len(s), _sketch(s), s.tobytes()) for i, s in _sets(b["doc_id"], b["text"], k)]
             if out:
-                yield pd.DataFrame(out, columns=["id", "s"])
+                yield pd.DataFrame(out, columns=["id", "n", "bits", "s"])
 
-    return marked.mapInPandas(tidied(run), "id long, s binary")
+    return marked.mapInPandas(tidied(run), "id long, n long, bits binary, s binary")
 
 
 def verified(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFrame:
     """Those (a, b) whose whole sets reach the similarity: 100 * intersection >= percent * union."""
     ids = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
     sets = stored(sets_of(docs, ids, k).join(ids, "id", "left_semi"), "sets")
+    marks = sets.select("id", "n", "bits")
+    near = pairs.join(marks.select(F.col("id").alias("b"), F.col("n").alias("n2"), F.col("bits").alias("k2")), "b")
+    near = near.join(marks.select(F.col("id").alias("a"), F.col("n").alias("n1"), F.col("bits").alias("k1")), "a")
+
+    def possible(batches):
+        for b in batches:
+            keep = []
+            for x, y, m, n in zip(b["k1"], b["k2"], b["n1"], b["n2"], strict=True):
+                least = -(-(m + n) * percent // (100 + percent))
+                only_x, only_y = _differ(x, y)
+                keep.append(only_x <= m - least and only_y <= n - least)
+            yield b.loc[keep, ["a", "b"]]
+
+    # whole sets travel only for pairs that the sketches leave open
+    pairs = stored(near.mapInPandas(tidied(possible), "a long, b long"), "possible")
+    open_ids = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
+    sets = sets.select("id", "s").join(open_ids, "id", "left_semi")
     both = pairs.join(sets.select(F.col("id").alias("b"), F.col("s").alias("s2")), "b").join(sets.select(F.col("id").alias("a"), F.col("s").alias("s1")), "a")
 
     def run(batches):
