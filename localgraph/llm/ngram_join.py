@@ -8,7 +8,8 @@
 4. Prefix filtering: n-grams are ordered by (bucket frequency, hash); sets that reach the similarity share one of
    their first n - ceil(t n) + 1 n-grams. These index entries are cut into blocks by (n-gram, size band); bands
    further apart than the similarity allows are never joined; the number of common n-grams in two prefixes and
-   their positions bound the overlap still possible. Entries of an n-gram whose classes are all in one component are skipped at once.
+   their positions bound the overlap still possible. Entries of an n-gram whose classes are all in one component, or are two of
+   unlike size, are skipped at once.
 5. Remaining pairs pass a bound on small sketches, then are verified on whole sets; components of all links are
    the result.
 
@@ -258,7 +259,9 @@ def near_components(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     entries = entries.join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi")
     entries = entries.join(roots.select(F.col("v").alias("doc_id"), "root"), "doc_id", "left")
     entries = entries.select(F.col("doc_id").alias("id"), "n", F.coalesce("root", "doc_id").alias("c"), F.posexplode("grams").alias("p", "g"))
-    mixed = entries.groupBy("g").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.count("*").alias("many")).filter("lo < hi").select("g", "many")
+    mixed = entries.groupBy("g").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.count("*").alias("many"), F.min("n").alias("least"), F.max("n").alias("most"))
+    # an n-gram of two sets whose sizes are too far apart links nothing
+    mixed = mixed.filter("lo < hi").filter(f"many > 2 or least * 100 >= most * {percent}").select("g", "many")
     index = stored(entries.join(mixed, "g"), "index")
     band = lambda n: F.floor(F.log(n.cast("double")) / F.log(F.lit(100.0 / percent)) + 1e-9)
     own = index.withColumn("band", band(F.col("n")))
