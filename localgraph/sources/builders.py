@@ -93,12 +93,21 @@ def nation_trade(spark, d) -> Graph:
     return Graph.from_edges(pairs(li, vid("c_nationkey", "nation"), vid("s_nationkey", "nation")))
 
 
-def part_coorder(spark, d, max_group: int = 1000) -> Graph:
-    """Parts that share an order; orders with more than max_group parts are left out (option)."""
+def part_coorder(spark, d, max_group: int | None = None, block: int = 1000) -> Graph:
+    """Parts that share an order; with max_group, orders of more distinct parts are left out (option).
+
+    The parts of an order are dealt over buckets of about `block` parts, and each pair of buckets is a join key of its
+    own, so that a large order's pairs spread over tasks; an order of at most `block` parts has a single key.
+    """
     li = load(spark, d, "lineitem").select("l_orderkey", "l_partkey").distinct()
-    small = li.groupBy("l_orderkey").count().filter(F.col("count") <= max_group).select("l_orderkey")
-    li = li.join(small, "l_orderkey", "left_semi")
-    two = li.join(li.select("l_orderkey", F.col("l_partkey").alias("p2")), "l_orderkey").filter("l_partkey < p2")
+    sizes = li.groupBy("l_orderkey").agg(F.count("*").alias("n"))
+    if max_group is not None:
+        sizes = sizes.filter(F.col("n") <= max_group)
+    li = li.join(sizes, "l_orderkey").withColumn("k", F.ceil(F.col("n") / block))
+    li = li.withColumn("h", F.pmod(F.xxhash64("l_partkey"), "k")).withColumn("x", F.explode(F.sequence(F.lit(0).cast("long"), F.col("k") - 1)))
+    one = li.select("l_orderkey", F.least("h", "x").alias("i"), F.greatest("h", "x").alias("j"), "l_partkey", "h")
+    other = one.select("l_orderkey", "i", "j", F.col("l_partkey").alias("p2"), F.col("h").alias("h2"))
+    two = one.join(other, ["l_orderkey", "i", "j"]).filter("l_partkey < p2 and (i = j or h <> h2)")
     return Graph.from_edges(pairs(two, vid("l_partkey", "part"), vid("p2", "part")))
 
 
