@@ -384,17 +384,24 @@ _SLC_W = w_sql([Run(0, 0)], 5).replace("VALUES (0, CAST(0 AS BIGINT), CAST(0 AS
 add("slc_run", slc, rec(g_sql("page_link"), _PICK_SQL, _SLC_W, C_SQL, hit_sql(), select="SELECT CAST(draw AS BIGINT) AS draw, picked.v, b, h IS NOT NULL AS found, coalesce(h.prefix_vol, 0) AS vol FROM picked JOIN scaled USING (draw) LEFT JOIN hit ON hit.run_id = draw"))
 
 
+def in_batches(f, items: list, size: int = 4096):
+    """The union of f over runs of `size` items."""
+    got = None
+    for at in range(0, len(items), size):
+        part = cut(f(items[at : at + size]), "runs")
+        got = part if got is None else got.union(part)
+    return got
+
+
 def expected_overlap(spark, d):
-    """Exact expectation of the sampled method on one path, by enumerating seeds and scales, and its bound."""
+    """Exact expectation of the sampled method on every path, by enumerating seeds and scales, and its bound."""
     g = graph(spark, d, "conversation_path")
-    comp = components(g)
-    target = comp.groupBy("comp").count().orderBy("comp").limit(2).select("comp")
-    s = cut(comp.join(target, "comp", "left_semi"))
+    s = components(g)
     ell = scale_count(g.vol)
     law = scale_law(ell)
-    seeds = s.join(g.vertices, "v").select("v", "deg", "comp").collect()
+    seeds = s.join(g.vertices, "v").select("v", "deg", "comp").orderBy("v").collect()
     runs = [cluster.run_of(i * ell + b - 1, r.v, schedule(g.vol, Fraction(1, 2), b)) for i, r in enumerate(seeds) for b in range(1, ell + 1)]
-    got = cluster.ball_clusters(g, runs, schedule(g.vol, Fraction(1, 2), 1).t_last)
+    got = in_batches(lambda r: cluster.ball_clusters(g, r, schedule(g.vol, Fraction(1, 2), 1).t_last), runs)
     meta = spark.createDataFrame([(i * ell + b - 1, r.comp, law[b - 1] * r.deg / g.vol) for i, r in enumerate(seeds) for b in range(1, ell + 1)], "run_id long, comp long, pr double")
     inside = got.filter("v is not null").join(meta, "run_id").join(s, ["v", "comp"]).join(g.vertices, "v")
     value = inside.groupBy("comp").agg(F.sum(F.col("pr") * F.col("deg")).alias("value"))
@@ -481,8 +488,8 @@ add("e_core_volume", lambda s, d: (lambda c: overlap(c[0], c[2], c[1]).select("v
 
 def abscissae(spark, d):
     g = graph(spark, d, "conversation_path")
-    seeds = [r.v for r in path_set(spark, g).collect()][:3]
-    return analysis.abscissae(g, seeds, 3, 2)
+    seeds = [r.v for r in g.vertices.orderBy("v").collect()]
+    return in_batches(lambda part: analysis.abscissae(g, part, 3, 2), seeds)
 
 
 add("e_abscissae", abscissae)
@@ -549,11 +556,11 @@ add("k_draws", lambda s, d: (lambda p: p[2].agg(F.max("draw").alias("last_draw")
 
 
 def success(spark, d):
-    """Share of seeds of one path whose cluster lies mostly inside it."""
+    """Share of the seeds of all paths whose cluster lies mostly inside their own."""
     g = graph(spark, d, "conversation_path")
     comp = components(g)
-    runs = practical([r.v for r in path_set(spark, g).collect()], "1/2", 1)
-    got = cluster.ball_clusters(g, runs, 8)
+    runs = practical([r.v for r in g.vertices.orderBy("v").collect()], "1/2", 1)
+    got = in_batches(lambda r: cluster.ball_clusters(g, r, 8), runs)
     seed = spark.createDataFrame([(r.run_id, r.seed) for r in runs], "run_id long, seed long").join(comp.select(F.col("v").alias("seed"), F.col("comp").alias("home")), "seed")
     inside = got.join(comp, "v", "left").join(seed, "run_id").groupBy("run_id").agg(F.avg((F.col("comp") == F.col("home")).cast("double")).alias("share"))
     return inside.agg(F.count("*").alias("seeds"), F.count(F.when(F.col("share") > 0.5, 1)).alias("good"))
