@@ -4,7 +4,7 @@
    independent hashes, and, for the order of n-grams, the frequent hash buckets.
 2. Documents with equal fingerprints are one class.
 3. Classes that share a minimum are compared with that bucket's two hubs only (stars, never all pairs). Hub links
-   make first components: what is known of a hub answers for its members.
+   make first components; a member takes its hub's component, and still probes the index with its own entries.
 4. Prefix filtering: n-grams are ordered by (bucket frequency, hash); sets that reach the similarity share one of
    their first n - ceil(t n) + 1 n-grams. These index entries are cut into blocks by (n-gram, size band); bands
    further apart than the similarity allows are never joined; the number of common n-grams in two prefixes and
