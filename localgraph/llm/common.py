@@ -3,41 +3,17 @@ column hygiene and vectorised word hashing."""
 
 from __future__ import annotations
 
-import atexit
 import ctypes
-import shutil
-import tempfile
-import uuid
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-_LOCAL_DIRS: dict[int, str] = {}
+from ..session import cut as stored
+from ..session import drop
 
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share (spark.checkpoint.dir); a temporary one only in local mode."""
-    set_dir = spark.conf.get("spark.checkpoint.dir", None)
-    if set_dir:
-        return set_dir.rstrip("/")
-    master = spark.sparkContext.master
-    if not master.startswith("local") or master.startswith("local-cluster"):
-        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
-    key = id(spark.sparkContext)
-    if key not in _LOCAL_DIRS:
-        _LOCAL_DIRS[key] = tempfile.mkdtemp(prefix="stage-tables-")
-        atexit.register(shutil.rmtree, _LOCAL_DIRS[key], True)
-    return _LOCAL_DIRS[key]
-
-
-def stored(df: DataFrame, label: str) -> DataFrame:
-    """Write df as Parquet in the shared folder and read it back: cuts lineage and outlives executors."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+__all__ = ["components", "drop", "in_blocks", "mix", "shingle_hashes", "stored", "table", "tidied", "word_hashes"]
 
 
 def tidied(f):
@@ -64,7 +40,6 @@ def components(edges: DataFrame) -> DataFrame:
     neighbour in the next round, so two rounds at least halve the vertices left and rounds are logarithmic, as are the
     doublings inside one. Only keyed joins and mergeable minima are used, so hubs do not gather in a task.
     """
-    spark = edges.sparkSession
     links = stored(
         edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).filter("a < b").distinct(), "links"
     )
@@ -73,27 +48,27 @@ def components(edges: DataFrame) -> DataFrame:
         both = links.select(F.col("a").alias("v"), F.col("b").alias("o")).union(links.select("b", "a"))
         step = stored(both.groupBy("v").agg(F.least(F.first("v"), F.min("o")).alias("up")), "hang")
         while True:
-            far = step.join(step.select(F.col("v").alias("up"), F.col("up").alias("up2")), "up")
-            far = stored(far.select("v", F.col("up2").alias("up"), (F.col("up2") != F.col("up")).alias("moved")), "hang2")
-            step = far.select("v", "up")
+            far = step.select("v", "up").join(step.select(F.col("v").alias("up"), F.col("up").alias("up2")), "up")
+            far = stored(far.select("v", F.col("up2").alias("up"), (F.col("up2") != F.col("up")).alias("moved")), "hang")
+            drop(step)
+            step = far
             if far.filter("moved").isEmpty():
                 break
         if labels is None:
-            labels = step.select("v", F.col("up").alias("root"))
+            new = step.select("v", F.col("up").alias("root"))
         else:
-            labels = labels.join(step.select(F.col("v").alias("root"), "up"), "root", "left").select(
+            new = labels.join(step.select(F.col("v").alias("root"), "up"), "root", "left").select(
                 "v", F.coalesce("up", "root").alias("root")
             )
-        labels = stored(labels, "labels")
+        new = stored(new, "labels")
         ends = links.join(step.select(F.col("v").alias("a"), F.col("up").alias("a2")), "a")
         ends = ends.join(step.select(F.col("v").alias("b"), F.col("up").alias("b2")), "b")
-        links = stored(
-            ends.select(F.least("a2", "b2").alias("a"), F.greatest("a2", "b2").alias("b")).filter("a < b").distinct(),
-            "links",
-        )
-    if labels is None:
-        labels = spark.createDataFrame([], "v bigint, root bigint")
-    return labels
+        ends = ends.select(F.least("a2", "b2").alias("a"), F.greatest("a2", "b2").alias("b")).filter("a < b").distinct()
+        rest = stored(ends, "links")
+        drop(*[x for x in (labels, links, step) if x is not None])
+        labels, links = new, rest
+    drop(links)
+    return edges.sparkSession.createDataFrame([], "v bigint, root bigint") if labels is None else labels
 
 
 # ---- words and shingles -------------------------------------------------------------------

@@ -1,21 +1,26 @@
 """Exact Jaccard self-join of documents' word n-gram sets, with the relations between sets used to skip work.
 
 1. One pass over the texts gives every document its set size, a 128-bit fingerprint of its set, HUBS minima of
-   independent hashes, and, for the order of n-grams, the frequent hash buckets.
-2. Documents with equal fingerprints are one class.
-3. Classes that share a minimum are compared with that bucket's two hubs only (stars, never all pairs). Hub links
-   make first components; a member takes its hub's component, and still probes the index with its own entries.
-4. Prefix filtering: n-grams are ordered by (bucket frequency, hash); sets that reach the similarity share one of
-   their first n - ceil(t n) + 1 n-grams. These index entries are cut into blocks by (n-gram, size band); bands
-   further apart than the similarity allows are never joined; the number of common n-grams in two prefixes and
-   their positions bound the overlap still possible. Entries of an n-gram whose classes are all in one component, or are two of
-   unlike size, are skipped at once.
-5. Remaining pairs pass a bound on small sketches, then are verified on whole sets; components of all links are
-   the result.
+   independent hashes, and, for the order of n-grams, the frequent hash buckets. Documents with equal fingerprints
+   are one class.
+2. Classes that share minima are compared with that bucket's two hubs only (stars, never all pairs). The links found
+   make first components; a member keeps its most similar hub as leader, with the size of what it has beyond it.
+3. Index: n-grams are ordered by (bucket frequency, hash), and sets that reach the similarity share an n-gram of their
+   prefixes. Together with its position an entry states which sizes of the smaller set it can still serve (behind
+   that position too few n-grams are left for the others). Lists are cut into blocks by that range, sorted by it
+   inside, and a smaller set meets only the blocks that serve its size; the rest of every list is skipped. N-grams whose
+   classes are all in one component, or are two of unlike size, never enter the index.
+4. Answers: candidate pairs of leaders are settled first, and each keeps a bound of its intersection (exact, if the
+   sets were compared). A member's pairs then follow from the answers of its leader: a pair is done when the leaders
+   are linked, and is out when the leaders' intersection and what both members have beyond them cannot make a
+   link. Leaders that are no candidates are known to share less than a link needs. Only what these answers leave
+   open is compared, by sketches and then by whole sets.
+5. Components of all links are the result.
 
 The order only steers speed: any common order gives the same links. No candidate is capped. Sets travel only
-for classes that occur in a candidate pair: they are re-made from the texts in one pass whose rows are
+for classes that occur in a pair still open: they are re-made from the texts in one pass whose rows are
 preselected by a bitmap of fixed size (BITMAP_BITS; when it fills up, it merely selects more).
+A bucket is frequent when it exceeds twice its share inside one partition, so the order means the same at any size.
 
 Defined results: words are [^\\x20\\x09-\\x0D]+ with A-Z lowered; fewer words than n make one n-gram; null or
 wordless texts have empty sets and link with nothing; rows with a null id link with nothing; rows that repeat an
@@ -26,10 +31,10 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, in_blocks, mix, shingle_hashes, stored, table, tidied, word_hashes
+from .common import components, drop, in_blocks, mix, shingle_hashes, stored, table, tidied, word_hashes
 
 HUBS = 6
 BLOCK_ENTRIES = 128
@@ -52,29 +57,33 @@ def _signed(x) -> int:
 
 
 def profile(docs: DataFrame, k: int) -> DataFrame:
-    """(doc_id, n, f1, f2, m[]) per document, and rows (bucket, count) of locally frequent buckets."""
+    """(doc_id, n, f1, f2, m[]) per document, and rows (bucket, count) of locally frequent buckets.
+
+    Null ids travel as a flag: a batch with a null would turn its ids into floats.
+    """
 
     def run(batches):
         counts, seen = np.zeros(1 << BUCKET_BITS, np.int32), 0
         for b in batches:
             out, held = [], []
-            for i, s in _sets(b["doc_id"], b["text"], k):
+            for (i, s), nil in zip(_sets(b["doc_id"], b["text"], k), b["nil"], strict=True):
                 held.append((s >> np.uint64(64 - BUCKET_BITS)).astype(np.int32))
                 seen += len(s)
                 if len(s):
                     m = [_signed(mix(s ^ salt).min()) for salt in _SALTS[:HUBS]]
-                    out.append((i, len(s), _signed(mix(s).sum()), _signed(mix(s ^ _SALTS[HUBS]).sum()), m))
+                    out.append((i, len(s), _signed(mix(s).sum()), _signed(mix(s ^ _SALTS[HUBS]).sum()), m, nil))
                 else:
-                    out.append((i, 0, 0, 0, []))
+                    out.append((i, 0, 0, 0, [], nil))
             if held:
                 counts += np.bincount(np.concatenate(held), minlength=len(counts)).astype(np.int32)
             if out:
-                yield pd.DataFrame(out, columns=["doc_id", "n", "f1", "f2", "m"]).assign(bucket=pd.array([None] * len(out), "Int64"))
+                yield pd.DataFrame(out, columns=["doc_id", "n", "f1", "f2", "m", "nil"]).assign(bucket=pd.array([None] * len(out), "Int64"))
         often = np.flatnonzero(counts > 2 * seen / len(counts) + 2)
         if len(often):
-            yield pd.DataFrame({"doc_id": pd.array([None] * len(often), "Int64"), "n": counts[often].astype(np.int64), "f1": 0, "f2": 0, "m": [[]] * len(often), "bucket": often})
+            yield pd.DataFrame({"doc_id": 0, "n": counts[often].astype(np.int64), "f1": 0, "f2": 0, "m": [[]] * len(often), "nil": False, "bucket": often})
 
-    return docs.mapInPandas(tidied(run), "doc_id long, n long, f1 long, f2 long, m array<long>, bucket long")
+    docs = docs.select(F.coalesce("doc_id", F.lit(0)).alias("doc_id"), F.col("doc_id").isNull().alias("nil"), "text")
+    return docs.mapInPandas(tidied(run), "doc_id long, n long, f1 long, f2 long, m array<long>, nil boolean, bucket long")
 
 
 def bucket_weights(profiles: DataFrame) -> np.ndarray:
@@ -85,29 +94,28 @@ def bucket_weights(profiles: DataFrame) -> np.ndarray:
     return weights
 
 
-def prefixes(docs: DataFrame, weights: np.ndarray, k: int, percent: int) -> DataFrame:
-    """(doc_id, n, grams[]): each document's prefix in the common order."""
-    shared = docs.sparkSession.sparkContext.broadcast(weights)
+def prefixes(docs: DataFrame, weights: np.ndarray, mark: np.ndarray, k: int, percent: int) -> DataFrame:
+    """(id, n, grams, marked): each document's prefix in the common order, and whether its bit is in the bitmap."""
+    shared = docs.sparkSession.sparkContext.broadcast((weights, mark))
 
     def run(batches):
-        w = shared.value
+        w, have = shared.value
         for b in batches:
-            out = []
-            for i, s in _sets(b["doc_id"], b["text"], k):
+            marked, out = _marked(have, b), []
+            for (i, s), m in zip(_sets(b["doc_id"], b["text"], k), marked, strict=True):
                 if len(s):
                     take = len(s) - -(-len(s) * percent // 100) + 1
                     order = np.lexsort((s, w[s >> np.uint64(64 - BUCKET_BITS)]))[:take]
-                    out.append((i, len(s), s[order].view(np.int64)))
+                    out.append((i, len(s), s[order].tobytes(), m))
             if out:
-                yield pd.DataFrame(out, columns=["doc_id", "n", "grams"])
+                yield pd.DataFrame(out, columns=["id", "n", "grams", "marked"])
 
-    return docs.mapInPandas(tidied(run), "doc_id long, n long, grams array<long>")
+    return _with_bits(docs).mapInPandas(tidied(run), "id long, n int, grams binary, marked boolean")
 
 
-def bitmap_of(ids: DataFrame) -> np.ndarray:
-    """Bits of BITMAP_BITS hashed ids, made by Spark's bitmap aggregate: at most BITMAP_BITS / 8 bytes."""
-    bit = F.pmod(F.xxhash64("id"), F.lit(BITMAP_BITS))
-    rows = ids.select(bit.alias("bit")).groupBy(F.bitmap_bucket_number(F.col("bit")).alias("part"))
+def bitmap_of(bits: DataFrame) -> np.ndarray:
+    """The bits of column `bit` (below BITMAP_BITS), by Spark's bitmap aggregate: at most BITMAP_BITS / 8 bytes."""
+    rows = bits.groupBy(F.bitmap_bucket_number(F.col("bit")).alias("part"))
     out = np.zeros(BITMAP_BITS // 8 + 8192, np.uint8)
     for r in rows.agg(F.bitmap_construct_agg(F.bitmap_bit_position(F.col("bit"))).alias("bits")).toLocalIterator():
         # bucket numbers start at 1 for bits from 1 on and at 0 for bit 0
@@ -116,6 +124,28 @@ def bitmap_of(ids: DataFrame) -> np.ndarray:
     return out
 
 
+def _bit(key: str) -> Column:
+    return F.pmod(F.xxhash64(key), F.lit(BITMAP_BITS)).alias("bit")
+
+
+def _with_bits(docs: DataFrame) -> DataFrame:
+    """docs(doc_id, text) with the place of each id's bit, as the aggregate counts places."""
+    bit = docs.select("doc_id", "text", _bit("doc_id"))
+    return bit.select("doc_id", "text", F.bitmap_bucket_number(F.col("bit")).alias("part"), F.bitmap_bit_position(F.col("bit")).alias("pos"))
+
+
+def _marked(have: np.ndarray, b: pd.DataFrame) -> np.ndarray:
+    part, pos = b["part"].to_numpy(np.int64), b["pos"].to_numpy(np.int64)
+    return (have[np.maximum(0, part - 1) * 4096 + pos // 8] >> (pos % 8).astype(np.uint8)) & 1 == 1
+
+
+def _places(grams: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Byte and bit of each n-gram's hash in a bitmap made by `bitmap_of`, which counts bits from 1."""
+    bit = (grams & np.uint64(BITMAP_BITS - 1)).astype(np.int64)
+    at = np.where(bit > 0, bit - 1, 0)
+    return at // 8, (at % 8).astype(np.uint8)
+
+
 def _sketch(s: np.ndarray) -> bytes:
     """The set's occupied buckets as bits, four to eight buckets for each n-gram."""
     at = np.zeros(max(64, 1 << (4 * len(s) - 1).bit_length()), bool)
@@ -133,64 +163,89 @@ def _differ(x: bytes, y: bytes) -> tuple[int, int]:
     return int(np.bitwise_count(x & ~y).sum()), int(np.bitwise_count(y & ~x).sum())
 
 
-def sets_of(docs: DataFrame, ids: DataFrame, k: int) -> DataFrame:
-    """(id, n, bits, s): sets of the documents whose bit is in the bitmap of ids (all of ids, and some others)."""
-    bits = docs.sparkSession.sparkContext.broadcast(bitmap_of(ids))
-    bit = F.pmod(F.xxhash64("doc_id"), F.lit(BITMAP_BITS))
-    marked = docs.select("doc_id", "text", bit.alias("bit"))
-    # the same positions that the aggregate used
-    marked = marked.withColumns({"part": F.bitmap_bucket_number(F.col("bit")), "pos": F.bitmap_bit_position(F.col("bit"))})
+def sets_of(docs: DataFrame, ids: DataFrame, k: int, sketch: bool) -> DataFrame:
+    """(id, n, s): sketches, or whole sets, of the documents whose bit is in the bitmap of ids (all of ids, some others)."""
+    shared = docs.sparkSession.sparkContext.broadcast(bitmap_of(ids.select(_bit("id"))))
 
     def run(batches):
-        have = bits.value
         for b in batches:
-            part, pos = b["part"].to_numpy(np.int64), b["pos"].to_numpy(np.int64)
-            at = np.maximum(0, part - 1) * 4096 + pos // 8
-            b = b[(have[at] >> (pos % 8).astype(np.uint8)) & 1 == 1]
-            out = [(i, len(s), _sketch(s), s.tobytes()) for i, s in _sets(b["doc_id"], b["text"], k)]
+            b = b[_marked(shared.value, b)]
+            out = [(i, len(s), _sketch(s) if sketch else s.tobytes()) for i, s in _sets(b["doc_id"], b["text"], k)]
             if out:
-                yield pd.DataFrame(out, columns=["id", "n", "bits", "s"])
+                yield pd.DataFrame(out, columns=["id", "n", "s"])
 
-    return marked.mapInPandas(tidied(run), "id long, n long, bits binary, s binary")
+    return _with_bits(docs).mapInPandas(tidied(run), "id long, n long, s binary")
 
 
-def verified(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFrame:
-    """Those (a, b) whose whole sets reach the similarity: 100 * intersection >= percent * union."""
-    ids = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
-    sets = stored(sets_of(docs, ids, k).join(ids, "id", "left_semi"), "sets")
-    marks = sets.select("id", "n", "bits")
-    near = pairs.join(marks.select(F.col("id").alias("b"), F.col("n").alias("n2"), F.col("bits").alias("k2")), "b")
-    near = near.join(marks.select(F.col("id").alias("a"), F.col("n").alias("n1"), F.col("bits").alias("k1")), "a")
+def _paired(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    side = lambda x, n, s: sets.select(F.col("id").alias(x), F.col("n").alias(n), F.col("s").alias(s))
+    return pairs.join(side("b", "n2", "s2"), "b").join(side("a", "n1", "s1"), "a")
 
-    def possible(batches):
-        for b in batches:
-            keep = []
-            for x, y, m, n in zip(b["k1"], b["k2"], b["n1"], b["n2"], strict=True):
-                least = -(-(m + n) * percent // (100 + percent))
-                only_x, only_y = _differ(x, y)
-                keep.append(only_x <= m - least and only_y <= n - least)
-            yield b.loc[keep, ["a", "b"]]
 
+def judged(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFrame:
+    """(a, b, n1, n2, common, linked) for every pair: the size of the intersection, or a bound of it too low for a link."""
+    ids = lambda p: p.select(F.col("a").alias("id")).union(p.select("b")).distinct()
+    out = "a long, b long, n1 long, n2 long, common long, linked boolean"
+    if pairs.isEmpty():
+        return docs.sparkSession.createDataFrame([], out)
+    marks = stored(sets_of(docs, ids(pairs), k, True), "sketches")
+
+    def bounded(batches):
+        for b in batches:
+            both = [_differ(x, y) for x, y in zip(b["s1"], b["s2"], strict=True)]
+            only = np.array(both, np.int64).reshape(-1, 2)
+            b["common"] = np.minimum(b["n1"] - only[:, 0], b["n2"] - only[:, 1])
+            b["linked"] = b["common"] * (100 + percent) >= (b["n1"] + b["n2"]) * percent
+            yield b[["a", "b", "n1", "n2", "common", "linked"]]
+
+    near = stored(_paired(pairs, marks).mapInPandas(tidied(bounded), out), "bounded")
+    drop(marks)
     # whole sets travel only for pairs that the sketches leave open
-    pairs = stored(near.mapInPandas(tidied(possible), "a long, b long"), "possible")
-    open_ids = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
-    sets = sets.select("id", "s").join(open_ids, "id", "left_semi")
-    both = pairs.join(sets.select(F.col("id").alias("b"), F.col("s").alias("s2")), "b").join(sets.select(F.col("id").alias("a"), F.col("s").alias("s1")), "a")
+    open_ = near.filter("linked").select("a", "b")
+    if open_.isEmpty():
+        return near
+    whole = stored(sets_of(docs, ids(open_), k, False), "sets")
 
-    def run(batches):
+    def exact(batches):
         for b in batches:
-            keep = []
+            common = []
             for x, y in zip(b["s1"], b["s2"], strict=True):
                 x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
                 if len(x) > len(y):
                     x, y = y, x
                 at = np.searchsorted(y, x)
                 at[at == len(y)] = 0
-                common = int((y[at] == x).sum())
-                keep.append(100 * common >= percent * (len(x) + len(y) - common))
-            yield b.loc[keep, ["a", "b"]]
+                common.append(int((y[at] == x).sum()))
+            b["common"] = np.array(common, np.int64)
+            b["linked"] = b["common"] * (100 + percent) >= (b["n1"] + b["n2"]) * percent
+            yield b[["a", "b", "n1", "n2", "common", "linked"]]
+
+    done = stored(_paired(open_, whole).mapInPandas(tidied(exact), out).unionByName(near.filter("not linked")), "judged")
+    drop(near, whole)
+    return done
 
-    return both.mapInPandas(tidied(run), "a long, b long")
+
+def _entries(bits=None):
+    """Batch function: prefixes (id, n, c, grams) to rows (g, id, n, c, p); only n-grams in the bitmap, if one is given."""
+
+    def run(batches):
+        for b in filter(len, batches):
+            ids, ns, cs = (b[x].to_numpy() for x in ("id", "n", "c"))
+            grams = [np.frombuffer(x, np.uint64) for x in b["grams"]]
+            sizes = [len(x) for x in grams]
+            g = np.concatenate(grams)
+            p = np.concatenate([np.arange(x, dtype=np.int32) for x in sizes])
+            row = np.repeat(np.arange(len(b)), sizes)
+            if bits is not None:
+                at, pos = _places(g)
+                keep = (bits.value[at] >> pos) & 1 == 1
+                g, p, row = g[keep], p[keep], row[keep]
+            for i in range(0, len(g), 1 << 16):
+                part = slice(i, i + (1 << 16))
+                r = row[part]
+                yield pd.DataFrame({"g": g[part].view(np.int64), "id": ids[r], "n": ns[r], "c": cs[r], "p": p[part]})
+
+    return tidied(run)
 
 
 def _counted(percent: int):
@@ -211,9 +266,10 @@ def _counted(percent: int):
         top = lambda x: np.maximum.reduceat(x, new)
         a, i, na, n = a[new], i[new], na[new], n[new]
         least = -(-(na + n) * percent // (100 + percent))
-        more = np.maximum(np.minimum(-(-na * percent // 100) - 1, n - top(p) - 1), np.minimum(na - top(pa) - 1, -(-n * percent // 100) - 1))
+        # what the two prefixes leave: the smaller set's is cut for a set of its own size, the larger one's for this pair
+        more = np.maximum(np.minimum(-(-2 * na * percent // (100 + percent)) - 1, n - top(p) - 1), np.minimum(na - top(pa) - 1, least - 1))
         keep = (np.minimum(na - low(pa), n - low(p)) >= least) & (k + more >= least)
-        return pd.DataFrame({"a": a[keep], "b": i[keep]})
+        return pd.DataFrame({"a": a[keep], "b": i[keep], "na": na[keep], "nb": n[keep]})
 
     def run(batches):
         held = None
@@ -230,13 +286,47 @@ def _counted(percent: int):
     return run
 
 
+def candidates(entries: DataFrame, mixed: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b), a the smaller set, of different components whose prefixes allow a link.
+
+    A set of n n-grams whose entry lies at position p can meet smaller sets of na n-grams while
+    n - p >= percent (na + n) / (100 + percent); so position gives the largest na, similarity the least.
+    """
+    band = lambda n: F.floor(F.log(n.cast("double")) / F.log(F.lit(100.0 / percent)) + 1e-9)
+    both, n, p = 100 + percent, F.col("n").cast("long"), F.col("p").cast("long")
+    most = F.least(n, F.floor((n - p) * both / percent) - n)
+    lists = entries.join(mixed, "g").withColumns({"least": F.ceil(n * percent / 100), "most": most}).filter("least <= most")
+    lists = lists.withColumn("band", F.explode(F.sequence(band(F.col("least")), band(F.col("most")))))
+    # blocks of one n-gram and band of smaller sizes: cut by range, long lists also by a hash of the set
+    part = F.pmod(F.xxhash64("id"), F.ceil(F.col("many") / BLOCK_ENTRIES))
+    row = F.struct("most", "least", "id", "c", F.col("n").cast("int").alias("n"), "p")
+    lists = lists.groupBy("g", "band", part.alias("part")).agg(F.reverse(F.array_sort(F.collect_list(row))).alias("list"), F.max("most").alias("most"), F.min("least").alias("least"))
+    # the smaller set's own prefix ends where too few n-grams are left for a set of its own size
+    probe = entries.filter((n - p) * both >= 2 * n * percent).join(mixed.select("g"), "g", "left_semi")
+    probe = probe.select("g", F.col("id").alias("a"), F.col("c").alias("ca"), n.alias("na"), p.alias("pa"), band(n).alias("band"))
+    met = probe.join(lists, ["g", "band"]).filter("na between least and most")
+    # sorted by the largest size they serve: what follows the first entry that serves smaller sizes only is skipped
+    met = met.withColumn("list", F.slice("list", F.lit(1), F.size(F.filter("list", lambda x: x["most"] >= F.col("na")))))
+    fit = lambda x: (x["c"] != F.col("ca")) & (x["least"] <= F.col("na")) & ((F.col("na") < x["n"]) | (F.col("a") < x["id"]))
+    met = met.select("a", "na", "pa", F.filter("list", fit).alias("list")).filter(F.size("list") > 0)
+    met = met.select("a", F.col("na").cast("int"), F.col("pa").cast("int"), *[F.col(f"list.{x}").alias(f"{x}s") for x in ("id", "n", "p")])
+    return met.repartition("a").sortWithinPartitions("a").mapInPandas(tidied(_counted(percent)), "a long, b long, na long, nb long")
+
+
 def near_components(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """(doc_id, n_shingles, component_id) per row of docs(doc_id, text)."""
+    spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     profiles = stored(profile(docs, k), "profiles")
-    rows = profiles.filter("bucket is null").select("doc_id", "n", "f1", "f2", "m")
+    rows = profiles.filter("bucket is null").select(F.when(~F.col("nil"), F.col("doc_id")).alias("doc_id"), "n", "f1", "f2", "m")
     live = rows.filter("n > 0 and doc_id is not null")
-    classes = stored(live.groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"), F.first("m").alias("m")), "classes")
+    classes = stored(live.groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"), F.first("m").alias("m"), F.count("*").alias("rows")), "classes")
+    # documents that are not their class's first, by every class they belong to
+    same = stored(live.join(classes.select("f1", "f2", "n", "rep"), ["f1", "f2", "n"]).filter("doc_id <> rep").select("doc_id", "rep"), "copies")
+
+    # ids with more than one text: they lead and follow nobody
+    texts = same.select("doc_id", "rep").distinct().unionByName(classes.select(F.col("rep").alias("doc_id"), "rep"))
+    shared = stored(texts.groupBy("doc_id").agg(F.count("*").alias("k")).filter("k > 1").select("doc_id"), "shared-ids")
 
     # stars around two hubs of each minimum's bucket: the smallest id, and the smallest set, which differs least
     # from sets that share most of it
@@ -248,39 +338,53 @@ def near_components(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     star = star.select("h", F.least("a", "rep").alias("a"), F.greatest("a", "rep").alias("b")).distinct()
     # two common minima are worth a look; a link missed here is found through the index
     star = star.groupBy("a", "b").agg(F.count("*").alias("c")).filter("c >= 2").select("a", "b")
-    star = stored(star, "star-pairs")
-    first = stored(verified(star, docs, k, percent), "star-links")
-    # documents whose rows repeat an id with other texts are joined through that id
-    same = live.join(classes.select("f1", "f2", "n", "rep"), ["f1", "f2", "n"]).filter("doc_id <> rep").select(F.col("doc_id"), "rep")
-    roots = components(first)
-
+    star = stored(star, "star")
+    seen = judged(star, docs, k, percent)
+    first = seen.filter("linked")
+    roots = components(first.select("a", "b"))
+    # the leader: the most similar hub of smaller id that follows none itself
+    plain = first.join(shared.select(F.col("doc_id").alias("a")), "a", "left_anti").join(shared.select(F.col("doc_id").alias("b")), "b", "left_anti")
+    follow = plain.groupBy(F.col("b").alias("id")).agg(F.max(F.struct((2 * F.col("common") - F.col("n1")).alias("gain"), (-F.col("a")).alias("lead"), (F.col("n2") - F.col("common")).alias("beyond"), F.col("n1").alias("size"))).alias("top"))
+    follow = follow.select("id", (-F.col("top.lead")).alias("lead"), "top.beyond", F.col("top.size").alias("lead_n"))
+    follow = stored(follow.join(follow.select(F.col("id").alias("lead")), "lead", "left_anti").select("id", "lead", "beyond", "lead_n"), "follow")
+
+    # prefixes of classes, once; only ids that are copies or in a first component need a look at either table
     weights = bucket_weights(profiles)
-    entries = prefixes(docs, weights, k, percent).filter("doc_id is not null")
-    entries = entries.join(classes.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi")
-    entries = entries.join(roots.select(F.col("v").alias("doc_id"), "root"), "doc_id", "left")
-    entries = entries.select(F.col("doc_id").alias("id"), "n", F.coalesce("root", "doc_id").alias("c"), F.posexplode("grams").alias("p", "g"))
-    mixed = entries.groupBy("g").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.count("*").alias("many"), F.min("n").alias("least"), F.max("n").alias("most"))
+    special = same.select(F.col("doc_id").alias("id")).union(roots.select("v")).union(classes.filter("rows > 1").select("rep"))
+    made = stored(prefixes(docs.filter("doc_id is not null"), weights, bitmap_of(special.select(_bit("id"))), k, percent), "made")
+    looked = made.filter("marked").join(classes.select(F.col("rep").alias("id")), "id", "left_semi").dropDuplicates(["id", "grams"])
+    looked = looked.join(roots.select(F.col("v").alias("id"), "root"), "id", "left").select("id", "n", F.coalesce("root", "id").alias("c"), "grams")
+    heads = stored(made.filter("not marked").select("id", "n", F.col("id").alias("c"), "grams").unionByName(looked), "prefixes")
+    drop(made)
+    as_rows = "g long, id long, n int, c long, p int"
+    seen_in = heads.mapInPandas(_entries(), as_rows).groupBy("g")
+    mixed = seen_in.agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.count("*").alias("many"), F.min("n").alias("least"), F.max("n").alias("most"))
     # an n-gram of two sets whose sizes are too far apart links nothing
     mixed = mixed.filter("lo < hi").filter(f"many > 2 or least * 100 >= most * {percent}").select("g", "many")
-    index = stored(entries.join(mixed, "g"), "index")
-    band = lambda n: F.floor(F.log(n.cast("double")) / F.log(F.lit(100.0 / percent)) + 1e-9)
-    own = index.withColumn("band", band(F.col("n")))
-    # blocks of the index: entries of one n-gram and size band, long lists cut by a hash of the set
-    part = F.pmod(F.xxhash64("id"), F.ceil(F.col("many") / BLOCK_ENTRIES))
-    lists = own.groupBy("g", "band", part.alias("part")).agg(F.collect_list(F.struct("id", "c", F.col("n").cast("int").alias("n"), "p")).alias("list"))
-    # a set meets the bands from its own size up to the largest size that can be similar
-    widest = F.floor(F.col("n") * 100 / percent + 1e-9)
-    left = own.select("g", F.col("id").alias("a"), F.col("c").alias("ca"), F.col("n").cast("int").alias("na"), F.col("p").alias("pa"), F.explode(F.sequence(F.col("band"), band(widest))).alias("band"))
-    # only entries of other components and fitting sizes, each pair from its smaller set, go on to the count
-    fit = lambda x: (x["c"] != F.col("ca")) & ((F.col("na") < x["n"]) | ((F.col("na") == x["n"]) & (F.col("a") < x["id"]))) & (F.col("na").cast("long") * 100 >= x["n"].cast("long") * percent)
-    met = left.join(lists.select("g", "band", "list"), ["g", "band"]).select("a", "na", "pa", F.filter("list", fit).alias("list")).filter(F.size("list") > 0)
-    met = met.select("a", "na", "pa", *[F.col(f"list.{x}").alias(f"{x}s") for x in ("id", "n", "p")])
-    met = met.repartition("a").sortWithinPartitions("a").mapInPandas(tidied(_counted(percent)), "a long, b long")
-    pairs = stored(met.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), "pairs")
-    links = first.unionByName(verified(pairs, docs, k, percent))
-    shared = same.groupBy("doc_id").agg(F.countDistinct("rep").alias("k")).filter("k > 1").select("doc_id")
+    mixed = stored(mixed, "mixed")
+    bits = spark.sparkContext.broadcast(bitmap_of(mixed.select(F.pmod("g", F.lit(BITMAP_BITS)).alias("bit"))))
+    entries = stored(heads.mapInPandas(_entries(bits), as_rows), "index")
+    pairs = stored(candidates(entries, mixed, percent), "pairs")
+    drop(heads, mixed, entries)
+
+    # answers of leaders, then of those who follow them
+    side = lambda x: follow.select(F.col("id").alias(x), F.col("lead").alias(f"l{x}"), F.col("beyond").alias(f"more_{x}"), F.col("lead_n").alias(f"l{x}_n"))
+    told = pairs.join(side("a"), "a", "left").join(side("b"), "b", "left")
+    told = told.select("a", "b", "na", "nb", *[F.coalesce(f"l{x}", x).alias(f"l{x}") for x in "ab"], *[F.coalesce(f"more_{x}", F.lit(0)).alias(f"more_{x}") for x in "ab"], *[F.coalesce(f"l{x}_n", f"n{x}").alias(f"l{x}_n") for x in "ab"])
+    told = stored(told, "told")
+    drop(pairs)
+    led = judged(told.filter("a = la and b = lb").select("a", "b"), docs, k, percent)
+    needs = lambda x, y: F.ceil((F.col(x) + F.col(y)) * percent / (100 + percent))
+    ends = told.filter("a <> la or b <> lb").withColumns({"x": F.least("la", "lb"), "y": F.greatest("la", "lb")})
+    said = led.select(F.least("a", "b").alias("x"), F.greatest("a", "b").alias("y"), F.col("common"), "linked")
+    ends = ends.join(said, ["x", "y"], "left").filter("linked is null or not linked")
+    could = F.coalesce("common", needs("la_n", "lb_n") - 1) + F.col("more_a") + F.col("more_b")
+    left = judged(stored(ends.filter(could >= needs("na", "nb")).select("a", "b"), "open"), docs, k, percent)
+    links = first.unionByName(led.filter("linked")).unionByName(left.filter("linked")).select("a", "b")
+    # documents whose rows repeat an id with other texts are joined through that id
     links = links.unionByName(same.join(shared, "doc_id", "left_semi").select(F.col("doc_id").alias("a"), F.col("rep").alias("b")))
     final = components(links).select(F.col("v").alias("rep"), "root")
+    drop(star, seen, roots, follow, told, led, left, same, shared)
 
     known = classes.select("f1", "f2", "n", "rep").join(final, "rep", "left").select("f1", "f2", "n", F.coalesce("root", "rep").alias("component_id"))
     done = live.join(known, ["f1", "f2", "n"]).select("doc_id", F.col("n").alias("n_shingles"), "component_id")
