@@ -6,10 +6,10 @@
 2. Classes that share minima are compared with that bucket's two hubs only (stars, never all pairs). The links found
    make first components; a member keeps its most similar hub as leader, with the size of what it has beyond it.
 3. Index: n-grams are ordered by (bucket frequency, hash), and sets that reach the similarity share an n-gram of their
-   prefixes. Together with its position an entry states which sizes of the smaller set it can still serve (behind
-   that position too few n-grams are left for the others). Lists are cut into blocks by that range, sorted by it
-   inside, and a smaller set meets only the blocks that serve its size; the rest of every list is skipped. N-grams whose
-   classes are all in one component, or are two of unlike size, never enter the index.
+   prefixes. By its position an entry can serve only some sizes of the smaller set (for the others, too few n-grams
+   are left behind it). Lists are cut into blocks by these ranges, and a smaller set meets only blocks that serve
+   its size; the rest of every list is skipped. N-grams whose classes are all in one component, or are two of unlike
+   size, never enter the index.
 4. Answers: candidate pairs of leaders are settled first, and each keeps a bound of its intersection (exact, if the
    sets were compared). A member's pairs then follow from the answers of its leader: a pair is done when the leaders
    are linked, and is out when the leaders' intersection and what both members have beyond them cannot make a
@@ -38,6 +38,7 @@ from .common import components, drop, in_blocks, mix, shingle_hashes, stored, ta
 
 HUBS = 6
 BLOCK_ENTRIES = 128
+SLOTS = 8
 BUCKET_BITS = 20
 BITMAP_BITS = 1 << 26
 MAX_BUCKETS = 1 << BUCKET_BITS
@@ -147,20 +148,19 @@ def _places(grams: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _sketch(s: np.ndarray) -> bytes:
-    """The set's occupied buckets as bits, four to eight buckets for each n-gram."""
-    at = np.zeros(max(64, 1 << (4 * len(s) - 1).bit_length()), bool)
-    at[(s & np.uint64(len(at) - 1)).astype(np.int64)] = True
-    return np.packbits(at).tobytes()
+    """Parities of the numbers of n-grams in one to two buckets for each of them."""
+    size = max(64, 1 << (len(s) - 1).bit_length())
+    return np.packbits(np.bincount((s & np.uint64(size - 1)).astype(np.int64), minlength=size) & 1).tobytes()
 
 
-def _differ(x: bytes, y: bytes) -> tuple[int, int]:
-    """At least so many n-grams lie in the first set only, and in the second only: buckets the other leaves empty."""
+def _differ(x: bytes, y: bytes) -> int:
+    """At least so many n-grams lie in one of the two sets only: a bucket of unlike parities holds one of them."""
     x, y = np.frombuffer(x, np.uint8), np.frombuffer(y, np.uint8)
     while len(x) > len(y):
-        x = x[: len(x) // 2] | x[len(x) // 2 :]
+        x = x[: len(x) // 2] ^ x[len(x) // 2 :]
     while len(y) > len(x):
-        y = y[: len(y) // 2] | y[len(y) // 2 :]
-    return int(np.bitwise_count(x & ~y).sum()), int(np.bitwise_count(y & ~x).sum())
+        y = y[: len(y) // 2] ^ y[len(y) // 2 :]
+    return int(np.bitwise_count(x ^ y).sum())
 
 
 def sets_of(docs: DataFrame, ids: DataFrame, k: int, sketch: bool) -> DataFrame:
@@ -192,9 +192,8 @@ def judged(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFrame
 
     def bounded(batches):
         for b in batches:
-            both = [_differ(x, y) for x, y in zip(b["s1"], b["s2"], strict=True)]
-            only = np.array(both, np.int64).reshape(-1, 2)
-            b["common"] = np.minimum(b["n1"] - only[:, 0], b["n2"] - only[:, 1])
+            apart = np.array([_differ(x, y) for x, y in zip(b["s1"], b["s2"], strict=True)], np.int64)
+            b["common"] = np.minimum(np.minimum(b["n1"], b["n2"]), (b["n1"] + b["n2"] - apart) // 2)
             b["linked"] = b["common"] * (100 + percent) >= (b["n1"] + b["n2"]) * percent
             yield b[["a", "b", "n1", "n2", "common", "linked"]]
 
@@ -286,7 +285,7 @@ def _counted(percent: int):
     return run
 
 
-def candidates(entries: DataFrame, mixed: DataFrame, percent: int) -> DataFrame:
+def candidates(index: DataFrame, percent: int) -> DataFrame:
     """Pairs (a, b), a the smaller set, of different components whose prefixes allow a link.
 
     A set of n n-grams whose entry lies at position p can meet smaller sets of na n-grams while
@@ -294,20 +293,20 @@ def candidates(entries: DataFrame, mixed: DataFrame, percent: int) -> DataFrame:
     """
     band = lambda n: F.floor(F.log(n.cast("double")) / F.log(F.lit(100.0 / percent)) + 1e-9)
     both, n, p = 100 + percent, F.col("n").cast("long"), F.col("p").cast("long")
-    most = F.least(n, F.floor((n - p) * both / percent) - n)
-    lists = entries.join(mixed, "g").withColumns({"least": F.ceil(n * percent / 100), "most": most}).filter("least <= most")
-    lists = lists.withColumn("band", F.explode(F.sequence(band(F.col("least")), band(F.col("most")))))
-    # blocks of one n-gram and band of smaller sizes: cut by range, long lists also by a hash of the set
-    part = F.pmod(F.xxhash64("id"), F.ceil(F.col("many") / BLOCK_ENTRIES))
-    row = F.struct("most", "least", "id", "c", F.col("n").cast("int").alias("n"), "p")
-    lists = lists.groupBy("g", "band", part.alias("part")).agg(F.reverse(F.array_sort(F.collect_list(row))).alias("list"), F.max("most").alias("most"), F.min("least").alias("least"))
+    serves = lambda n, p: F.least(n, F.floor((n - p) * both / percent) - n)
+    lists = index.withColumns({"least": F.ceil(n * percent / 100), "most": serves(n, p)}).filter("least <= most")
+    # blocks of one n-gram and band of smaller sizes; long lists are cut by the share of sizes their entries serve, which
+    # falls with the position, and then by a hash of the set
+    slot = F.floor((n - F.col("most")) * SLOTS / (n - F.col("least") + 1))
+    part = F.when(F.col("many") > BLOCK_ENTRIES, slot * (1 << 40) + F.pmod(F.xxhash64("id"), F.ceil(F.col("many") / BLOCK_ENTRIES))).otherwise(0)
+    lists = lists.select("g", F.explode(F.sequence(band(F.col("least")), band(F.col("most")))).alias("band"), part.alias("part"), "least", "most", F.struct("id", "c", "n", "p").alias("row"))
+    lists = lists.groupBy("g", "band", "part").agg(F.collect_list("row").alias("list"), F.max("most").alias("most"), F.min("least").alias("least"))
     # the smaller set's own prefix ends where too few n-grams are left for a set of its own size
-    probe = entries.filter((n - p) * both >= 2 * n * percent).join(mixed.select("g"), "g", "left_semi")
+    probe = index.filter((n - p) * both >= 2 * n * percent)
     probe = probe.select("g", F.col("id").alias("a"), F.col("c").alias("ca"), n.alias("na"), p.alias("pa"), band(n).alias("band"))
-    met = probe.join(lists, ["g", "band"]).filter("na between least and most")
-    # sorted by the largest size they serve: what follows the first entry that serves smaller sizes only is skipped
-    met = met.withColumn("list", F.slice("list", F.lit(1), F.size(F.filter("list", lambda x: x["most"] >= F.col("na")))))
-    fit = lambda x: (x["c"] != F.col("ca")) & (x["least"] <= F.col("na")) & ((F.col("na") < x["n"]) | (F.col("a") < x["id"]))
+    met = probe.join(lists.drop("part"), ["g", "band"]).filter("na between least and most")
+    size = lambda x: x["n"].cast("long")
+    fit = lambda x: (x["c"] != F.col("ca")) & (F.col("na") * 100 >= size(x) * percent) & (F.col("na") <= serves(size(x), x["p"].cast("long"))) & ((F.col("na") < x["n"]) | (F.col("a") < x["id"]))
     met = met.select("a", "na", "pa", F.filter("list", fit).alias("list")).filter(F.size("list") > 0)
     met = met.select("a", F.col("na").cast("int"), F.col("pa").cast("int"), *[F.col(f"list.{x}").alias(f"{x}s") for x in ("id", "n", "p")])
     return met.repartition("a").sortWithinPartitions("a").mapInPandas(tidied(_counted(percent)), "a long, b long, na long, nb long")
@@ -363,9 +362,9 @@ def near_components(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     mixed = mixed.filter("lo < hi").filter(f"many > 2 or least * 100 >= most * {percent}").select("g", "many")
     mixed = stored(mixed, "mixed")
     bits = spark.sparkContext.broadcast(bitmap_of(mixed.select(F.pmod("g", F.lit(BITMAP_BITS)).alias("bit"))))
-    entries = stored(heads.mapInPandas(_entries(bits), as_rows), "index")
-    pairs = stored(candidates(entries, mixed, percent), "pairs")
-    drop(heads, mixed, entries)
+    index = stored(heads.mapInPandas(_entries(bits), as_rows).join(mixed, "g"), "index")
+    pairs = stored(candidates(index, percent), "pairs")
+    drop(heads, mixed, index)
 
     # answers of leaders, then of those who follow them
     side = lambda x: follow.select(F.col("id").alias(x), F.col("lead").alias(f"l{x}"), F.col("beyond").alias(f"more_{x}"), F.col("lead_n").alias(f"l{x}_n"))
