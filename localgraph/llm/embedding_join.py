@@ -1,12 +1,14 @@
 """Near-duplicate embeddings by an epsilon grid order join.
 
 Cosine >= s between unit vectors is distance <= eps = sqrt(2 - 2 s). Equal vectors become one weighted class
-first. Unit vectors are rotated to their principal axes (from sums over all vectors); the grid cells of width eps
-on the leading axes, compared lexicographically, are the order. A range partitioning by it is cut into blocks of at
-most BLOCK vectors with bounding boxes on the axes. Blocks meet only where first-axis cells are neighbours and
-boxes are within eps; inside a pair of blocks both sequences are halved recursively, and halves whose boxes are
-further apart than eps are skipped, before products are taken in double precision. A pair of blocks yields,
-per vector, its number of links, and a spanning forest of the links: never the links themselves.
+first, with a number of its own. Unit vectors are rotated to their principal axes (from sums over all vectors); the grid
+cells of width eps on the leading axes, compared lexicographically, are the order. A range partitioning by it is cut
+into blocks with bounding boxes on the axes, and consecutive blocks form stretches of about STRETCH numbers. Two
+stretches meet in one task if their first-axis cells are neighbours and their boxes within eps, so a block travels
+once for each stretch near its own. In the task both sequences are halved recursively, and halves whose boxes
+are further apart than eps are skipped, before products are taken in double precision. Links are counted by
+row sums and merged by labels: a task returns, per class, its number of links and one edge to its component's
+first class, never the links themselves, so a group of near copies costs products but no work per link.
 
 Defined results: vectors that are null, empty, zero or hold null or non-finite components, and rows with a null
 id, link with nothing (n_links 0, their own component); vectors of different lengths do not link; every repeated
@@ -19,16 +21,16 @@ import math
 
 import numpy as np
 import pandas as pd
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, stored, table, tidied
+from .common import components, drop, stored, table, tidied
 
 SIMILARITY = 0.9
 LEAD = 8
-BLOCK = 4096
+STRETCH = 1 << 20
 LEAF = 512
-FLUSH = 200_000
 SLACK = 1e-9
 
 
@@ -66,44 +68,46 @@ def apart(lo1, hi1, lo2, hi2) -> float:
     return float(np.sqrt((gap * gap).sum()))
 
 
-class Tally:
-    """Link counts and a spanning forest, collected over many pairs of blocks."""
+class Forest:
+    """Link counts and components of the classes of one or two stretches, by their places."""
 
-    def __init__(self):
-        self.n: dict[int, int] = {}
-        self.up: dict[int, int] = {}
+    def __init__(self, size: int):
+        self.n = np.zeros(size, np.int64)
+        self.up = list(range(size))
 
     def root(self, a: int) -> int:
-        while (b := self.up.setdefault(a, a)) != a:
-            self.up[a] = self.up[b]
-            a = b
+        up = self.up
+        while up[a] != a:
+            up[a] = a = up[up[a]]
         return a
 
-    def add(self, ids1, w1, ids2, w2, linked: np.ndarray, both: bool) -> None:
-        for ids, counts in ((ids1, linked @ w2), *(((ids2, w1 @ linked),) if both else ())):
-            for k in np.flatnonzero(counts):
-                i = int(ids[k])
-                self.n[i] = self.n.get(i, 0) + int(counts[k])
-        for k in np.flatnonzero(linked.any(1)):
-            a = self.root(int(ids1[k]))
-            for m in np.flatnonzero(linked[k]):
-                if (b := self.root(int(ids2[m]))) != a:
-                    self.up[max(a, b)] = min(a, b)
-                    a = min(a, b)
-
-    def take(self) -> pd.DataFrame:
-        links = [(i, r) for i in self.up if (r := self.root(i)) != i]
-        n = list(self.n.items())
-        out = pd.DataFrame({"a": [x[0] for x in n + links], "b": [None] * len(n) + [x[1] for x in links], "n": [x[1] for x in n] + [0] * len(links)})
-        self.__init__()
-        return out.astype({"a": "int64", "b": "Int64", "n": "int64"})
-
-
-def link_blocks(one: tuple, two: tuple, same: bool, s: float, eps: float, tally: Tally) -> None:
-    """Join two blocks (ids, weights, unit vectors, raw vectors, leading coordinates) in epsilon grid order."""
+    def add(self, at1: int, w1: np.ndarray, at2: int, w2: np.ndarray, linked: np.ndarray, both: bool) -> None:
+        """Links between the classes from at1 on and those from at2 on."""
+        rows, cols = linked.shape
+        self.n[at1 : at1 + rows] += linked @ w2
+        if both:
+            self.n[at2 : at2 + cols] += w1 @ linked
+        some1, some2 = np.flatnonzero(linked.any(1)), np.flatnonzero(linked.any(0))
+        while True:
+            label1, label2 = np.full(rows, -1), np.full(cols, -1)
+            label1[some1] = [self.root(at1 + i) for i in some1.tolist()]
+            label2[some2] = [self.root(at2 + j) for j in some2.tolist()]
+            open_ = linked & (label1[:, None] != label2[None, :])
+            if not open_.any():
+                return
+            # one open link of each row and column: every component left meets another one
+            i, j = np.flatnonzero(open_.any(1)), np.flatnonzero(open_.any(0))
+            for x, y in [*zip(i, open_[i].argmax(1), strict=True), *zip(open_[:, j].argmax(0), j, strict=True)]:
+                a, b = self.root(at1 + int(x)), self.root(at2 + int(y))
+                self.up[max(a, b)] = min(a, b)
+
+
+def link_stretches(one: tuple, two: tuple, same: bool, s: float, eps: float, forest: Forest) -> None:
+    """Join two stretches (weights, unit vectors, raw vectors, leading coordinates) in epsilon grid order."""
+    shift = 0 if same else len(one[0])
 
     def meet(a: slice, b: slice) -> None:
-        p, q = one[4][a], two[4][b]
+        p, q = one[3][a], two[3][b]
         if same and a.start > b.start or apart(p.min(0), p.max(0), q.min(0), q.max(0)) > eps + SLACK:
             return
         na, nb = a.stop - a.start, b.stop - b.start
@@ -113,16 +117,16 @@ def link_blocks(one: tuple, two: tuple, same: bool, s: float, eps: float, tally:
                 for y in halves(b, nb):
                     meet(x, y)
             return
-        cos = one[2][a] @ two[2][b].T
+        cos = one[1][a] @ two[1][b].T
         linked = cos >= s
         for i, j in zip(*np.nonzero(np.abs(cos - s) < SLACK), strict=True):
-            x, y = one[3][a][i].astype(np.float64), two[3][b][j].astype(np.float64)
+            x, y = one[2][a][i].astype(np.float64), two[2][b][j].astype(np.float64)
             linked[i, j] = x @ y / (math.sqrt(x @ x) * math.sqrt(y @ y)) >= s
         twin = same and a.start == b.start
         if twin:
             np.fill_diagonal(linked, False)
         if linked.any():
-            tally.add(one[0][a], one[1][a], two[0][b], two[1][b], linked, not twin)
+            forest.add(a.start, one[0][a], shift + b.start, two[0][b], linked, not twin)
 
     meet(slice(0, len(one[0])), slice(0, len(two[0])))
 
@@ -131,7 +135,9 @@ def linked_components(vectors: DataFrame, vec_id: str = "vec_id", embedding: str
     """(vec_id, n_links, component_id, kept) for every row of vectors."""
     spark, eps = vectors.sparkSession, math.sqrt(max(0.0, 2 - 2 * similarity))
     e = F.col("e")
-    rows = vectors.select(F.col(vec_id).cast("long").alias("vec_id"), F.col(embedding).cast("array<double>").alias("e"))
+    # single-precision input travels as such: its double values are the same
+    kind = "float" if vectors.schema[embedding].dataType.simpleString() == "array<float>" else "double"
+    rows = vectors.select(F.col(vec_id).cast("long").alias("vec_id"), F.col(embedding).cast(f"array<{kind}>").alias("e"))
     fine = F.coalesce(
         F.col("vec_id").isNotNull() & (F.size(e) > 0)
         & F.forall(e, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf")))
@@ -139,9 +145,13 @@ def linked_components(vectors: DataFrame, vec_id: str = "vec_id", embedding: str
     )
     rows = rows.withColumn("ok", fine)
     keyed = rows.filter("ok").select("vec_id", "e", F.xxhash64("e").alias("k1"), F.xxhash64(F.lit(1), "e").alias("k2"))
-    classes = stored(keyed.groupBy("k1", "k2").agg(F.min("vec_id").alias("rep"), F.count("*").alias("w"), F.first("e").alias("v")).withColumn("dim", F.size("v")), "vector-classes")
+    classes = keyed.groupBy("k1", "k2").agg(F.min("vec_id").alias("rep"), F.count("*").alias("w"), F.first("e").alias("v"))
+    # numbers are fixed by writing them
+    classes = stored(classes.withColumns({"dim": F.size("v"), "class": F.monotonically_increasing_id()}), "vector-classes")
     axes = spark.sparkContext.broadcast(principal_axes(classes))
-    total = classes.count()
+    about = classes.agg(F.count("*").alias("n"), F.max("dim").alias("dim")).first()
+    stretch = max(64, STRETCH // (about.dim or 1))
+    block = max(16, stretch // 4)
 
     def order(batches):
         for b in batches:
@@ -151,60 +161,73 @@ def linked_components(vectors: DataFrame, vec_id: str = "vec_id", embedding: str
                 lead[part.index - b.index[0], :n] = _unit(np.stack(part["v"].to_numpy())) @ axes.value[dim][:, :n]
             b["y"] = list(lead)
             b["cell"] = list(np.floor(lead / max(eps, 1e-6)).astype(np.int32))
-            yield b[["rep", "w", "v", "dim", "y", "cell"]]
+            yield b[["class", "w", "v", "dim", "y", "cell"]]
 
     cells = [F.col("cell")[i] for i in range(LEAD)]
-    ordered = classes.select("rep", "w", "v", "dim").mapInPandas(tidied(order), "rep long, w long, v array<double>, dim int, y array<double>, cell array<int>")
-    ordered = ordered.repartitionByRange(max(1, -(-total // BLOCK)), "dim", *cells, "rep").sortWithinPartitions("dim", *cells, "rep")
+    ordered = classes.select("class", "w", "v", "dim").mapInPandas(tidied(order), f"class long, w long, v array<{kind}>, dim int, y array<double>, cell array<int>")
+    ordered = ordered.repartitionByRange(max(1, -(-about.n // block)), "dim", *cells, "class").sortWithinPartitions("dim", *cells, "class")
+    number = np.float32 if kind == "float" else np.float64
 
     def pack(batches):
-        def block(rows: pd.DataFrame):
+        part = TaskContext.get().partitionId()
+
+        def packed(rows: pd.DataFrame):
             y = np.stack(rows["y"].to_numpy())
             return pd.DataFrame({
-                "block": [int(rows["rep"].iloc[0])], "dim": [int(rows["dim"].iloc[0])], "lo": [y.min(0)], "hi": [y.max(0)],
-                "ids": [rows["rep"].to_numpy(np.int64).tobytes()], "ws": [rows["w"].to_numpy(np.int64).tobytes()],
-                "vs": [np.stack(rows["v"].to_numpy()).tobytes()], "ys": [y.tobytes()],
+                "part": [part], "dim": [int(rows["dim"].iloc[0])], "lo": [y.min(0)], "hi": [y.max(0)],
+                "ids": [rows["class"].to_numpy(np.int64).tobytes()], "ws": [rows["w"].to_numpy(np.int64).tobytes()],
+                "vs": [np.stack(rows["v"].to_numpy()).astype(number).tobytes()], "ys": [y.tobytes()],
             })
 
         held = None
         for b in batches:
             held = b if held is None else pd.concat([held, b], ignore_index=True)
-            while len(held) and (len(held) >= BLOCK or held["dim"].iloc[0] != held["dim"].iloc[-1]):
-                n = min(BLOCK, int((held["dim"] == held["dim"].iloc[0]).sum()))
-                yield block(held.iloc[:n])
+            while len(held) and (len(held) >= block or held["dim"].iloc[0] != held["dim"].iloc[-1]):
+                n = min(block, int((held["dim"] == held["dim"].iloc[0]).sum()))
+                yield packed(held.iloc[:n])
                 held = held.iloc[n:].reset_index(drop=True)
         if held is not None and len(held):
-            yield block(held)
-
-    blocks = stored(ordered.mapInPandas(tidied(pack), "block long, dim int, lo array<double>, hi array<double>, ids binary, ws binary, vs binary, ys binary"), "blocks")
-    boxes = blocks.select("block", "dim", "lo", "hi")
+            yield packed(held)
+
+    blocks = stored(ordered.mapInPandas(tidied(pack), "part int, dim int, lo array<double>, hi array<double>, ids binary, ws binary, vs binary, ys binary"), "blocks")
+    # as many partitions to a stretch as hold about its number of vectors
+    parts = (blocks.agg(F.max("part").alias("p")).first().p or 0) + 1
+    blocks = blocks.withColumn("s", F.floor(F.col("part") / max(1, stretch * parts // max(1, about.n))))
+    edge = lambda f, c: F.array(*[f(F.col(c)[i]) for i in range(LEAD)]).alias(c)
+    boxes = blocks.groupBy("dim", "s").agg(edge(F.min, "lo"), edge(F.max, "hi"))
     cell_of = lambda c: F.floor(F.col(c)[0] / max(eps, 1e-6))
-    left = boxes.select(F.col("block").alias("b1"), "dim", F.col("lo").alias("lo1"), F.col("hi").alias("hi1"), F.explode(F.sequence(cell_of("lo") - 1, cell_of("hi") + 1)).alias("c"))
-    right = boxes.select(F.col("block").alias("b2"), "dim", F.col("lo").alias("lo2"), F.col("hi").alias("hi2"), F.explode(F.sequence(cell_of("lo"), cell_of("hi"))).alias("c"))
+    left = boxes.select(F.col("s").alias("s1"), "dim", F.col("lo").alias("lo1"), F.col("hi").alias("hi1"), F.explode(F.sequence(cell_of("lo") - 1, cell_of("hi") + 1)).alias("c"))
+    right = boxes.select(F.col("s").alias("s2"), "dim", F.col("lo").alias("lo2"), F.col("hi").alias("hi2"), F.explode(F.sequence(cell_of("lo"), cell_of("hi"))).alias("c"))
     gaps = F.transform(F.arrays_zip("lo1", "hi1", "lo2", "hi2"), lambda z: F.greatest(F.lit(0.0), z["lo1"] - z["hi2"], z["lo2"] - z["hi1"]))
     near = F.aggregate(gaps, F.lit(0.0), lambda a, g: a + g * g) <= (eps + SLACK) ** 2
-    pairs = left.join(right, ["dim", "c"]).filter("b1 <= b2").filter(near).select("b1", "b2").distinct()
-    side = lambda k: blocks.select(F.col("block").alias(f"b{k}"), "dim", *[F.col(c).alias(f"{c}{k}") for c in ("ids", "ws", "vs", "ys")])
-    work = pairs.join(side(1), "b1").join(side(2).drop("dim"), "b2")
-
-    def join(batches):
-        tally = Tally()
-        for b in batches:
-            for r in b.itertuples():
-                sides = []
-                for k in "12":
-                    raw = np.frombuffer(getattr(r, f"vs{k}")).reshape(-1, r.dim)
-                    sides.append((np.frombuffer(getattr(r, f"ids{k}"), np.int64), np.frombuffer(getattr(r, f"ws{k}"), np.int64), _unit(raw), raw, np.frombuffer(getattr(r, f"ys{k}")).reshape(-1, LEAD)))
-                link_blocks(*sides, r.b1 == r.b2, similarity, eps, tally)
-                if len(tally.n) > FLUSH:
-                    yield tally.take()
-        yield tally.take()
-
-    found = stored(work.mapInPandas(tidied(join), "a long, b long, n long"), "vector-links")
-    links = found.filter("b is null").groupBy(F.col("a").alias("rep")).agg(F.sum("n").alias("n"))
-    roots = components(found.filter("b is not null").select("a", "b")).select(F.col("v").alias("rep"), "root")
-    known = classes.select("k1", "k2", "rep", "w").join(links, "rep", "left").join(roots, "rep", "left")
-    known = known.select("k1", "k2", (F.coalesce("n", F.lit(0)) + F.col("w") - 1).alias("n_links"), F.coalesce("root", "rep").alias("component_id"))
+    meets = left.join(right, ["dim", "c"]).filter("s1 <= s2").filter(near).select("dim", "s1", "s2").distinct()
+    meets = stored(meets, "meetings")
+    sent = meets.select("dim", F.col("s1").alias("s"), "s1", "s2").union(meets.filter("s1 < s2").select("dim", "s2", "s1", "s2"))
+    work = blocks.drop("lo", "hi").join(sent, ["dim", "s"])
+
+    def join(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
+        dim, s1, s2 = (int(x) for x in key)
+        sides, ids = [], []
+        for s in (s1, s2):
+            own = rows[rows["s"] == s]
+            raw = np.concatenate([np.frombuffer(x, number).reshape(-1, dim) for x in own["vs"]])
+            sides.append((np.concatenate([np.frombuffer(x, np.int64) for x in own["ws"]]), _unit(raw), raw, np.concatenate([np.frombuffer(x).reshape(-1, LEAD) for x in own["ys"]])))
+            ids.append(np.concatenate([np.frombuffer(x, np.int64) for x in own["ids"]]))
+        ids = ids[0] if s1 == s2 else np.concatenate(ids)
+        forest = Forest(len(ids))
+        link_stretches(*sides, s1 == s2, similarity, eps, forest)
+        some = np.flatnonzero(forest.n)
+        return pd.DataFrame({"a": ids[some], "b": ids[[forest.root(i) for i in some.tolist()]], "n": forest.n[some]})
+
+    found = stored(work.groupBy("dim", "s1", "s2").applyInPandas(join, "a long, b long, n long"), "vector-links")
+    drop(blocks, meets)
+    links = found.groupBy(F.col("a").alias("class")).agg(F.sum("n").alias("n"))
+    roots = components(found.filter("a <> b").select("a", "b")).select(F.col("v").alias("class"), "root")
+    own = classes.select("class", "rep", "k1", "k2", "w").join(links, "class", "left").join(roots, "class", "left")
+    own = stored(own.withColumn("root", F.coalesce("root", "class")), "vector-roots")
+    least = own.groupBy("root").agg(F.min("rep").alias("component_id"))
+    known = own.join(least, "root").select("k1", "k2", (F.coalesce("n", F.lit(0)) + F.col("w") - 1).alias("n_links"), "component_id")
+    drop(found)
     done = keyed.select("vec_id", "k1", "k2").join(known, ["k1", "k2"]).select("vec_id", "n_links", "component_id")
     rest = rows.filter("not ok").select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
     return done.unionByName(rest).withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))
