@@ -1,7 +1,8 @@
 """Undirected graphs as DataFrames, and the measures on vertex sets.
 
 arcs(src, dst) holds both directions, distinct, src <> dst; vertices(v, deg, loops) the degrees, a loop counting
-one; adj(v, deg, loops, nbrs) is the packed form that walks read. Restricting to a vertex set keeps degrees: a
+one. `near` is the packed form that walks read: (v, deg, loops, chunk, nbrs), written once by ranges of `pmod(v,
+buckets)`, at most CHUNK neighbours a row, so that a hub is many rows and a frontier reads its own buckets. Restricting to a vertex set keeps degrees: a
 lost neighbour acts as a loop and is never materialised.
 """
 
@@ -9,11 +10,36 @@ from __future__ import annotations
 
 from dataclasses import dataclass, replace
 from functools import cached_property
+from typing import NamedTuple
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .session import cut
+from .session import cut, drop
+
+
+CHUNK = 1 << 14
+#: arcs of a bucket, about; a frontier's pruning needs no more than BUCKETS numbers on the driver
+PER_BUCKET = 1 << 22
+BUCKETS = 1 << 14
+
+
+class Near(NamedTuple):
+    """Stored adjacency."""
+
+    rows: DataFrame
+    buckets: int
+
+    def of(self, frontier: DataFrame) -> DataFrame:
+        """frontier(v, ...) with the adjacency of its vertices; only their buckets are scanned, as literals in the plan.
+
+        Spark broadcasts the frontier if its measured size allows, so that no arcs are shuffled; else both sides are.
+        """
+        rows = self.rows
+        if self.buckets > 1:
+            need = frontier.select(F.pmod("v", F.lit(self.buckets)).cast("int").alias("bucket")).distinct().collect()
+            rows = rows.filter(F.col("bucket").isin([r.bucket for r in need]))
+        return frontier.join(rows.drop("bucket"), "v")
 
 
 @dataclass(frozen=True)
@@ -41,10 +67,22 @@ class Graph:
         n = F.coalesce("loops", F.lit(0))
         return both.select("v", (F.coalesce("deg", F.lit(0)) + n).alias("deg"), n.alias("loops")).filter("deg > 0")
 
+    def packed(self) -> DataFrame:
+        """(v, deg, loops, chunk, nbrs): chunk 0 once for every vertex; a hub's neighbours are in chunks 1, 2, ..."""
+        ends = self.vertices.join(self.arcs.withColumnRenamed("src", "v"), "v", "left")
+        n = F.col("deg") - F.col("loops")
+        chunk = F.when(n > CHUNK, 1 + F.pmod(F.xxhash64("dst"), F.ceil(n / CHUNK))).otherwise(0)
+        rows = ends.groupBy("v", "deg", "loops", chunk.cast("int").alias("chunk")).agg(F.sort_array(F.collect_list("dst")).alias("nbrs"))
+        heads = self.vertices.filter(n > CHUNK).select("v", "deg", "loops", F.lit(0).alias("chunk"), F.array().cast("array<bigint>").alias("nbrs"))
+        return rows.unionByName(heads)
+
     @cached_property
-    def adj(self) -> DataFrame:
-        packed = self.arcs.groupBy(F.col("src").alias("v")).agg(F.sort_array(F.collect_list("dst")).alias("nbrs"))
-        return self.vertices.join(packed, "v", "left").withColumn("nbrs", F.coalesce("nbrs", F.array().cast("array<bigint>")))
+    def near(self) -> Near:
+        n = min(BUCKETS, max(1, self.vol // PER_BUCKET))
+        rows = self.packed().withColumn("bucket", F.pmod("v", F.lit(n)).cast("int"))
+        if n > 1:
+            rows = rows.repartition(n, "bucket").sortWithinPartitions("bucket", "v")
+        return Near(cut(rows, "near", ["bucket"] if n > 1 else None), n)
 
     @cached_property
     def vol(self) -> int:
@@ -56,13 +94,16 @@ class Graph:
 
     def save(self, path: str, buckets: int = 16) -> None:
         """Packed adjacency partitioned by vertex bucket and sorted by vertex: a frontier reads few row groups."""
-        out = self.adj.withColumn("bucket", F.pmod("v", F.lit(buckets)))
+        out = self.packed().withColumn("bucket", F.pmod("v", F.lit(buckets)))
         out.repartition(buckets, "bucket").sortWithinPartitions("bucket", "v").write.mode("overwrite").partitionBy("bucket").parquet(path)
 
     @classmethod
     def load(cls, spark: SparkSession, path: str) -> Graph:
-        adj = spark.read.parquet(path)
-        return cls(adj.select(F.col("v").alias("src"), F.explode("nbrs").alias("dst")), adj.filter("loops > 0").select("v", "loops"))
+        """A graph that walks on the saved adjacency itself."""
+        rows = spark.read.parquet(path)
+        g = cls(rows.select(F.col("v").alias("src"), F.explode("nbrs").alias("dst")), rows.filter("loops > 0 and chunk = 0").select("v", "loops"))
+        g.__dict__["near"] = Near(rows, rows.agg(F.max("bucket")).first()[0] + 1)
+        return g
 
     def induced(self, a: DataFrame) -> Graph:
         """Subgraph on a(v): degrees recomputed."""
@@ -134,18 +175,30 @@ def min_conductance(g: Graph, max_n: int = 16) -> DataFrame:
 
 
 def components(g: Graph) -> DataFrame:
-    """(v, comp): smallest vertex reachable, by hanging on the smallest neighbour and halving paths."""
+    """(v, comp): smallest vertex reachable.
+
+    Each round hangs every vertex on its smallest neighbour, doubles these pointers until they lead to roots, and
+    contracts the arcs; arcs inside a root go, so later rounds are small and rounds are logarithmic.
+    """
+    arcs = cut(g.arcs.select("src", "dst"), "comp-arcs")
     label = cut(g.vertices.select("v", F.col("v").alias("comp")), "comp")
-    arcs = cut(g.arcs, "comp-arcs")
-    while True:
-        near = arcs.join(label.select(F.col("v").alias("dst"), "comp"), "dst").groupBy(F.col("src").alias("v")).agg(F.min("comp").alias("near"))
-        new = label.join(near, "v", "left").select("v", F.least("comp", "near").alias("comp"))
+    while not arcs.isEmpty():
+        up = cut(arcs.groupBy(F.col("src").alias("v")).agg(F.least(F.first("src"), F.min("dst")).alias("up")), "hang")
+        while True:
+            far = up.select("v", "up").join(up.select(F.col("v").alias("up"), F.col("up").alias("up2")), "up")
+            far = cut(far.select("v", F.col("up2").alias("up"), (F.col("up2") != F.col("up")).alias("moved")), "hang")
+            drop(up)
+            up = far
+            if far.filter("moved").isEmpty():
+                break
+        new = label.join(up.select(F.col("v").alias("comp"), "up"), "comp", "left").select("v", F.coalesce("up", "comp").alias("comp"))
         new = cut(new, "comp")
-        up = new.select(F.col("v").alias("comp"), F.col("comp").alias("up"))
-        new = cut(new.join(up, "comp", "left").select("v", F.least("comp", F.coalesce("up", "comp")).alias("comp")), "comp")
-        if new.join(label.withColumnRenamed("comp", "old"), "v").filter("comp <> old").isEmpty():
-            return new
-        label = new
+        ends = arcs.join(up.select(F.col("v").alias("src"), F.col("up").alias("s2")), "src").join(up.select(F.col("v").alias("dst"), F.col("up").alias("d2")), "dst")
+        rest = cut(ends.filter("s2 <> d2").select(F.col("s2").alias("src"), F.col("d2").alias("dst")).distinct(), "comp-arcs")
+        drop(label, arcs, up)
+        label, arcs = new, rest
+    drop(arcs)
+    return label
 
 
 def overlap(g: Graph, c: DataFrame, s: DataFrame) -> DataFrame:

@@ -24,7 +24,7 @@ def hops(g: Graph, seed: int, depth: int) -> DataFrame:
     seen = g.spark.createDataFrame([(seed, 0)], "v long, d int")
     front = seen
     for d in range(1, depth + 1):
-        near = front.join(g.arcs, front["v"] == g.arcs["src"]).select(F.col("dst").alias("v")).distinct()
+        near = g.near.of(front).select(F.explode("nbrs").alias("v")).distinct()
         front = cut(near.join(seen, "v", "left_anti").withColumn("d", F.lit(d)), "front")
         seen = seen.union(front)
     return seen
@@ -42,11 +42,11 @@ def ppr_push(g: Graph, seed: int, alpha_inv: int, eps_units: int, rounds: int) -
     """(v, p, r): synchronous push of personalised PageRank in integer units; alpha = 1 / alpha_inv."""
     state = g.spark.createDataFrame([(seed, 0, UNIT)], "v long, p long, r long")
     for _ in range(rounds):
-        at = state.join(g.adj, "v")
+        at = g.near.of(state)
         hot = F.col("r") >= F.col("deg") * eps_units
         kept = at.withColumn("up", F.when(hot, F.expr(f"r div {alpha_inv}")).otherwise(0))
         kept = kept.withColumn("move", F.when(hot, F.expr("(r - up) div (2 * deg)")).otherwise(0))
-        stay = kept.select("v", (F.col("p") + F.col("up")).alias("p"), F.when(hot, F.expr("(r - up) div 2 + move * loops")).otherwise(F.col("r")).alias("r"))
+        stay = kept.filter("chunk = 0").select("v", (F.col("p") + F.col("up")).alias("p"), F.when(hot, F.expr("(r - up) div 2 + move * loops")).otherwise(F.col("r")).alias("r"))
         go = kept.filter("move > 0").select(F.explode("nbrs").alias("v"), F.lit(0).cast("long").alias("p"), F.col("move").alias("r"))
         state = cut(stay.union(go).groupBy("v").agg(F.sum("p").alias("p"), F.sum("r").alias("r")), "ppr")
     return state

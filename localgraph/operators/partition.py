@@ -8,12 +8,14 @@ from pyspark.sql import functions as F
 from ..graph import Graph, report
 from ..params import max_draws, partition_phi
 from ..session import cut
-from .sampling import sampled_local_cluster, uniforms
+from .sampling import degree_intervals, sampled_local_cluster, uniforms
 
 
 def peel_partition(g: Graph, theta, p: float, seed: int = 1, batch: int = 16, draws: int | None = None, factor: int = 12, disjoint: bool = False, **practical) -> tuple[DataFrame, DataFrame]:
     """(removed(v, draw), trace(draw, seed_v, b, vol_d, vol_w)).
 
+    The graph is stored once and never rewritten: arcs to removed vertices become loops where a walk fetches them.
+
     `batch` draws run together on the current remainder. Empty draws leave it unchanged, so accepting up to the
     first cluster and redrawing the rest from their own counters equals one draw at a time. With `disjoint`, all
     clusters of a batch that share no vertex are taken (heuristic).
@@ -22,10 +24,10 @@ def peel_partition(g: Graph, theta, p: float, seed: int = 1, batch: int = 16, dr
     spark = g.spark
     removed = spark.createDataFrame([], "v long, draw long")
     trace, at, vol_w = [], 0, g.vol
-    alive = None
+    intervals = cut(degree_intervals(g), "intervals")
     while at < budget and 4 * vol_w >= 3 * g.vol:
         n = min(batch, budget - at)
-        got = cut(sampled_local_cluster(g, phi, uniforms(spark, seed, at, n), alive, **practical).filter("v is not null"), "clusters")
+        got = cut(sampled_local_cluster(g, phi, uniforms(spark, seed, at, n), removed if trace else None, vol_w, intervals, **practical).filter("v is not null"), "clusters")
         sizes = got.join(g.vertices, "v").groupBy("draw", "seed_v", "b").agg(F.sum("deg").alias("vol_d")).orderBy("draw").collect()
         if not sizes:
             at += n
@@ -41,7 +43,6 @@ def peel_partition(g: Graph, theta, p: float, seed: int = 1, batch: int = 16, dr
             vol_w -= s.vol_d
             trace.append((s.draw, s.seed_v, s.b, s.vol_d, vol_w))
         at = (at + n) if disjoint else keep[0] + 1
-        alive = cut(g.vertices.select("v").join(removed, "v", "left_anti"), "alive")
     return removed, spark.createDataFrame(trace, "draw long, seed_v long, b int, vol_d long, vol_w long")
 
 
@@ -54,6 +55,7 @@ def certificate(g: Graph, removed: DataFrame, theta) -> DataFrame:
     return out.select(
         F.col("vol").alias("vol_d"), F.col("cut").alias("cut_d"), (8 * F.col("vol") <= 7 * F.lit(g.vol)).alias("vol_ok"),
         F.coalesce(F.col("phi") <= float(theta), F.lit(True)).alias("phi_ok"), (F.col("shared") == 0).alias("disjoint"),
+        (F.col("cut") <= F.coalesce("piece_cuts", F.lit(0))).alias("cut_ok"),
     )
 
 

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..graph import Graph
 from ..params import scale_count, schedule
+from ..session import cut
 from .cluster import ball_clusters, run_of
 
 
@@ -18,10 +19,8 @@ def uniforms(spark: SparkSession, seed: int, first: int, count: int) -> DataFram
 
 def degree_intervals(g: Graph, parts: int = 64) -> DataFrame:
     """(v, lo, hi): consecutive intervals of length deg by id, from totals of id ranges and sums inside them."""
-    span = g.vertices.agg(F.min("v").alias("lo"), F.max("v").alias("hi")).first()
-    width = max(1, -(-(span.hi - span.lo + 1) // parts))
-    part = F.floor((F.col("v") - span.lo) / width)
-    vx = g.vertices.withColumn("part", part)
+    # ranges of about equal numbers of vertices, whatever the ids look like; stored, since ranges are sampled
+    vx = cut(g.vertices.repartitionByRange(parts, "v").withColumn("part", F.spark_partition_id()), "ranges")
     totals = vx.groupBy("part").agg(F.sum("deg").alias("n"))
     # at most `parts` rows in this window
     offset = totals.select("part", (F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, 0)) - F.col("n")).alias("base"))
@@ -30,10 +29,10 @@ def degree_intervals(g: Graph, parts: int = 64) -> DataFrame:
     return placed.select("v", (F.col("hi") - F.col("deg")).alias("lo"), "hi")
 
 
-def sample_by_degree(g: Graph, draws: DataFrame) -> DataFrame:
+def sample_by_degree(g: Graph, draws: DataFrame, intervals: DataFrame | None = None) -> DataFrame:
     """draws(draw, u1) -> (draw, v) with probability deg / vol."""
     at = draws.select("draw", F.floor(F.col("u1") * F.lit(float(g.vol))).alias("x"))
-    iv = degree_intervals(g)
+    iv = degree_intervals(g) if intervals is None else intervals
     return iv.join(F.broadcast(at), (F.col("lo") <= F.col("x")) & (F.col("x") < F.col("hi"))).select("draw", "v")
 
 
@@ -43,21 +42,21 @@ def sample_scale(ell: int, draws: DataFrame) -> DataFrame:
     return draws.select("draw", F.least(F.greatest(b, F.lit(1)), F.lit(ell)).cast("int").alias("b"))
 
 
-def sampled_local_cluster(g: Graph, phi, draws: DataFrame, alive: DataFrame | None = None, **practical) -> DataFrame:
+def sampled_local_cluster(g: Graph, phi, draws: DataFrame, removed: DataFrame | None = None, vol: int | None = None, intervals: DataFrame | None = None, **practical) -> DataFrame:
     """One row per draw and clustered vertex (draw, seed_v, b, t, v, rank, work); v null where nothing was found.
 
-    Degree draws that fall on removed vertices give no run (rejection sampling).
+    removed(v) is out of the graph, vol the volume left; degree draws that fall on removed vertices give no run
+    (rejection sampling). intervals: those of the whole graph, if made before.
     """
-    seeds = sample_by_degree(g, draws)
-    if alive is not None:
-        seeds = seeds.join(alive, "v", "left_semi")
-    target = g.restrict(alive) if alive is not None else g
-    vol = target.vol
+    seeds = sample_by_degree(g, draws, intervals)
+    if removed is not None:
+        seeds = seeds.join(removed.select("v"), "v", "left_anti")
+    vol = g.vol if vol is None else vol
     drawn = seeds.join(sample_scale(scale_count(vol), draws), "draw").orderBy("draw").collect()
     runs = [run_of(r.draw, r.v, schedule(vol, phi, r.b, **practical)) for r in drawn]
     if not runs:
         return g.spark.createDataFrame([], "draw long, seed_v long, b int, t int, v long, rank long, work long")
     t_max = max(schedule(vol, phi, r.b, **practical).t_last for r in runs)
     meta = g.spark.createDataFrame([(r.run_id, r.seed, r.b) for r in runs], "draw long, seed_v long, b int")
-    got = ball_clusters(target, runs, t_max, vol).withColumnRenamed("run_id", "draw")
+    got = ball_clusters(g, runs, t_max, vol, removed).withColumnRenamed("run_id", "draw")
     return got.join(F.broadcast(meta), "draw").select("draw", "seed_v", "b", "t", "v", "rank", "work")

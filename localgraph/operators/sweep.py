@@ -10,21 +10,25 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..graph import Graph
+from .walk import fetch
 
 
-def ranked(g: Graph, states: DataFrame) -> DataFrame:
-    """states with deg, loops, ratio, rank j, prefix volume prefix_vol and prefix mass."""
-    s = states.join(g.vertices, "v").withColumn("ratio", F.col("mass") / F.col("deg"))
+def ranked(g: Graph, states: DataFrame, near: DataFrame | None = None) -> DataFrame:
+    """states with deg, loops, ratio, rank j, prefix volume prefix_vol and prefix mass; near: their fetched rows."""
+    near = fetch(g, states) if near is None else near
+    s = near.filter("chunk = 0").withColumn("ratio", F.col("mass") / F.col("deg"))
     w = Window.partitionBy("run_id", "t").orderBy(F.desc("ratio"), "v")
     up = w.rowsBetween(Window.unboundedPreceding, 0)
     return s.select("run_id", "t", "v", "mass", "deg", "loops", "ratio", F.row_number().over(w).cast("long").alias("j"), F.sum("deg").over(up).alias("prefix_vol"), F.sum("mass").over(up).alias("prefix_mass"), F.sum("loops").over(up).alias("prefix_loops"))
 
 
-def prefix_cuts(g: Graph, r: DataFrame) -> DataFrame:
+def prefix_cuts(g: Graph, r: DataFrame, near: DataFrame | None = None) -> DataFrame:
     """ranked with the cut of every prefix: arcs inside are counted where their later end enters."""
-    a = r.select("run_id", "t", F.col("v").alias("src"), F.col("j").alias("js"))
+    near = fetch(g, r.select("run_id", "t", "v")) if near is None else near
+    a = r.select("run_id", "t", "v", F.col("j").alias("js"))
     b = r.select("run_id", "t", F.col("v").alias("dst"), F.col("j").alias("jd"))
-    inside = a.join(g.arcs, "src").join(b, ["run_id", "t", "dst"]).groupBy("run_id", "t", F.greatest("js", "jd").alias("j")).agg(F.count("*").alias("inside"))
+    ends = near.select("run_id", "t", "v", F.explode("nbrs").alias("dst"))
+    inside = ends.join(b, ["run_id", "t", "dst"]).join(a, ["run_id", "t", "v"]).groupBy("run_id", "t", F.greatest("js", "jd").alias("j")).agg(F.count("*").alias("inside"))
     up = Window.partitionBy("run_id", "t").orderBy("j").rowsBetween(Window.unboundedPreceding, 0)
     both = r.join(inside, ["run_id", "t", "j"], "left")
     return both.withColumn("cut", F.col("prefix_vol") - F.col("prefix_loops") - F.sum(F.coalesce("inside", F.lit(0))).over(up)).drop("inside")
@@ -37,11 +41,11 @@ def slopes(r: DataFrame, runs: DataFrame) -> DataFrame:
     return at.groupBy("run_id", "t").agg(F.coalesce(F.min(hit)["ratio"], F.lit(0.0)).alias("slope"))
 
 
-def conditions(g: Graph, states: DataFrame, runs: DataFrame, vol: int | None = None) -> DataFrame:
+def conditions(g: Graph, states: DataFrame, runs: DataFrame, vol: int | None = None, near: DataFrame | None = None) -> DataFrame:
     """Every prefix with the four stop conditions c1..c4."""
     total = F.lit(vol if vol is not None else g.vol)
-    r = ranked(g, states)
-    c = prefix_cuts(g, r).join(slopes(r, runs), ["run_id", "t"]).join(F.broadcast(runs), "run_id")
+    r = ranked(g, states, near)
+    c = prefix_cuts(g, r, near).join(slopes(r, runs), ["run_id", "t"]).join(F.broadcast(runs), "run_id")
     side = F.least(F.col("prefix_vol"), total - F.col("prefix_vol"))
     return c.select(
         "run_id", "t", "j", "v", "prefix_vol", "cut", "mass", "ratio",

@@ -3,15 +3,15 @@
 State rows are (run_id, t, v, mass) with integer mass (UNIT is one). A step halves each vertex's mass and sends
 mass div (2 deg) along every incident arc; loops, and arcs to vertices outside `alive`, return it. Flooring loses
 less than 2 deg units per vertex and step, always downwards, and integer sums do not depend on their order.
-Each step touches only the adjacency of its support: the state is joined to the packed adjacency, and Spark picks
-broadcast or shuffle by the measured size of the stored state.
+Each step touches only the adjacency of its support: the stored state fetches the buckets of its vertices, and the
+degrees of truncation and sweep come from the same rows. Only state moves between executors.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..graph import Graph
@@ -30,12 +30,15 @@ class Run:
     phi_num: int = 1
     phi_den: int = 10
     slope_units: float = 0.0
+    unit: int = UNIT
 
 
 RUN_SCHEMA = "run_id long, seed long, eps_units long, b int, phi_num long, phi_den long, slope_units double"
 
 
 def runs_frame(g: Graph, runs: list[Run]) -> DataFrame:
+    if any(r.unit != UNIT for r in runs):
+        raise ValueError("runs on the wide mass unit need ball mode")
     rows = [(r.run_id, r.seed, r.eps_units, r.b, r.phi_num, r.phi_den, float(r.slope_units)) for r in runs]
     return g.spark.createDataFrame(rows, RUN_SCHEMA)
 
@@ -44,19 +47,45 @@ def start(runs: DataFrame) -> DataFrame:
     return runs.select("run_id", F.lit(0).alias("t"), F.col("seed").alias("v"), F.lit(UNIT).cast("long").alias("mass"))
 
 
+def fetch(g: Graph, state: DataFrame) -> DataFrame:
+    """State rows with deg, loops and neighbours of their vertices, in chunks; chunk 0 stands for the vertex."""
+    return g.near.of(state)
+
+
+def lost_as_loops(near: DataFrame, keys: list[str], alive: DataFrame | None = None, removed: DataFrame | None = None) -> DataFrame:
+    """Fetched rows whose neighbours outside alive(v), or in removed(v), are counted in column `lost` instead."""
+    marks = (alive if alive is not None else removed).select(F.col("v").alias("u"), F.lit(True).alias("mark"))
+    keep = F.col("mark").isNotNull() if alive is not None else F.col("mark").isNull()
+    ends = near.select(*keys, "deg", "loops", "chunk", F.explode_outer("nbrs").alias("u")).join(marks, "u", "left")
+    kept, lost = F.when(keep, F.col("u")), F.when(~keep & F.col("u").isNotNull(), 1)
+    return ends.groupBy(*keys, "deg", "loops", "chunk").agg(F.collect_list(kept).alias("nbrs"), F.count(lost).alias("lost"))
+
+
+def within(near: DataFrame, alive: DataFrame) -> DataFrame:
+    """Fetched state rows of the degree-preserving subgraph on alive(v): only they are rewritten, not the graph."""
+    rows = lost_as_loops(near, ["run_id", "t", "v", "mass"], alive)
+    lost = F.sum("lost").over(Window.partitionBy("run_id", "t", "v"))
+    return rows.select("run_id", "t", "v", "mass", "deg", (F.col("loops") + lost).alias("loops"), "chunk", "nbrs")
+
+
+def degrees(g: Graph, states: DataFrame) -> DataFrame:
+    """State rows with deg and loops."""
+    return fetch(g, states).filter("chunk = 0").drop("chunk", "nbrs")
+
+
 def truncate(state: DataFrame, g: Graph, runs: DataFrame) -> DataFrame:
     """Rows whose mass reaches deg * eps_units."""
     e = F.broadcast(runs.select("run_id", "eps_units"))
-    return state.join(e, "run_id").join(g.vertices.select("v", "deg"), "v").filter("mass >= deg * eps_units").select("run_id", "t", "v", "mass")
+    return degrees(g, state).join(e, "run_id").filter("mass >= deg * eps_units").select("run_id", "t", "v", "mass")
 
 
-def step(g: Graph, state: DataFrame, runs: DataFrame, alive: DataFrame | None = None, killed: bool = False) -> DataFrame:
-    """Truncate, then one lazy step; `alive` keeps mass inside (or, killed, drops what leaves)."""
+def step(g: Graph, near: DataFrame, runs: DataFrame, alive: DataFrame | None = None, killed: bool = False) -> DataFrame:
+    """Truncate fetched state, then one lazy step; `alive` keeps mass inside (or, killed, drops what leaves)."""
     e = F.broadcast(runs.select("run_id", "eps_units"))
-    at = state.join(g.adj, "v").join(e, "run_id").filter("mass >= deg * eps_units").filter("mass > 0")
+    at = near.join(e, "run_id").filter("mass >= deg * eps_units").filter("mass > 0")
     move = F.expr("mass div (2 * deg)")
-    at = at.select("run_id", "t", "v", F.expr("mass div 2").alias("stay"), move.alias("move"), "loops", "nbrs")
-    stay = at.select("run_id", "t", "v", (F.col("stay") + F.col("move") * F.col("loops")).alias("m"))
+    at = at.select("run_id", "t", "v", F.expr("mass div 2").alias("stay"), move.alias("move"), "loops", "chunk", "nbrs")
+    stay = at.filter("chunk = 0").select("run_id", "t", "v", (F.col("stay") + F.col("move") * F.col("loops")).alias("m"))
     go = at.filter("move > 0").select("run_id", "t", F.col("v").alias("u"), F.explode("nbrs").alias("v"), F.col("move").alias("m"))
     if alive is not None:
         ok = go.join(alive.select("v", F.lit(True).alias("in_a")), "v", "left")
@@ -72,7 +101,7 @@ def walk(g: Graph, runs: list[Run], steps: int, alive: DataFrame | None = None,
     state = start(rf)
     out = state
     for _ in range(steps):
-        state = cut(step(g, state, rf, alive, killed))
+        state = cut(step(g, fetch(g, state), rf, alive, killed))
         out = out.union(state)
     return out
 
@@ -85,4 +114,4 @@ def degree_vector(g: Graph, s: DataFrame) -> DataFrame:
 
 def support_stats(g: Graph, states: DataFrame) -> DataFrame:
     """Per run and step: support size, its volume and total mass."""
-    return states.join(g.vertices.select("v", "deg"), "v").groupBy("run_id", "t").agg(F.count("*").alias("n"), F.sum("deg").alias("vol"), F.sum("mass").alias("mass"))
+    return degrees(g, states).groupBy("run_id", "t").agg(F.count("*").alias("n"), F.sum("deg").alias("vol"), F.sum("mass").alias("mass"))

@@ -7,6 +7,8 @@ from dataclasses import dataclass
 from fractions import Fraction
 
 UNIT = 1 << 50
+#: mass unit of schedules whose threshold would be distorted by UNIT; ball mode only
+WIDE = 1 << 100
 
 
 @dataclass(frozen=True)
@@ -58,12 +60,17 @@ class Schedule:
     def epoch(self, h: int) -> int:
         return h * self.t1
 
+    @property
+    def unit(self) -> int:
+        """Mass units of one: the wide unit where rounding the threshold up to UNIT's would distort it."""
+        return UNIT if self.eps * UNIT >= 64 else WIDE
+
     @property
     def eps_units(self) -> int:
-        """Truncation threshold per unit of degree, in mass units; raises where rounding would distort it."""
-        if self.eps * UNIT < 64:
-            raise ValueError("threshold too small for the mass unit")
-        return math.ceil(self.eps * UNIT)
+        """Truncation threshold per unit of degree, in mass units."""
+        if self.eps * WIDE < 64:
+            raise ValueError("threshold too small for any mass unit")
+        return math.ceil(Fraction(self.eps) * self.unit)
 
     def decay_ok(self) -> bool:
         """Whether mixing over one epoch beats the curve gap."""

@@ -5,7 +5,7 @@ import pytest
 from localgraph.graph import Graph, boundary, components, min_conductance, report
 from localgraph.operators import cluster, partition, sampling, walk
 from localgraph.operators.walk import Run
-from localgraph.params import UNIT, Constants, scale_count, schedule
+from localgraph.params import UNIT, WIDE, Constants, scale_count, schedule, valid_scales
 from localgraph.plans import methods, relational
 
 D = "/root/testdata/sf0.001"
@@ -23,8 +23,10 @@ def test_constants_and_schedule():
     assert (schedule(50, Fraction(1, 2), 1).t_last, scale_count(118782)) == (426, 16)
     with pytest.raises(ValueError):
         schedule(50, 1, 1)
-    with pytest.raises(ValueError):
-        _ = schedule(10**6, Fraction(1, 10), 20).eps_units
+    # every scale has a mass unit that keeps its threshold
+    for b in valid_scales(118782):
+        s = schedule(118782, Fraction(1, 10), b)
+        assert s.eps_units >= 64 and abs(s.eps_units / s.unit / s.eps - 1) < 0.02
 
 
 def test_step_with_loop(spark):
@@ -70,6 +72,52 @@ def test_modes_agree_and_empty_seed(spark):
     assert 9 not in {r.run_id for r in a.collect()}
 
 
+def test_ball_limit_wide_unit_and_removed(spark):
+    edges = [(0, 1), (1, 2), (0, 2), (3, 4), (4, 5), (3, 5), (2, 3), (5, 6)]
+    g = graph(spark, edges)
+    runs = [Run(i, v, 1000, 1, 1, 5) for i, v in enumerate(range(6))]
+    rows = lambda df: sorted((r.run_id, r.t, r.v or 0, r.rank or 0) for r in df.collect())
+    whole = rows(cluster.ball_clusters(g, runs, 10))
+    assert whole == rows(cluster.ball_clusters(g, runs, 10, limit=6))
+    wide = [Run(r.run_id, r.seed, 1000 << 50, 1, 1, 5, unit=WIDE) for r in runs]
+    assert whole == rows(cluster.ball_clusters(g, wide, 10))
+    with pytest.raises(ValueError):
+        cluster.local_clusters(g, wide, 1)
+    gone = spark.createDataFrame([(6,), (0,)], "v long")
+    alive = spark.createDataFrame([(v,) for v in range(1, 6)], "v long")
+    some, left = runs[1:], g.restrict(alive).kept()
+    assert rows(cluster.ball_clusters(g, some, 10, left.vol, gone)) == rows(cluster.ball_clusters(left, some, 10))
+    assert rows(cluster.ball_clusters(g, some, 10, left.vol, gone, limit=6)) == rows(cluster.ball_clusters(left, some, 10))
+
+
+def test_hubs_are_split_and_buckets_pruned(spark, monkeypatch):
+    from localgraph import graph as graphs
+
+    monkeypatch.setattr(graphs, "CHUNK", 4)
+    monkeypatch.setattr(graphs, "PER_BUCKET", 8)
+    edges = [(0, i) for i in range(1, 30)] + [(1, 2), (2, 3)]
+    g = graph(spark, edges, [(0, 3), (50, 9)])
+    assert g.near.buckets > 4 and g.near.rows.filter("v = 0").count() > 5
+    got = {r.v: (r.deg, r.loops) for r in walk.degrees(g, g.vertices.select("v")).collect()}
+    assert got == {r.v: (r.deg, r.loops) for r in g.vertices.collect()}
+    monkeypatch.setattr(graphs, "CHUNK", 1 << 14)
+    plain = graph(spark, edges, [(0, 3), (50, 9)])
+    one, two = (sorted(map(tuple, walk.walk(x, [Run(0, 1), Run(1, 50)], 3).collect())) for x in (g, plain))
+    assert one == two
+    a, b = (sorted(map(tuple, cluster.local_clusters(x, [Run(0, 3, 10, 1, 1, 2)], 5)[0].collect())) for x in (g, plain))
+    assert a == b
+
+
+def test_step_moves_state_only(spark):
+    g = methods.graph(spark, D, "fk_forest")
+    runs = walk.runs_frame(g, [Run(0, methods.cust(0))])
+    from localgraph.session import cut
+
+    state = cut(walk.start(runs))
+    plan = walk.step(g, walk.fetch(g, state), runs)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") == 1 and "SortMergeJoin" not in plan
+
+
 def test_partition_bounds_and_batches(spark):
     g = graph(spark, [(c * 10 + i, c * 10 + j) for c in range(6) for i in range(4) for j in range(i)] + [(c * 10, c * 10 + 10) for c in range(5)]).kept()
     o = dict(draws=12, t_max=12, eps=1e-9, slope=1e-6)
@@ -77,7 +125,7 @@ def test_partition_bounds_and_batches(spark):
     d2, t2 = partition.peel_partition(g, Fraction(9, 10), 0.5, batch=6, **o)
     assert sorted(d1.collect()) == sorted(d2.collect()) and sorted(t1.collect()) == sorted(t2.collect())
     cert = partition.certificate(g, d1, 0.9).first()
-    assert cert.vol_ok and cert.phi_ok and cert.disjoint
+    assert cert.vol_ok and cert.phi_ok and cert.disjoint and cert.cut_ok
 
 
 def test_degree_intervals_cover(spark):
