@@ -75,6 +75,22 @@ def curve_at(r: DataFrame, xs: DataFrame) -> DataFrame:
     return grid.select("run_id", "t", "x", F.coalesce(value, F.col("total").cast("double")).alias("value"), F.coalesce("p.ratio", F.lit(0.0)).alias("slope"))
 
 
+def curve_points(r: DataFrame, points: DataFrame) -> DataFrame:
+    """points(run_id, t, x, ...) with the value there of their own run's and step's curve.
+
+    Breakpoints and points are one sequence, walked from the right: a point sees the nearest breakpoint at or above
+    it. No join, and nothing is broadcast.
+    """
+    more = [c for c in points.columns if c not in ("run_id", "t", "x")]
+    breaks = r.select("run_id", "t", F.col("prefix_vol").cast("double").alias("x"), F.lit(1).alias("is_break"), F.struct("prefix_vol", "prefix_mass", "ratio").alias("p"), *[F.lit(None).cast(points.schema[c].dataType).alias(c) for c in more])
+    asked = points.select("run_id", "t", F.col("x").cast("double").alias("x"), F.lit(0).alias("is_break"), F.lit(None).cast(breaks.schema["p"].dataType).alias("p"), *more)
+    down = Window.partitionBy("run_id", "t").orderBy(F.desc("x"), F.desc("is_break")).rowsBetween(Window.unboundedPreceding, 0)
+    whole = Window.partitionBy("run_id", "t")
+    both = breaks.unionByName(asked).withColumns({"near": F.last("p", True).over(down), "total": F.max("p.prefix_mass").over(whole)})
+    value = F.col("near.prefix_mass") - F.col("near.ratio") * (F.col("near.prefix_vol") - F.col("x"))
+    return both.filter("is_break = 0").select("run_id", "t", "x", *more, F.coalesce(value, F.col("total").cast("double")).alias("value"))
+
+
 def curve_inverse(r: DataFrame, ys: DataFrame) -> DataFrame:
     """Smallest x where the curve reaches y; null where it never does."""
     want = r.join(F.broadcast(ys), F.col("prefix_mass") >= F.col("y"))

@@ -88,13 +88,17 @@ def valid_scales(vol: int) -> range:
     return range(1, scale_count(vol) + 1)
 
 
-def schedule(vol: int, phi, b: int, consts: Constants | None = None, *, t_max: int | None = None, eps: float | None = None, slope: float | None = None) -> Schedule:
-    """Theory parameters; t_max, eps and slope override them (practical profile)."""
+def schedule(vol: int, phi, b: int, consts: Constants | None = None, *, t_max: int | None = None, eps: float | None = None, slope: float | None = None, decay: int = 2) -> Schedule:
+    """Theory parameters; t_max, eps and slope override them (practical profile).
+
+    The length of an epoch rests on a loss of phi^2 / decay a step: 2 as stated, 8 if the chord reaches phi x' only
+    (see `chord_check`).
+    """
     c, phi = consts or Constants(), Fraction(phi)
     if not 0 < phi < 1:
         raise ValueError("phi must lie strictly between 0 and 1")
     ell = scale_count(vol)
-    t1 = math.ceil(2 / float(phi) ** 2 * math.log(c.c1 * (ell + 2) * math.sqrt(vol / 2)))
+    t1 = math.ceil(decay / float(phi) ** 2 * math.log(c.c1 * (ell + 2) * math.sqrt(vol / 2)))
     t_last = t_max or (ell + 1) * t1
     return Schedule(
         vol, phi, b, ell, t1, t_last,

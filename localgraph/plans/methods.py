@@ -6,6 +6,7 @@ components are reachability.
 
 from __future__ import annotations
 
+import re
 from fractions import Fraction
 
 from pyspark.sql import functions as F
@@ -458,13 +459,45 @@ def host_set(spark, g):
     return g.arcs.filter("src = 6").select("dst").union(spark.createDataFrame([(6,)], "v long")).withColumnRenamed("dst", "v")
 
 
-def walk_checks(spark, d):
-    g = graph(spark, d, "page_link")
-    return cut(analysis.checks(g, 6, 4, 1 << 30, cut(host_set(spark, g))).union(analysis.chord_check(g, 6, 4, 1, 10)), "checks")
+CHECKED = {"": ("page_link", [6, 22, 38]), "_forest": ("fk_forest", [cust(0), cust(1)])}
+CHECK_EPS, CHECK_STEPS = 1 << 30, 4
 
 
-for _c in ("monotone", "killed_le_free", "truncation_sandwich", "curve_monotone", "mass_kept", "chord"):
-    add(f"e_{_c}", lambda s, d, c=_c: walk_checks(s, d).filter(F.col("check") == c), f"SELECT '{_c}' AS \"check\", 0 AS violations")
+def walk_checks(spark, d, fix, seeds):
+    g = graph(spark, d, fix)
+    first = spark.createDataFrame([(v,) for v in seeds], "v long")
+    around = cut(g.near.of(first).select(F.explode("nbrs").alias("v")).union(first).distinct())
+    return analysis.checks(g, seeds, CHECK_STEPS, CHECK_EPS, around)
+
+
+def checks_sql(fix, seeds) -> tuple[str, ...]:
+    """CTEs: exact walk (runs 0..), truncated (runs 100..) and killed walk kw."""
+    runs = [Run(i + k, v, e) for k, e in ((0, 0), (100, CHECK_EPS)) for i, v in enumerate(seeds)]
+    ids = ", ".join(map(str, seeds))
+    killed = w_sql(runs, CHECK_STEPS, f"SELECT dst AS v FROM arcs WHERE src IN ({ids}) UNION SELECT v FROM vx WHERE v IN ({ids})", True)
+    alive, kw = killed.split("),\nw AS")[0].split("runs(run_id")[0], "w AS" + killed.split("),\nw AS")[1]
+    kw = re.sub(r"\bw\b", "kw", kw)
+    p = "p AS (SELECT run_id, t, w.v, deg, mass AS p FROM w JOIN vx USING (v) WHERE run_id < 100)"
+    return g_sql(fix), w_sql(runs, CHECK_STEPS), alive.rstrip(", "), kw, p, R_SQL
+
+
+_VERDICTS = {
+    "monotone": "FROM (SELECT run_id, t, max(p / CAST(deg AS DOUBLE)) AS m FROM p GROUP BY 1, 2) a JOIN (SELECT run_id, t, max(p / CAST(deg AS DOUBLE)) AS m FROM p GROUP BY 1, 2) b ON a.run_id = b.run_id AND b.t = a.t + 1|b.m > a.m + 2",
+    "killed_le_free": "FROM p LEFT JOIN kw ON kw.run_id = p.run_id AND kw.t = p.t AND kw.v = p.v|coalesce(mass, 0) > p + 2 * p.t * deg",
+    "truncation_sandwich": f"FROM p LEFT JOIN w ON w.run_id = p.run_id + 100 AND w.t = p.t AND w.v = p.v|coalesce(mass, 0) > p + 2 * p.t * deg OR coalesce(mass, 0) < p - p.t * {CHECK_EPS} * deg - 2 * p.t * deg",
+    "mass_kept": f"FROM (SELECT run_id, t, sum(p) AS m FROM p GROUP BY 1, 2)|m > {UNIT}",
+    "curve_monotone": "FROM (SELECT b.run_id, b.t, b.prefix_vol AS x, any_value(b.prefix_mass) AS next, coalesce(arg_min(a.prefix_mass - a.ratio * (a.prefix_vol - b.prefix_vol), a.j), max(z.total)) AS value FROM lam b LEFT JOIN lam a ON a.run_id = b.run_id AND a.t = b.t - 1 AND a.prefix_vol >= b.prefix_vol JOIN (SELECT run_id, t, CAST(sum(mass) AS DOUBLE) AS total FROM w GROUP BY 1, 2) z ON z.run_id = b.run_id AND z.t = b.t - 1 WHERE b.run_id < 100 AND b.t > 0 GROUP BY 1, 2, 3)|next > value * (1 + 1e-12) + 2 * x",
+}
+for _tail, (_fix, _seeds) in CHECKED.items():
+    for _c, _v in _VERDICTS.items():
+        add(f"e_{_c}{_tail}", lambda s, d, c=_c, f=_fix, v=_seeds: walk_checks(s, d, f, v).filter(F.col("check") == c),
+            rec(*checks_sql(_fix, _seeds), select=f"SELECT '{_c}' AS \"check\", count(*) AS compared, count(*) FILTER ({_v.split('|')[1]}) AS violations {_v.split('|')[0]}"))
+    for _n, _reach in (("chord", 2), ("chord_half", 1)):
+        _runs = [Run(i, v, 0, 1, 1, 10) for i, v in enumerate(_seeds)]
+        _at = lambda sign, name: f"{name} AS (SELECT c.run_id, c.t, c.j, coalesce(arg_min(a.prefix_mass - a.ratio * (a.prefix_vol - (c.prefix_vol {sign} c.side * {_reach * 1 / 10!r}::DOUBLE)), a.j), max(z.total)) AS y FROM pts c JOIN (SELECT run_id, t, CAST(sum(mass) AS DOUBLE) AS total FROM w GROUP BY 1, 2) z ON z.run_id = c.run_id AND z.t = c.t - 1 LEFT JOIN lam a ON a.run_id = c.run_id AND a.t = c.t - 1 AND a.prefix_vol >= c.prefix_vol {sign} c.side * {_reach * 1 / 10!r}::DOUBLE GROUP BY 1, 2, 3)"
+        add(f"e_{_n}{_tail}", lambda s, d, f=_fix, v=_seeds, k=_reach: analysis.chord_check(graph(s, d, f), v, CHECK_STEPS, 1, 10, k),
+            rec(g_sql(_fix), w_sql(_runs, CHECK_STEPS), C_SQL, "pts AS (SELECT conds.*, lam.prefix_mass FROM conds JOIN lam USING (run_id, t, j) WHERE t > 0 AND NOT c1 AND side > 0)", _at("-", "lo"), _at("+", "hi"),
+                select=f"SELECT '{_n}' AS \"check\", count(*) AS compared, count(*) FILTER (prefix_mass > (lo.y + hi.y) / 2 * (1 + 1e-12) + 2 * prefix_vol) AS violations FROM pts JOIN lo USING (run_id, t, j) JOIN hi USING (run_id, t, j)"))
 
 
 def path_set(spark, g):
