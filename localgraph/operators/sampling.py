@@ -42,7 +42,7 @@ def sample_scale(ell: int, draws: DataFrame) -> DataFrame:
     return draws.select("draw", F.least(F.greatest(b, F.lit(1)), F.lit(ell)).cast("int").alias("b"))
 
 
-def sampled_local_cluster(g: Graph, phi, draws: DataFrame, removed: DataFrame | None = None, vol: int | None = None, intervals: DataFrame | None = None, **practical) -> DataFrame:
+def sampled_local_cluster(g: Graph, phi, draws: DataFrame, removed: DataFrame | None = None, vol: int | None = None, intervals: DataFrame | None = None, pick: str = "first", **practical) -> DataFrame:
     """One row per draw and clustered vertex (draw, seed_v, b, t, v, rank, work); v null where nothing was found.
 
     removed(v) is out of the graph, vol the volume left; degree draws that fall on removed vertices give no run
@@ -53,7 +53,7 @@ def sampled_local_cluster(g: Graph, phi, draws: DataFrame, removed: DataFrame |
         seeds = seeds.join(removed.select("v"), "v", "left_anti")
     vol = g.vol if vol is None else vol
     drawn = seeds.join(sample_scale(scale_count(vol), draws), "draw").orderBy("draw").collect()
-    runs = [run_of(r.draw, r.v, schedule(vol, phi, r.b, **practical)) for r in drawn]
+    runs = [run_of(r.draw, r.v, schedule(vol, phi, r.b, **practical), pick=pick) for r in drawn]
     if not runs:
         return g.spark.createDataFrame([], "draw long, seed_v long, b int, t int, v long, rank long, work long")
     t_max = max(schedule(vol, phi, r.b, **practical).t_last for r in runs)

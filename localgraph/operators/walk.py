@@ -31,6 +31,7 @@ class Run:
     phi_den: int = 10
     slope_units: float = 0.0
     unit: int = UNIT
+    pick: str = "first"
 
 
 RUN_SCHEMA = "run_id long, seed long, eps_units long, b int, phi_num long, phi_den long, slope_units double"

@@ -7,6 +7,7 @@ components are reachability.
 from __future__ import annotations
 
 import re
+from dataclasses import replace
 from fractions import Fraction
 
 from pyspark.sql import functions as F
@@ -14,7 +15,7 @@ from pyspark.sql import functions as F
 from ..graph import Graph, boundary, components, conductance_in, edges_between, min_conductance, overlap, report, volume
 from ..operators import analysis, baselines, cluster, partition, sampling, sweep, walk
 from ..operators.walk import Run
-from ..params import UNIT, Constants, f2, max_draws, scale_count, scale_law, schedule
+from ..params import UNIT, Constants, f2, max_draws, scale_count, scale_law, schedule, valid_scales
 from ..session import cut
 from ..sources.builders import BUILDERS, EDGES_SQL, KINDS, load, vid
 
@@ -146,7 +147,12 @@ def best_nations(spark, d):
     return report(g, half).crossJoin(best.withColumnRenamed("phi", "best")).select("phi", "best", (F.col("phi") <= F.col("best")).alias("is_sparsest"))
 
 
-add("m_is_sparsest", best_nations)
+def subsets_sql(n: int, restrict: bool = False) -> str:
+    """CTEs ids(v, deg, i), st(vol, n) and phis(mask, phi) of every proper subset, on the first n nations."""
+    return exhaust_sql(n, restrict).removeprefix("WITH ").rsplit(" SELECT min(", 1)[0] + ", phis AS (SELECT mask, coalesce(c, 0) / CAST(least(v, st.vol - v) AS DOUBLE) AS phi FROM vols LEFT JOIN ct USING (mask), st)"
+
+
+add("m_is_sparsest", best_nations, f"WITH {subsets_sql(10)}, half AS (SELECT (1 << CAST(n // 2 AS INT)) - 1 AS m FROM st) SELECT (SELECT phi FROM phis, half WHERE mask = m) AS phi, (SELECT min(phi) FROM phis) AS best, (SELECT phi FROM phis, half WHERE mask = m) <= (SELECT min(phi) FROM phis) AS is_sparsest")
 
 
 def trade_in(spark, d):
@@ -183,7 +189,7 @@ def restrict_vs_induced(spark, d):
     return x.crossJoin(y).withColumn("ok", F.coalesce(F.col("phi_restricted") <= F.col("phi_induced"), F.lit(True)))
 
 
-add("m_restrict_vs_induced", restrict_vs_induced)
+add("m_restrict_vs_induced", restrict_vs_induced, f"SELECT a.phi AS phi_restricted, b.phi AS phi_induced, coalesce(a.phi <= b.phi, true) AS ok FROM ({exhaust_sql(10, True)}) a, ({exhaust_sql(10)}) b")
 for _n in ("document_line", "conversation_path", "page_host"):
     add({"document_line": "m_components", "conversation_path": "x_components_paths", "page_host": "x_components_hosts"}[_n], lambda s, d, n=_n: components(graph(s, d, n)),
         rec(g_sql(_n), "reach AS (SELECT v, v AS o FROM vx UNION SELECT reach.v, dst FROM reach JOIN arcs ON src = reach.o)", select="SELECT v, min(o) AS comp FROM reach GROUP BY v"))
@@ -228,7 +234,7 @@ def walk_query(name, fix, runs, steps, cols="run_id, t, v, mass", alive=None, al
 
 
 _TWO = [Run(0, cust(0)), Run(1, cust(1))]
-walk_query("w_exact_t5", "customer_part", [Run(0, cust(0))], 4)
+walk_query("w_exact_t5", "customer_part", [Run(0, cust(0))], 5)
 walk_query("w_exact_knn", "knn", [Run(0, 13)], 3)
 walk_query("w_truncated_t6", "fk_forest", [Run(0, cust(0), UNIT // 100000), Run(1, cust(1), UNIT // 500)], 6)
 walk_query("w_batch_runs", "page_link", [Run(i, k * KINDS + 6, e) for i, (k, e) in enumerate((k, e) for k in range(4) for e in (1000, UNIT // 5000))], 4)
@@ -241,10 +247,10 @@ def region_tree(spark, d):
 
 _ALIVE = f"SELECT v FROM vx WHERE v % {KINDS} <= 3"
 walk_query("w_restricted_t5", "fk_forest", _TWO, 5, alive=region_tree, alive_sql=_ALIVE)
-walk_query("w_killed_t8", "fk_forest", _TWO, 5, alive=region_tree, alive_sql=_ALIVE, killed=True)
+walk_query("w_killed_t8", "fk_forest", _TWO, 8, alive=region_tree, alive_sql=_ALIVE, killed=True)
 add("w_degree_vector", lambda s, d: walk.degree_vector(graph(s, d, "fk_forest"), region_tree(s, d)), f"WITH {g_sql('fk_forest')}, a AS ({_ALIVE}) SELECT v, deg, CAST(sum(deg) OVER () AS BIGINT) AS vol FROM vx WHERE v IN (SELECT v FROM a)")
-add("w_escape_t8", lambda s, d: analysis.escape_mass(graph(s, d, "fk_forest"), region_tree(s, d), [cust(0), cust(1)], 5),
-    rec(g_sql("fk_forest"), w_sql([Run(cust(0), cust(0)), Run(cust(1), cust(1))], 5), select=f"SELECT CAST(run_id AS BIGINT) AS seed, t, CAST(coalesce(sum(mass) FILTER (WHERE v % {KINDS} > 3), 0) AS BIGINT) AS outside FROM w GROUP BY 1, 2"))
+add("w_escape_t8", lambda s, d: analysis.escape_mass(graph(s, d, "fk_forest"), region_tree(s, d), [cust(0), cust(1)], 8),
+    rec(g_sql("fk_forest"), w_sql([Run(cust(0), cust(0)), Run(cust(1), cust(1))], 8), select=f"SELECT CAST(run_id AS BIGINT) AS seed, t, CAST(coalesce(sum(mass) FILTER (WHERE v % {KINDS} > 3), 0) AS BIGINT) AS outside FROM w GROUP BY 1, 2"))
 
 
 def on_walk(name, fix, runs, steps, f, select, sql=R_SQL):
@@ -301,17 +307,39 @@ def lc_query(name, fix, runs, steps, what="members", use=cluster.ALL, alive=None
 
 
 lc_query("lc_flagship", "fk_forest", practical([cust(0)]), 6)
-_GRID_RUNS = [r for i, (p, b) in enumerate((p, b) for p in ("1/10", "3/10") for b in (1, 4)) for r in practical([cust(0), cust(1)], p, b, first=2 * i)]
+_GRID_RUNS = [r for i, (p, b) in enumerate((p, b) for p in ("1/10", "3/10") for b in (1, 4, 8)) for r in practical([cust(0), cust(1)], p, b, first=2 * i)]
 lc_query("lc_grid", "fk_forest", _GRID_RUNS, 6, "stops")
-lc_query("lc_grid_pages", "page_link", [r for i, (p, b) in enumerate((p, b) for p in ("1/10", "3/10") for b in (1, 4)) for r in practical([6, 22], p, b, first=2 * i)], 5, "stops")
+lc_query("lc_grid_pages", "page_link", [r for i, (p, b) in enumerate((p, b) for p in ("1/10", "3/10") for b in (1, 4, 8)) for r in practical([6, 22], p, b, first=2 * i)], 5, "stops")
 lc_query("lc_grid_lines", "document_line", practical([8, 24], "1/10", 4), 3, "stops")
 lc_query("lc_untruncated", "page_link", [Run(0, 6, 0, 3, 1, 10, UNIT * 1e-6)], 5, "stops")
 lc_query("lc_epsilon_sweep", "fk_forest", [r for i, e in enumerate((1e-12, 1e-5, 1e-3)) for r in practical([cust(1)], eps=e, first=i)], 6, "stops")
 for _k, _c in enumerate(cluster.ALL):
     lc_query(f"lc_ablate_{_c}", "fk_forest", practical([cust(0), cust(1)]), 5, "stops", tuple(c for c in cluster.ALL if c != _c))
-lc_query("lc_negative_control", "customer_part", practical([cust(0)], "1/20", 4), 2, "stops")
-lc_query("lc_social", "user_hour", practical([10], "3/10", 3), 2, "stops")
-lc_query("lc_coverage", "conversation_path", practical([(c * 1000 + t) * KINDS + 12 for c in range(8) for t in range(2)], "1/2", 1), 6, "stops")
+lc_query("lc_negative_control", "customer_part", practical([cust(0), cust(1)], "1/20", 4), 4, "stops")
+lc_query("lc_social", "user_hour", practical([10, 26], "3/5", 3), 5, "stops")
+
+
+def all_seeds(g, phi="1/2", b: int = 1, **more) -> list[Run]:
+    """A run from every vertex, with the vertex as its id."""
+    one = practical([0], phi, b, **more)[0]
+    return [replace(one, run_id=r.v, seed=r.v) for r in g.vertices.select("v").orderBy("v").toLocalIterator()]
+
+
+def all_seeds_sql(fix: str, steps: int, phi="1/2", b: int = 1, ids: str = "SELECT v FROM vx") -> str:
+    """The recursive walk from every vertex."""
+    text = w_sql(practical([0], phi, b), steps)
+    r = practical([0], phi, b)[0]
+    head, tail = text.split("(VALUES ", 1)
+    return head + f"(SELECT v, v, CAST({r.eps_units} AS BIGINT), {r.b}, {r.phi_num}, {r.phi_den}, CAST({r.slope_units!r} AS DOUBLE) FROM ({ids}) s)" + tail[tail.index("),\nw AS") + 1 :]
+
+
+def coverage(spark, d):
+    g = graph(spark, d, "conversation_path")
+    _, s = cluster.local_clusters(g, all_seeds(g), 6)
+    return s.withColumn("phi", F.col("cut") / F.col("side")).drop("side")
+
+
+add("lc_coverage", coverage, rec(g_sql("conversation_path"), all_seeds_sql("conversation_path", 6), C_SQL, hit_sql(), select="SELECT run_id, h.t, h.j, h.prefix_vol, h.cut, h.cut / CAST(h.side AS DOUBLE) AS phi FROM hit"))
 
 
 def trace(spark, d):
@@ -324,10 +352,12 @@ add("lc_trace", trace, rec(g_sql("fk_forest"), w_sql(_C, 4), C_SQL, select="SELE
 
 def restricted(spark, d):
     g = graph(spark, d, "fk_forest")
-    return cluster.local_clusters(g.restrict(region_tree(spark, d)).kept(), practical([cust(0)], "1/2", 2), 4)[1].select("run_id", "t", "j", "prefix_vol", "cut")
+    return cluster.local_clusters(g, practical([cust(0)], "1/2", 2), 4, cut(region_tree(spark, d)))[1].select("run_id", "t", "j", "prefix_vol", "cut")
 
 
-add("lc_restricted", restricted)
+#: conditions on the degree-preserving subgraph: arcs that leave it are loops, so they are no cut
+_IN_A = C_SQL.replace("JOIN arcs ON arcs.src = p.v\n", "JOIN arcs ON arcs.src = p.v AND arcs.dst IN (SELECT v FROM alive)\n").replace("sum(deg - 2 * n)", "sum(inside - 2 * n)").replace("count(q.v) AS n FROM", "count(q.v) AS n, count(*) AS inside FROM").replace("CROSS JOIN tot", "CROSS JOIN (SELECT CAST(sum(deg) AS BIGINT) AS vol FROM vx WHERE v IN (SELECT v FROM alive)) tot")
+add("lc_restricted", restricted, rec(g_sql("fk_forest"), w_sql(practical([cust(0)], "1/2", 2), 4, _ALIVE), _IN_A, hit_sql(), select="SELECT run_id, h.t, h.j, h.prefix_vol, h.cut FROM hit"))
 
 
 def auto(spark, d):
@@ -340,25 +370,51 @@ _AUTO = [r for b in range(1, 5) for r in practical([6], "1/10", b, first=b)]
 add("lc_auto_scale", auto, rec(g_sql("page_link"), w_sql(_AUTO, 6), C_SQL, hit_sql(), select="SELECT h.t, h.j, h.prefix_vol, h.cut, CAST(run_id AS INT) AS b FROM hit ORDER BY run_id LIMIT 1"))
 
 
+def once(f):
+    """A table that several queries report on is made once for a session and folder."""
+    made: dict = {}
+
+    def get(spark, d):
+        key = (spark.sparkContext.applicationId, d)
+        if key not in made:
+            made[key] = cut(f(spark, d), f.__name__)
+        return made[key]
+
+    return get
+
+
+@once
 def theory(spark, d):
+    """Theory parameters from every vertex of the paths at every scale: (run_id, seed, b, t, v, rank, work)."""
     g = graph(spark, d, "conversation_path")
-    seeds = [r.v for r in g.vertices.orderBy("v").limit(8).collect()]
-    runs = [cluster.run_of(i * 4 + b, v, schedule(g.vol, Fraction(1, 2), b)) for i, v in enumerate(seeds) for b in range(1, 4)]
-    return cluster.ball_clusters(g, runs, schedule(g.vol, Fraction(1, 2), 1).t_last)
+    half, ell = Fraction(1, 2), scale_count(g.vol)
+    seeds = [r.v for r in g.vertices.select("v").orderBy("v").toLocalIterator()]
+    runs = [cluster.run_of(i * ell + b - 1, v, schedule(g.vol, half, b)) for i, v in enumerate(seeds) for b in valid_scales(g.vol)]
+    got = in_batches(lambda r: cluster.ball_clusters(g, r, schedule(g.vol, half, 1).t_last), runs)
+    return got.join(spark.createDataFrame([(r.run_id, r.seed, r.b) for r in runs], "run_id long, seed long, b int"), "run_id")
+
+
+def theory_forest(spark, d):
+    """Theory parameters on the nation trees from every nation, at the least, a middle and the largest scale."""
+    g = graph(spark, d, "nation_forest")
+    phi, ell = Fraction(9, 10), scale_count(g.vol)
+    runs = [cluster.run_of(3 * n + i, n * KINDS + 1, schedule(g.vol, phi, b)) for n in range(25) for i, b in enumerate((1, (ell + 1) // 2, ell))]
+    got = cluster.ball_clusters(g, runs, schedule(g.vol, phi, 1).t_last)
+    return got.groupBy("run_id", "t", "work").agg(F.count("v").alias("size"))
 
 
 add("lc_theory_profile", theory)
+add("lc_theory_forest", theory_forest)
 
 
 def modes_agree(spark, d):
-    """Rows in which the two modes differ: none."""
+    """The clusters of ball mode, compared with the same SQL as those of relational mode."""
     g, runs = graph(spark, d, "fk_forest"), practical([cust(0), cust(1)])
-    a, _ = cluster.local_clusters(g, runs, 5)
-    b = cluster.ball_clusters(g, runs, 5).filter("v is not null").select("run_id", "v", "rank")
-    return a.exceptAll(b).union(b.exceptAll(a)).agg(F.count("*").alias("differences"))
+    return cluster.ball_clusters(g, runs, 5).filter("v is not null").select("run_id", "v", "rank")
 
 
-add("udf_ball_runner", modes_agree, "SELECT 0 AS differences")
+_BALL = practical([cust(0), cust(1)])
+add("udf_ball_runner", modes_agree, rec(g_sql("fk_forest"), w_sql(_BALL, 5), C_SQL, hit_sql(), select="SELECT hit.run_id, v, conds.j AS rank FROM conds JOIN hit ON hit.run_id = conds.run_id AND conds.t = h.t AND conds.j <= h.j"))
 
 # ---- sampling and partition --------------------------------------------------------------------------
 
@@ -397,13 +453,12 @@ def in_batches(f, items: list, size: int = 4096):
 def expected_overlap(spark, d):
     """Exact expectation of the sampled method on every path, by enumerating seeds and scales, and its bound."""
     g = graph(spark, d, "conversation_path")
-    s = components(g)
+    s = cut(components(g))
     ell = scale_count(g.vol)
-    law = scale_law(ell)
-    seeds = s.join(g.vertices, "v").select("v", "deg", "comp").orderBy("v").collect()
-    runs = [cluster.run_of(i * ell + b - 1, r.v, schedule(g.vol, Fraction(1, 2), b)) for i, r in enumerate(seeds) for b in range(1, ell + 1)]
-    got = in_batches(lambda r: cluster.ball_clusters(g, r, schedule(g.vol, Fraction(1, 2), 1).t_last), runs)
-    meta = spark.createDataFrame([(i * ell + b - 1, r.comp, law[b - 1] * r.deg / g.vol) for i, r in enumerate(seeds) for b in range(1, ell + 1)], "run_id long, comp long, pr double")
+    got = theory(spark, d)
+    home = s.join(g.vertices, "v").select(F.col("v").alias("seed"), "comp", (F.col("deg") / F.lit(g.vol)).alias("of_seed"))
+    of_scale = F.pow(F.lit(2.0), -F.col("b")) / F.lit(1 - 2.0**-ell)
+    meta = got.select("run_id", "seed", "b").distinct().join(home, "seed").select("run_id", "comp", (F.col("of_seed") * of_scale).alias("pr"))
     inside = got.filter("v is not null").join(meta, "run_id").join(s, ["v", "comp"]).join(g.vertices, "v")
     value = inside.groupBy("comp").agg(F.sum(F.col("pr") * F.col("deg")).alias("value"))
     bound = s.join(g.vertices, "v").groupBy("comp").agg((F.sum("deg") / F.lit(4.0 * g.vol)).alias("bound"))
@@ -415,7 +470,8 @@ add("slc_expected_overlap", expected_overlap)
 
 def pp(spark, d, fix="page_link", **more):
     g = graph(spark, d, fix)
-    o = dict(batch=8, draws=8, t_max=6, eps=1e-12, slope=1e-6) | more
+    # up to the method's own stop: a quarter of the volume gone, or its whole budget of draws
+    o = dict(batch=64, t_max=12, eps=1e-12, slope=1e-6, pick="largest") | more
     return (g, *partition.peel_partition(g, Fraction(9, 10), 0.5, **o))
 
 
@@ -426,12 +482,34 @@ add("pp_disjoint", lambda s, d: partition.certificate(*pp(s, d, disjoint=True)[:
 
 
 def serial_same(spark, d):
-    a, b = pp(spark, d, draws=6, batch=1)[1], pp(spark, d, draws=6, batch=6)[1]
-    return a.exceptAll(b).union(b.exceptAll(a)).agg(F.count("*").alias("differences"))
+    """Both removed sets: only in the one, only in the other, in both; in runs one draw at a time and by batches."""
+    a, b = pp(spark, d, batch=1)[1].withColumn("a", F.lit(1)), pp(spark, d, batch=64)[1].withColumn("b", F.lit(1))
+    both = a.join(b, ["v", "draw"], "full")
+    return both.agg(F.count(F.when(F.col("b").isNull(), 1)).alias("serial_only"), F.count(F.when(F.col("a").isNull(), 1)).alias("batch_only"), F.count("*").alias("rows"))
+
+
+add("pp_batch_equals_serial", serial_same)
+add("pp_recursive", lambda s, d: partition.peel_clusters(graph(s, d, "conversation_path"), Fraction(9, 10), 0.5, 1, batch=256, t_max=6, eps=1e-9, slope=1e-6, disjoint=True))
+for _f in ("nation_forest", "page_host"):
+    add(f"pp_certificate_{_f}", lambda s, d, f=_f: partition.certificate(*pp(s, d, f)[:2], 0.9))
+
+
+def pp3(spark, d):
+    """Zero-cut stars: how often the removed set has a quarter of the volume or half of the target's, by random seed of the method."""
+    g = graph(spark, d, "page_host")
+    comp = cut(components(g).join(g.vertices, "v"))
+    s = comp.groupBy("comp").agg(F.sum("deg").alias("vol")).filter(2 * F.col("vol") <= F.lit(g.vol)).orderBy(F.desc("vol"), "comp").limit(1)
+    target = cut(comp.join(s, "comp", "left_semi").select("v", "deg"))
+    vol_s, rows = target.agg(F.sum("deg")).first()[0], []
+    for seed in (1, 2, 3, 4):
+        removed = partition.peel_partition(g, Fraction(9, 10), 0.25, seed, batch=64, t_max=12, eps=1e-12, slope=1e-6, pick="largest")[0].select("v").distinct()
+        vol_d = removed.join(g.vertices, "v").agg(F.coalesce(F.sum("deg"), F.lit(0))).first()[0]
+        both = removed.join(target, "v").agg(F.coalesce(F.sum("deg"), F.lit(0))).first()[0]
+        rows.append((seed, vol_d, both, g.vol, vol_s, 4 * vol_d >= g.vol or 2 * both >= vol_s))
+    return spark.createDataFrame(rows, "seed int, vol_d long, vol_both long, vol long, vol_s long, ok boolean")
 
 
-add("pp_batch_equals_serial", serial_same, "SELECT 0 AS differences")
-add("pp_recursive", lambda s, d: partition.peel_clusters(graph(s, d, "conversation_path"), Fraction(9, 10), 0.5, 1, batch=8, draws=8, t_max=6, eps=1e-9, slope=1e-6))
+add("pp3_rate", pp3)
 
 # ---- baselines, analysis, cost -----------------------------------------------------------------------
 
@@ -455,8 +533,59 @@ def compare(spark, d):
 add("x_compare", compare)
 
 
-def host_set(spark, g):
-    return g.arcs.filter("src = 6").select("dst").union(spark.createDataFrame([(6,)], "v long")).withColumnRenamed("dst", "v")
+def optimum(spark, d):
+    """Exact optimum of a small complete-like graph against every method from its first vertex."""
+    g = small_trade(spark, d, 10)
+    seed = g.vertices.agg(F.min("v")).first()[0]
+    one = lambda df, name: df.select(F.lit(name).alias("method"), "phi")
+    _, stop = cluster.local_clusters(g, practical([seed], "9/10", 1), 8, pick="best")
+    peeled = partition.peel_partition(g, Fraction(99, 100), 0.5, batch=16, draws=32, t_max=8, eps=1e-9, slope=1e-6)[0]
+    rows = [one(min_conductance(g), "optimum"), one(stop.withColumn("phi", F.col("cut") / F.col("side")), "local"), one(baselines.hop_sweep(g, seed, 2), "hops"),
+            one(baselines.ppr_sweep(g, seed), "pagerank"), one(baselines.spectral_sweep(g, 6), "spectral"), one(baselines.order_sweep(g), "degree"),
+            one(report(g, peeled.select(F.lit(0).alias("set_id"), "v").distinct()), "peeling")]
+    out = rows[0]
+    for r in rows[1:]:
+        out = out.union(r)
+    return out
+
+
+add("x_optimum", optimum)
+
+
+def scaling(spark, d):
+    """Work of one run by scale b against the size of its graph: arcs that walks read, and the bound steps / threshold."""
+    out = None
+    for name, seed in (("fk_forest", cust(0)), ("document_line", 8)):
+        g = graph(spark, d, name)
+        runs = [Run(b, seed, UNIT // (50 << b), b) for b in (1, 3, 5)]
+        w = walk.support_stats(g, walk.truncate(walk.walk(g, runs, 5), g, walk.runs_frame(g, runs)))
+        part = w.filter("t < 5").groupBy(F.col("run_id").alias("b")).agg(F.sum("vol").alias("arcs_read"), F.max("n").alias("support"))
+        part = part.select(F.lit(name).alias("graph"), "b", "arcs_read", "support", F.lit(g.vol).alias("graph_vol"), (5 * 50 * F.pow(F.lit(2.0), F.col("b"))).cast("long").alias("bound"))
+        out = part if out is None else out.union(part)
+    return out
+
+
+def scaling_sql() -> str:
+    parts = []
+    for name, seed in (("fk_forest", cust(0)), ("document_line", 8)):
+        runs = [Run(b, seed, UNIT // (50 << b), b) for b in (1, 3, 5)]
+        q = rec(g_sql(name), w_sql(runs, 5), select=f"SELECT '{name}' AS graph, b, CAST(sum(vol) AS BIGINT) AS arcs_read, max(n) AS support, any_value(gv) AS graph_vol, CAST(250 * pow(2.0, b) AS BIGINT) AS bound FROM (SELECT w.run_id AS b, t, sum(deg) AS vol, count(*) AS n, (SELECT vol FROM tot) AS gv FROM w JOIN vx USING (v) JOIN runs USING (run_id) WHERE mass >= deg * eps AND t < 5 GROUP BY 1, 2) GROUP BY b")
+        parts.append(f"SELECT * FROM ({q})")
+    return " UNION ALL ".join(parts)
+
+
+add("k_scaling", scaling, scaling_sql())
+
+
+def total_bound(spark, d):
+    """Measured work of theory runs under steps / threshold, by scale."""
+    g = graph(spark, d, "conversation_path")
+    w = theory(spark, d).groupBy("run_id", "b").agg(F.max("work").alias("work"))
+    bounds = spark.createDataFrame([(b, s.t_last / s.eps, 2.0**b * s.ell**6 * 16) for b in valid_scales(g.vol) for s in [schedule(g.vol, Fraction(1, 2), b)]], "b int, bound double, shape double")
+    return w.groupBy("b").agg(F.max("work").alias("most")).join(bounds, "b").withColumn("ok", F.col("most") <= F.col("bound"))
+
+
+add("k_total_bound", total_bound)
 
 
 CHECKED = {"": ("page_link", [6, 22, 38]), "_forest": ("fk_forest", [cust(0), cust(1)])}
@@ -484,7 +613,7 @@ def checks_sql(fix, seeds) -> tuple[str, ...]:
 _VERDICTS = {
     "monotone": "FROM (SELECT run_id, t, max(p / CAST(deg AS DOUBLE)) AS m FROM p GROUP BY 1, 2) a JOIN (SELECT run_id, t, max(p / CAST(deg AS DOUBLE)) AS m FROM p GROUP BY 1, 2) b ON a.run_id = b.run_id AND b.t = a.t + 1|b.m > a.m + 2",
     "killed_le_free": "FROM p LEFT JOIN kw ON kw.run_id = p.run_id AND kw.t = p.t AND kw.v = p.v|coalesce(mass, 0) > p + 2 * p.t * deg",
-    "truncation_sandwich": f"FROM p LEFT JOIN w ON w.run_id = p.run_id + 100 AND w.t = p.t AND w.v = p.v|coalesce(mass, 0) > p + 2 * p.t * deg OR coalesce(mass, 0) < p - p.t * {CHECK_EPS} * deg - 2 * p.t * deg",
+    "truncation_sandwich": f"FROM p LEFT JOIN w ON w.run_id = p.run_id + 100 AND w.t = p.t AND w.v = p.v|coalesce(mass, 0) > p + 2 * p.t * deg OR coalesce(mass, 0) < p - p.t * CAST({CHECK_EPS} AS BIGINT) * deg - 2 * p.t * deg",
     "mass_kept": f"FROM (SELECT run_id, t, sum(p) AS m FROM p GROUP BY 1, 2)|m > {UNIT}",
     "curve_monotone": "FROM (SELECT b.run_id, b.t, b.prefix_vol AS x, any_value(b.prefix_mass) AS next, coalesce(arg_min(a.prefix_mass - a.ratio * (a.prefix_vol - b.prefix_vol), a.j), max(z.total)) AS value FROM lam b LEFT JOIN lam a ON a.run_id = b.run_id AND a.t = b.t - 1 AND a.prefix_vol >= b.prefix_vol JOIN (SELECT run_id, t, CAST(sum(mass) AS DOUBLE) AS total FROM w GROUP BY 1, 2) z ON z.run_id = b.run_id AND z.t = b.t - 1 WHERE b.run_id < 100 AND b.t > 0 GROUP BY 1, 2, 3)|next > value * (1 + 1e-12) + 2 * x",
 }
@@ -515,7 +644,7 @@ def cores(spark, d):
 
 
 add("e_core", lambda s, d: cores(s, d)[2])
-add("e_core_inner", lambda s, d: (lambda c: c[3].join(c[2], "v", "left_anti").agg(F.lit("inner_in_core").alias("check"), F.count("*").alias("violations")))(cores(s, d)), "SELECT 'inner_in_core' AS \"check\", 0 AS violations")
+add("e_core_inner", lambda s, d: cores(s, d)[3])
 add("e_core_volume", lambda s, d: (lambda c: overlap(c[0], c[2], c[1]).select("vol_c", "vol_s", (2 * F.col("vol_c") >= F.col("vol_s")).alias("ok")))(cores(s, d)))
 
 
@@ -525,7 +654,9 @@ def abscissae(spark, d):
     return in_batches(lambda part: analysis.abscissae(g, part, 3, 2), seeds)
 
 
-add("e_abscissae", abscissae)
+_YH = ", ".join(f"({h}, {2 * h}, {((h + 1) * UNIT / (Constants().c5 * 5))!r}::DOUBLE)" for h in range(4))
+add("e_abscissae", abscissae, rec(g_sql("conversation_path"), all_seeds_sql("conversation_path", 6).replace(f"CAST({practical([0], '1/2', 1)[0].eps_units} AS BIGINT)", "CAST(0 AS BIGINT)"), R_SQL, f"ys(h, at, y) AS (VALUES {_YH})",
+    select="SELECT run_id AS seed, h, arg_min(prefix_vol - (prefix_mass - y) / ratio, j) AS x FROM lam JOIN ys ON t = at AND prefix_mass >= y GROUP BY 1, 2"))
 add("e_scale_class", lambda s, d: analysis.scale_classes(abscissae(s, d), 3))
 add("m_overlap", lambda s, d: (lambda g: overlap(g, cluster.local_clusters(g, practical([cust(0)]), 6)[0].select("v"), nation_sets(s, d).filter("set_id = 0").select("v")))(graph(s, d, "fk_forest")),
     rec(g_sql("fk_forest"), NATION_SETS_SQL, w_sql(practical([cust(0)]), 6), C_SQL, hit_sql(), "c AS (SELECT v FROM conds JOIN hit ON conds.t = h.t AND conds.j <= h.j)", "z AS (SELECT v FROM sets WHERE set_id = 0)", select="SELECT CAST((SELECT sum(deg) FROM vx WHERE v IN (SELECT v FROM c)) AS BIGINT) AS vol_c, CAST((SELECT sum(deg) FROM vx WHERE v IN (SELECT v FROM z)) AS BIGINT) AS vol_s, CAST((SELECT coalesce(sum(deg), 0) FROM vx WHERE v IN (SELECT v FROM c) AND v IN (SELECT v FROM z)) AS BIGINT) AS vol_both"))
@@ -537,23 +668,64 @@ def n1(spark, d):
     _, s = cluster.local_clusters(g, _GRID_RUNS, 6)
     r = s.join(walk.runs_frame(g, _GRID_RUNS).select("run_id", "phi_num", "phi_den"), "run_id")
     bad = (F.col("cut") * F.col("phi_den") > F.col("phi_num") * F.col("side")) | (6 * F.col("prefix_vol") > 5 * F.lit(g.vol))
-    return r.agg(F.lit("n1").alias("check"), F.count(F.when(bad, 1)).alias("violations"))
+    return analysis.verdict("n1", r, bad)
 
 
-add("n1_all_runs", n1, "SELECT 'n1' AS \"check\", 0 AS violations")
+add("n1_all_runs", n1, rec(g_sql("fk_forest"), w_sql(_GRID_RUNS, 6), C_SQL, hit_sql(), select="SELECT 'n1' AS \"check\", count(*) AS compared, count(*) FILTER (h.cut * pd > pn * h.side OR 6 * h.prefix_vol > 5 * vol) AS violations FROM hit JOIN runs USING (run_id), tot"))
 
 
-def n2_n3(spark, d):
-    """Zero-cut targets, theory parameters: overlap of every cluster with its own path is at least 2^(b-1)."""
+def r1_r2(spark, d):
+    """The same bounds for every set that the sampled method returns, recomputed from its members."""
+    g = graph(spark, d, "page_link")
+    got = sampling.sampled_local_cluster(g, Fraction(3, 10), literal_draws(spark), t_max=5, eps=1e-12, slope=1e-6)
+    r = report(g, cut(got.filter("v is not null").select(F.col("draw").alias("set_id"), "v")))
+    return analysis.verdict("r1_r2", r, (10 * F.col("cut") > 3 * F.least("vol", "vol_rest")) | (6 * F.col("vol") > 5 * F.lit(g.vol)))
+
+
+add("r1_r2", r1_r2, rec(g_sql("page_link"), _PICK_SQL, _SLC_W, C_SQL, hit_sql(), select="SELECT 'r1_r2' AS \"check\", count(*) AS compared, count(*) FILTER (10 * h.cut > 3 * h.side OR 6 * h.prefix_vol > 5 * vol) AS violations FROM hit, tot"))
+
+
+def n2(spark, d):
+    """Zero-cut targets, theory parameters: every cluster overlaps its seed's path by 2^(b-1) or more."""
     g = graph(spark, d, "conversation_path")
-    got, comp = cut(theory(spark, d)), components(g)
-    first = got.filter("rank = 1").select("run_id", F.col("v").alias("head"))
-    own = got.filter("v is not null").join(first, "run_id").join(comp, "v").join(comp.select(F.col("v").alias("head"), F.col("comp").alias("home")), "head").join(g.vertices, "v")
-    vol = own.groupBy("run_id").agg(F.sum(F.when(F.col("comp") == F.col("home"), F.col("deg")).otherwise(0)).alias("inside"))
-    return vol.agg(F.lit("n2").alias("check"), F.count(F.when(F.col("inside") < F.expr("shiftleft(1, cast(run_id % 4 as int) - 1)"), 1)).alias("violations"))
+    got, comp = theory(spark, d), cut(components(g))
+    home = comp.select(F.col("v").alias("seed"), F.col("comp").alias("home"))
+    own = got.filter("v is not null").join(home, "seed").join(comp, "v").join(g.vertices, "v")
+    vol = own.groupBy("run_id", "b").agg(F.sum(F.when(F.col("comp") == F.col("home"), F.col("deg")).otherwise(0)).alias("inside"))
+    return analysis.verdict("n2", vol, F.col("inside") < F.pow(F.lit(2), F.col("b") - 1))
+
 
+add("n2_overlap", n2)
 
-add("n2_overlap", n2_n3, "SELECT 'n2' AS \"check\", 0 AS violations")
+
+@once
+def lab(spark, d):
+    return analysis.guarantees(graph(spark, d, "conversation_path"), Fraction(1, 2))
+
+
+add("e_stop_epoch", lambda s, d: lab(s, d).select("seed", "comp", "h", "b"))
+for _n, _c in {"e_class_partition": "rising", "n3_nonempty": "nonempty", "n2_own_scale": "overlap", "e_epoch_c123": "c123", "e_epoch_c4": "c4", "e_curve_floor": "floor", "e_curve_ceiling": "ceiling"}.items():
+    add(_n, lambda s, d, n=_n, c=_c: analysis.verdict(n, lab(s, d).filter(F.col("b").isNotNull() if c == "rising" else "b > 0"), ~F.col(c)))
+
+
+def one_class(spark, d):
+    """Every vertex of the targets lies in one class: vertices with and without one."""
+    return lab(spark, d).agg(F.count("*").alias("vertices"), F.countDistinct("seed").alias("seeds"), F.count("b").alias("classed"))
+
+
+add("e_classes", one_class, f"WITH {g_sql('conversation_path')} SELECT count(*) AS vertices, count(*) AS seeds, count(*) AS classed FROM vx")
+
+
+def escape(spark, d):
+    g = graph(spark, d, "fk_forest")
+    return analysis.escape_bounds(g, cut(region_tree(spark, d)), 5)
+
+
+_PSI = f"inn AS (SELECT v, deg FROM vx WHERE v % {KINDS} <= 3), z AS (SELECT CAST(sum(deg) AS BIGINT) AS vol, (SELECT count(*) FROM arcs WHERE src IN (SELECT v FROM inn) AND dst NOT IN (SELECT v FROM inn)) / CAST(least(sum(deg), (SELECT vol FROM tot) - sum(deg)) AS DOUBLE) AS phi FROM inn)"
+_KILLED = f"""k AS (SELECT 0 AS t, v, CAST(floor({UNIT}::DOUBLE * deg / vol) AS BIGINT) AS mass FROM inn, z
+ UNION ALL SELECT t, v, CAST(sum(m) AS BIGINT) FROM (SELECT t + 1 AS t, k.v, mass // 2 AS m FROM k WHERE t < 5
+  UNION ALL SELECT t + 1, dst, mass // (2 * deg) FROM k JOIN vx ON vx.v = k.v JOIN arcs ON src = k.v WHERE t < 5 AND dst IN (SELECT v FROM inn)) x WHERE m > 0 GROUP BY t, v)"""
+add("e_escape_bounds", escape, rec(g_sql("fk_forest"), _PSI, _KILLED, select=f"SELECT t, CAST(sum(mass) AS BIGINT) AS inside, max(mass / CAST(deg AS DOUBLE)) AS norm, sum(mass) >= {UNIT}::DOUBLE * (1 - t * any_value(phi) / 2) - 2 * any_value(z.vol) * (t + 1) AS escape_ok, max(mass / CAST(deg AS DOUBLE)) <= {UNIT}::DOUBLE / any_value(z.vol) AS norm_ok FROM k JOIN vx USING (v), z GROUP BY t"))
 
 
 def k_work(spark, d):
@@ -571,7 +743,7 @@ lc_query("k_quality", "page_link", practical([6, 22, 38], "3/10", 2), 5, "stops"
 
 
 def support_vs_output(spark, d):
-    return theory(spark, d).groupBy("run_id", "t").agg(F.max("work").alias("work"), F.count("v").alias("size"))
+    return theory(spark, d).groupBy("run_id", "b", "t").agg(F.max("work").alias("work"), F.count("v").alias("size"))
 
 
 add("k_support_vs_output", support_vs_output)
@@ -580,7 +752,7 @@ add("k_support_vs_output", support_vs_output)
 def k_expected(spark, d):
     """Expected work of the sampled method: work by scale, weighted by the scale law."""
     g = graph(spark, d, "conversation_path")
-    w = support_vs_output(spark, d).groupBy((F.col("run_id") % 4).cast("int").alias("b")).agg(F.avg("work").alias("work"))
+    w = support_vs_output(spark, d).groupBy("b").agg(F.avg("work").alias("work"))
     return w.withColumn("weighted", F.col("work") * F.pow(F.lit(2.0), -F.col("b")) / F.lit(1 - 2.0 ** -scale_count(g.vol)))
 
 
@@ -592,11 +764,11 @@ def success(spark, d):
     """Share of the seeds of all paths whose cluster lies mostly inside their own."""
     g = graph(spark, d, "conversation_path")
     comp = components(g)
-    runs = practical([r.v for r in g.vertices.orderBy("v").collect()], "1/2", 1)
-    got = in_batches(lambda r: cluster.ball_clusters(g, r, 8), runs)
-    seed = spark.createDataFrame([(r.run_id, r.seed) for r in runs], "run_id long, seed long").join(comp.select(F.col("v").alias("seed"), F.col("comp").alias("home")), "seed")
-    inside = got.join(comp, "v", "left").join(seed, "run_id").groupBy("run_id").agg(F.avg((F.col("comp") == F.col("home")).cast("double")).alias("share"))
+    got = cluster.ball_clusters(g, all_seeds(g), 8)
+    home = comp.select(F.col("v").alias("run_id"), F.col("comp").alias("home"))
+    inside = got.join(comp, "v", "left").join(home, "run_id").groupBy("run_id").agg(F.avg((F.col("comp") == F.col("home")).cast("double")).alias("share"))
     return inside.agg(F.count("*").alias("seeds"), F.count(F.when(F.col("share") > 0.5, 1)).alias("good"))
 
 
-add("k_success_rate", success)
+add("k_success_rate", success, rec(g_sql("conversation_path"), all_seeds_sql("conversation_path", 8), C_SQL, hit_sql(), select="SELECT (SELECT count(*) FROM vx) AS seeds, count(*) AS good FROM hit"))
+

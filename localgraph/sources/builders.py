@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+import numpy as np
+import pandas as pd
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..graph import Graph
@@ -84,7 +86,8 @@ def user_hour(spark, d) -> Graph:
 def conversation_path(spark, d) -> Graph:
     """Turn - next turn inside a conversation."""
     c = load(spark, d, "conversations").select("conv_id", "turn").distinct()
-    key = F.col("conv_id") * 1000 + F.col("turn")
+    # as many ids to a conversation as the longest needs, so that no two turns share one
+    key = F.col("conv_id") * F.lit((c.agg(F.max("turn")).first()[0] or 0) + 1) + F.col("turn")
     return Graph.from_edges(pairs(c.filter("turn > 0"), vid(key, "turn"), vid(key - 1, "turn")))
 
 
@@ -111,13 +114,39 @@ def part_coorder(spark, d, max_group: int | None = None, block: int = 1000) -> G
     return Graph.from_edges(pairs(two, vid("l_partkey", "part"), vid("p2", "part")))
 
 
+KNN_BLOCK = 2048
+
+
 def knn(spark, d, k: int = 10) -> Graph:
-    """Each vector with its k largest integer dot products (ties: smaller id), made symmetric."""
+    """Each vector with its k largest integer dot products (ties: smaller id), made symmetric.
+
+    Exact and by blocks: vectors are dealt over blocks of about KNN_BLOCK, each pair of blocks is one product of
+    integer matrices in a task, which returns the k best of every row only; the best of these are kept.
+    """
     e = load(spark, d, "embeddings").select("vec_id", F.transform("embedding", lambda x: F.round(x.cast("double") * 10000).cast("long")).alias("e"))
-    dot = F.aggregate(F.zip_with("e", "e2", lambda x, y: x * y), F.lit(0).cast("long"), lambda a, x: a + x)
-    other = e.select(F.col("vec_id").alias("o"), F.col("e").alias("e2"))
-    best = e.join(other, F.col("vec_id") != F.col("o")).groupBy("vec_id").agg(F.slice(F.sort_array(F.collect_list(F.struct((-dot).alias("s"), "o"))), 1, k).alias("n"))
-    return Graph.from_edges(pairs(best.select("vec_id", F.explode("n.o").alias("o")), vid("vec_id", "vector"), vid("o", "vector")))
+    blocks = max(1, -(-e.count() // KNN_BLOCK))
+    e = e.withColumn("h", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int"))
+    every = F.sequence(F.lit(0), F.lit(blocks - 1))
+    left = e.select("*", F.lit(True).alias("asks"), F.explode(every).alias("other")).select("vec_id", "e", "asks", F.col("h").alias("i"), F.col("other").alias("j"))
+    right = e.select("*", F.lit(False).alias("asks"), F.explode(every).alias("other")).select("vec_id", "e", "asks", F.col("other").alias("i"), F.col("h").alias("j"))
+
+    def best(rows: pd.DataFrame) -> pd.DataFrame:
+        one, two = rows[rows["asks"]], rows[~rows["asks"]].sort_values("vec_id")
+        got = {"vec_id": [], "o": [], "s": []}
+        if len(one) and len(two):
+            ids = two["vec_id"].to_numpy()
+            dots = np.stack(one["e"].to_numpy()) @ np.stack(two["e"].to_numpy()).T
+            for v, row in zip(one["vec_id"], dots, strict=True):
+                top = [i for i in np.argsort(-row, kind="stable")[: k + 1] if ids[i] != v][:k]
+                got["vec_id"] += [v] * len(top)
+                got["o"] += ids[top].tolist()
+                got["s"] += row[top].tolist()
+        return pd.DataFrame(got, columns=["vec_id", "o", "s"]).astype("int64")
+
+    near = left.unionByName(right).groupBy("i", "j").applyInPandas(best, "vec_id long, o long, s long")
+    rank = F.row_number().over(Window.partitionBy("vec_id").orderBy(F.desc("s"), "o"))
+    near = near.withColumn("r", rank).filter(F.col("r") <= k)
+    return Graph.from_edges(pairs(near, vid("vec_id", "vector"), vid("o", "vector")))
 
 
 _K = KINDS
@@ -143,7 +172,7 @@ EDGES_SQL = {
     "page_host": f"SELECT {_sql('page', 'page_id')} a, {_text_sql('host', 'h')} b FROM (SELECT page_id, regexp_extract(url, '://([^/?#]*)', 1) h FROM pages)",
     "document_line": f"SELECT {_sql('document', 'doc_id')} a, {_text_sql('line', 'l')} b FROM (SELECT doc_id, unnest(string_split(text, chr(10))) l FROM documents) WHERE length(trim(l, ' ')) > 0",
     "user_hour": f"SELECT {_sql('user', 'user_id')} a, {_sql('hour', 'epoch_us(ts) // 3600000000')} b FROM events",
-    "conversation_path": f"SELECT {_sql('turn', 'conv_id * 1000 + turn')} a, {_sql('turn', 'conv_id * 1000 + turn - 1')} b FROM conversations WHERE turn > 0",
+    "conversation_path": f"SELECT {_sql('turn', 'conv_id * wide + turn')} a, {_sql('turn', 'conv_id * wide + turn - 1')} b FROM conversations, (SELECT max(turn) + 1 AS wide FROM conversations) WHERE turn > 0",
     "nation_trade": f"SELECT {_sql('nation', 'c_nationkey')} a, {_sql('nation', 's_nationkey')} b FROM {_LI} JOIN customer ON c_custkey = o_custkey JOIN supplier ON s_suppkey = l_suppkey",
     "part_coorder": f"SELECT {_sql('part', 'x.l_partkey')} a, {_sql('part', 'y.l_partkey')} b FROM lineitem x JOIN lineitem y ON x.l_orderkey = y.l_orderkey AND x.l_partkey < y.l_partkey",
     "knn": f"""SELECT {_sql('vector', 'i')} a, {_sql('vector', 'o')} b FROM (
