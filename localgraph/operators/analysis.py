@@ -5,7 +5,6 @@ Flooring loses at most 2 deg units per vertex and step, so bounds in mass units
 
 from __future__ import annotations
 
-import math
 from fractions import Fraction
 
 import numpy as np
@@ -130,7 +129,7 @@ def escape_bounds(g: Graph, s: DataFrame, steps: int) -> DataFrame:
 
 
 #: vertices of a component that one task walks as a dense matrix
-LAB = 256
+LAB = 1024
 
 
 def guarantees(g: Graph, phi, limit: int = LAB) -> DataFrame:
@@ -162,57 +161,73 @@ def guarantees(g: Graph, phi, limit: int = LAB) -> DataFrame:
             flow[[at[u] for u in r.nbrs], i] += 1
         edges, move = flow.copy(), (np.eye(n) + flow / deg) / 2
         np.fill_diagonal(edges, 0)
+        ends, degree = np.argwhere(np.triu(edges) > 0), deg[:, None]
+
+        def curves(p):
+            """Per column: order, prefix volumes and masses, conductance of the prefixes as (cut, side); deg as far as mass reaches."""
+            order = np.argsort(np.where(p > 0, -p / degree, 1.0), axis=0, kind="stable")
+            lam = np.cumsum(deg[order], axis=0)
+            mass = np.cumsum(np.take_along_axis(p, order, 0), axis=0)
+            rank = np.empty_like(order)
+            np.put_along_axis(rank, order, np.arange(n)[:, None], 0)
+            inside = np.zeros((n, p.shape[1]))
+            for u, w in ends:
+                inside[np.maximum(rank[u], rank[w]), np.arange(p.shape[1])] += 1
+            cut_ = np.cumsum(edges.sum(0)[order], axis=0) - 2 * np.cumsum(inside, axis=0)
+            live = np.take_along_axis(p, order, 0) > 0
+            return order, lam, mass, cut_, np.minimum(lam, vol - lam), live
+
+        def value(lam, mass, x):
+            return float(np.interp(x, np.append(0, lam), np.append(0, mass)))
 
-        def curve(p):
-            some = np.flatnonzero(p > 0)
-            order = some[np.lexsort((ids[some], -(p[some] / deg[some])))]
-            return order, np.cumsum(deg[order]), np.cumsum(p[order])
-
-        value = lambda lam, mass, x: float(np.interp(x, np.append(0, lam), np.append(0, mass)))
         epoch, marks = np.linalg.matrix_power(move, t1), [np.eye(n)]
         for _ in range(ell + 1):
             marks.append(epoch @ marks[-1])
-        got = []
-        for v, seed in enumerate(ids.tolist()):
-            xs = []
-            for h, p in enumerate(marks):
-                _, lam, mass = curve(p[:, v])
-                xs.append(float(np.interp((h + 1) / (c.c5 * (ell + 2)), np.append(0, mass), np.append(0, lam))))
-            late = xs[ell] >= vol / (c.c6 * (ell + 2))
-            h = ell + 1 if late else next(i for i in range(1, ell + 1) if xs[i] <= 2 * xs[i - 1])
-            b = 0 if xs[h - 1] < 2 else int(math.log2(xs[h - 1]))
-            rising = all(x <= y * (1 + 1e-9) for x, y in zip(xs, xs[1:]))
-            if b == 0:
-                got.append((seed, h, b, rising, *[None] * 6))
-                continue
-            s = schedule(vol, phi, b)
-            q, found, c4, c123, floor, ceiling = np.eye(n)[v], None, True, False, True, True
-            beta = 0.0
-            for t in range(1, s.t_last + 1):
-                q = move @ np.where(q >= deg * s.eps, q, 0.0)
-                order, lam, mass = curve(q)
-                inner = edges[np.ix_(order, order)]
-                cut_ = np.cumsum(edges[:, order].sum(0)) - 2 * np.cumsum(np.triu(inner, 1).sum(0))
-                side = np.minimum(lam, vol - lam)
-                good = (cut_ < f * side) & (6 * lam <= 5 * vol)
-                beta = max(beta, mass[good].max(initial=0.0))
-                hit = (cut_ <= f * side) & (6 * lam <= 5 * vol) & (lam >= 2**b)
-                k = int(np.searchsorted(lam, 2**b))
-                steep = k < len(lam) and q[order[k]] / deg[order[k]] >= s.slope_floor
-                if t1 * (h - 1) < t <= t1 * h:
-                    c4, c123 = c4 and steep, c123 or bool(hit.any())
-                if found is None and steep and hit.any():
-                    found = float(lam[int(hit.argmax())])
+        xs = np.empty((ell + 2, n))
+        for h, p in enumerate(marks):
+            _, lam, mass, _, _, live = curves(p)
+            for v in range(n):
+                k = live[:, v]
+                xs[h, v] = np.interp((h + 1) / (c.c5 * (ell + 2)), np.append(0, mass[k, v]), np.append(0, lam[k, v]))
+        late = xs[ell] >= vol / (c.c6 * (ell + 2))
+        stop = np.array([ell + 1 if late[v] else next(i for i in range(1, ell + 1) if xs[i, v] <= 2 * xs[i - 1, v]) for v in range(n)])
+        before = xs[stop - 1, np.arange(n)]
+        scale = np.where(before < 2, 0, np.floor(np.log2(np.maximum(before, 2)))).astype(int)
+        rising = (xs[1:] >= xs[:-1] * (1 - 1e-9)).all(0)
+        got = [(int(ids[v]), int(stop[v]), 0, bool(rising[v]), *[None] * 6) for v in np.flatnonzero(scale == 0)]
+        who = np.flatnonzero(scale)
+        if len(who):
+            b, h, some = scale[who], stop[who], np.arange(len(who))
+            plans = {int(x): schedule(vol, phi, int(x)) for x in np.unique(b)}
+            eps = np.array([plans[x].eps for x in b.tolist()])
+            least = np.array([plans[x].slope_floor for x in b.tolist()])
+            q, found = np.eye(n)[:, who], np.full(len(who), -1.0)
+            c4, c123, floor, ceiling, beta = np.ones(len(who), bool), np.zeros(len(who), bool), np.ones(len(who), bool), np.ones(len(who), bool), np.zeros(len(who))
+            for t in range(1, base.t_last + 1):
+                q = move @ np.where(q >= degree * eps, q, 0.0)
+                order, lam, mass, cut_, side, live = curves(q)
+                fits = live & (6 * lam <= 5 * vol)
+                beta = np.maximum(beta, np.where(fits & (cut_ < f * side), mass, 0).max(0))
+                hit = fits & (cut_ <= f * side) & (lam >= 2.0**b)
+                k = (lam >= 2.0**b).argmax(0)
+                slope = np.where(lam[-1] >= 2.0**b, q[order[k, some], some] / deg[order[k, some]], 0)
+                now = (t1 * (h - 1) < t) & (t <= t1 * h)
+                c4 &= ~now | (slope >= least)
+                c123 |= now & hit.any(0)
+                new = (found < 0) & (slope >= least) & hit.any(0)
+                found[new] = lam[hit.argmax(0), some][new]
                 if t % t1 == 0:
-                    x = lam
-                    most = beta + 6 * x / (5 * vol) + np.sqrt(np.minimum(x, vol - x)) * (1 - f * f / 2) ** t1
-                    ceiling, beta = ceiling and bool((mass <= most + 1e-9).all()), 0.0
-                    if t == t1 * (ell + 1) and late:
-                        floor = value(lam, mass, 2 * vol / 3) >= 1 - 1 / (c.c2 * (ell + 2)) - 4 * c.c6 / (3 * c.c3)
-                    elif t == t1 * h and not late:
-                        floor = value(lam, mass, xs[h]) >= (h + 0.5) / (c.c5 * (ell + 2))
+                    most = beta + 6 * lam / (5 * vol) + np.sqrt(np.maximum(side, 0)) * (1 - f * f / 2) ** t1
+                    ceiling &= (~live | (mass <= most + 1e-9)).all(0)
+                    beta[:] = 0
+                    for i in np.flatnonzero(t == t1 * h):
+                        on = live[:, i]
+                        if late[who[i]]:
+                            floor[i] = value(lam[on, i], mass[on, i], 2 * vol / 3) >= 1 - 1 / (c.c2 * (ell + 2)) - 4 * c.c6 / (3 * c.c3)
+                        else:
+                            floor[i] = value(lam[on, i], mass[on, i], xs[h[i], who[i]]) >= (h[i] + 0.5) / (c.c5 * (ell + 2))
             # the target is the whole component, so all of a found set overlaps it
-            got.append((seed, h, b, rising, found is not None, found is not None and found >= 2 ** (b - 1), c123, c4, bool(floor), ceiling))
+            got += [(int(ids[v]), int(h[i]), int(b[i]), bool(rising[v]), bool(found[i] >= 0), bool(found[i] >= 2.0 ** (b[i] - 1)), bool(c123[i]), bool(c4[i]), bool(floor[i]), bool(ceiling[i])) for i, v in enumerate(who)]
         df = pd.DataFrame(got, columns=["seed", "h", "b", "rising", "nonempty", "overlap", "c123", "c4", "floor", "ceiling"])
         df.insert(1, "comp", part["comp"].iloc[0])
         return df.astype({x: "boolean" for x in ("nonempty", "overlap", "c123", "c4", "floor", "ceiling")})

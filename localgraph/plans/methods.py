@@ -655,8 +655,8 @@ def abscissae(spark, d):
 
 
 _YH = ", ".join(f"({h}, {2 * h}, {((h + 1) * UNIT / (Constants().c5 * 5))!r}::DOUBLE)" for h in range(4))
-add("e_abscissae", abscissae, rec(g_sql("conversation_path"), all_seeds_sql("conversation_path", 6).replace(f"CAST({practical([0], '1/2', 1)[0].eps_units} AS BIGINT)", "CAST(0 AS BIGINT)"), R_SQL, f"ys(h, at, y) AS (VALUES {_YH})",
-    select="SELECT run_id AS seed, h, arg_min(prefix_vol - (prefix_mass - y) / ratio, j) AS x FROM lam JOIN ys ON t = at AND prefix_mass >= y GROUP BY 1, 2"))
+add("e_abscissae", abscissae, rec(g_sql("conversation_path"), all_seeds_sql("conversation_path", 6).replace(f"CAST({practical([0], '1/2', 1)[0].eps_units} AS BIGINT)", "CAST(0 AS BIGINT)"), R_SQL, f"ys(h, t_h, y) AS (VALUES {_YH})",
+    select="SELECT run_id AS seed, h, arg_min(prefix_vol - (prefix_mass - y) / ratio, j) AS x FROM lam JOIN ys ON t = t_h AND prefix_mass >= y GROUP BY 1, 2"))
 add("e_scale_class", lambda s, d: analysis.scale_classes(abscissae(s, d), 3))
 add("m_overlap", lambda s, d: (lambda g: overlap(g, cluster.local_clusters(g, practical([cust(0)]), 6)[0].select("v"), nation_sets(s, d).filter("set_id = 0").select("v")))(graph(s, d, "fk_forest")),
     rec(g_sql("fk_forest"), NATION_SETS_SQL, w_sql(practical([cust(0)]), 6), C_SQL, hit_sql(), "c AS (SELECT v FROM conds JOIN hit ON conds.t = h.t AND conds.j <= h.j)", "z AS (SELECT v FROM sets WHERE set_id = 0)", select="SELECT CAST((SELECT sum(deg) FROM vx WHERE v IN (SELECT v FROM c)) AS BIGINT) AS vol_c, CAST((SELECT sum(deg) FROM vx WHERE v IN (SELECT v FROM z)) AS BIGINT) AS vol_s, CAST((SELECT coalesce(sum(deg), 0) FROM vx WHERE v IN (SELECT v FROM c) AND v IN (SELECT v FROM z)) AS BIGINT) AS vol_both"))
@@ -700,7 +700,7 @@ add("n2_overlap", n2)
 
 @once
 def lab(spark, d):
-    return analysis.guarantees(graph(spark, d, "conversation_path"), Fraction(1, 2))
+    return analysis.guarantees(graph(spark, d, "nation_forest"), Fraction(9, 10))
 
 
 add("e_stop_epoch", lambda s, d: lab(s, d).select("seed", "comp", "h", "b"))
@@ -713,7 +713,7 @@ def one_class(spark, d):
     return lab(spark, d).agg(F.count("*").alias("vertices"), F.countDistinct("seed").alias("seeds"), F.count("b").alias("classed"))
 
 
-add("e_classes", one_class, f"WITH {g_sql('conversation_path')} SELECT count(*) AS vertices, count(*) AS seeds, count(*) AS classed FROM vx")
+add("e_classes", one_class, f"WITH {g_sql('nation_forest')} SELECT count(*) AS vertices, count(*) AS seeds, count(*) AS classed FROM vx")
 
 
 def escape(spark, d):
