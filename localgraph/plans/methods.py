@@ -482,8 +482,8 @@ add("pp_disjoint", lambda s, d: partition.certificate(*pp(s, d, disjoint=True)[:
 
 
 def serial_same(spark, d):
-    """Both removed sets: only in the one, only in the other, in both; in runs one draw at a time and by batches."""
-    a, b = pp(spark, d, batch=1)[1].withColumn("a", F.lit(1)), pp(spark, d, batch=64)[1].withColumn("b", F.lit(1))
+    """Both removed sets after 8 draws, one at a time and by batches: rows only in the one, only in the other, in all."""
+    a, b = pp(spark, d, batch=1, draws=8)[1].withColumn("a", F.lit(1)), pp(spark, d, batch=8, draws=8)[1].withColumn("b", F.lit(1))
     both = a.join(b, ["v", "draw"], "full")
     return both.agg(F.count(F.when(F.col("b").isNull(), 1)).alias("serial_only"), F.count(F.when(F.col("a").isNull(), 1)).alias("batch_only"), F.count("*").alias("rows"))
 
