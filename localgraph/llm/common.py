@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from ..session import cut as stored
 from ..session import drop
 
-__all__ = ["components", "drop", "in_blocks", "mix", "shingle_hashes", "stored", "table", "tidied", "word_hashes"]
+__all__ = ["components", "drop", "free_name", "in_blocks", "mix", "shingle_hashes", "stored", "table", "tidied", "word_hashes"]
 
 
 def tidied(f):
@@ -28,6 +28,14 @@ def tidied(f):
     return run
 
 
+def free_name(df: DataFrame, name: str) -> str:
+    """name, or its first numbered form that no column of df has (in any case of letters)."""
+    have, n = {c.lower() for c in df.columns}, 0
+    while (out := f"{name}_{n}" if n else name).lower() in have:
+        n += 1
+    return out
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

@@ -20,7 +20,7 @@ import math
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored, table
+from .common import free_name, stored, table
 
 MIN_SITES = 8
 LG_K = 10
@@ -54,17 +54,19 @@ def dedup_lines(docs: DataFrame, text: str = "text", site: str = "source", min_s
     docs = docs.drop("n_lines", "n_removed")
     bad = stored(boilerplate(docs, text, site, min_sites).select("h1", "h2"), "boilerplate")
     cols = [F.coalesce(F.col(c).cast("string"), F.lit("\0")) for c, kind in docs.dtypes if not kind.startswith(("map", "array", "struct"))]
-    row1, row2 = F.xxhash64(*cols).alias("row1"), F.xxhash64(F.lit(1), *cols).alias("row2")
-    hit = exploded(docs.select(text, site, row1, row2), text, site, ["row1", "row2"]).join(bad, ["h1", "h2"], "left_semi")
-    hit = hit.groupBy("row1", "row2").agg(F.collect_set("at").alias("gone"))
-    joined = docs.withColumns({"row1": row1, "row2": row2}).join(hit, ["row1", "row2"], "left").drop("row1", "row2")
+    row1, row2, gone = (free_name(docs, x) for x in ("row1", "row2", "gone"))
+    keys = {row1: F.xxhash64(*cols), row2: F.xxhash64(F.lit(1), *cols)}
+    plain = docs.select(F.col(text).alias("t"), F.col(site).alias("s"), *[c.alias(x) for x, c in keys.items()])
+    hit = exploded(plain, "t", "s", [row1, row2]).join(bad, ["h1", "h2"], "left_semi")
+    hit = hit.groupBy(row1, row2).agg(F.collect_set("at").alias(gone))
+    joined = docs.withColumns(keys).join(hit, [row1, row2], "left").drop(row1, row2)
     lines = F.split(F.col(text), "\n", -1)
-    kept = F.array_join(F.filter(lines, lambda _, i: ~F.array_contains("gone", i)), "\n")
-    joined = joined.withColumn("gone", F.when(F.length(F.trim(F.translate(kept, "\n", ""))) > 0, F.col("gone")))
+    kept = F.array_join(F.filter(lines, lambda _, i: ~F.array_contains(gone, i)), "\n")
+    joined = joined.withColumn(gone, F.when(F.length(F.trim(F.translate(kept, "\n", ""))) > 0, F.col(gone)))
     return joined.select(
-        *[F.when(F.col("gone").isNull(), F.col(c)).otherwise(kept).alias(c) if c == text else F.col(c) for c in docs.columns],
+        *[F.when(F.col(gone).isNull(), F.col(c)).otherwise(kept).alias(c) if c == text else F.col(c) for c in docs.columns],
         F.when(F.col(text).isNull(), 0).otherwise(F.size(lines)).cast("long").alias("n_lines"),
-        F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("n_removed"),
+        F.coalesce(F.size(gone), F.lit(0)).cast("long").alias("n_removed"),
     )
 
 

@@ -96,34 +96,53 @@ def _votes(kind: str, m: Column, before: Column, after: Column) -> Column:
     )
 
 
+#: matches that one running sum passes; a text's matches are listed in time that grows with their number
+STRIDE = 256
+
+
 def _found(kind: str, text: Column) -> Column:
     """Candidates of a kind: array of (at, rank, kind, end, votes)."""
     quick, pattern = PATTERNS[kind]
     maybe = F.contains(text, F.lit("@")) if kind == "email" else text.rlike(quick)
     hits = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
     rest = F.split(text, pattern, -1)
-
-    def add(acc: Column, i: Column) -> Column:
-        m, before = F.get(acc["m"], i), F.get(acc["s"], i)
-        at = acc["pos"] + F.length(before)
-        end = at + F.length(m)
-        votes = _votes(kind, m, F.right(before, F.lit(24)), F.left(F.get(acc["s"], i + 1), F.lit(1)))
-        return F.struct(
-            end.alias("pos"),
-            F.concat(acc["out"], at.cast("string"), F.lit(":"), end.cast("string"), F.lit(":"), votes, F.lit(",")).alias("out"),
-            acc["m"].alias("m"), acc["s"].alias("s"),
-        )
-
-    start = F.struct(F.lit(0).alias("pos"), F.lit("").alias("out"), hits.alias("m"), rest.alias("s"))
-    walked = F.aggregate(F.when(F.size(hits) > 0, F.sequence(F.lit(0), F.size(hits) - 1)).otherwise(F.array().cast("array<int>")), start, add, lambda a: a["out"])
-    parts = F.filter(F.split(walked, ","), lambda x: F.length(x) > 0)
-
-    def record(x: Column) -> Column:
-        f = F.split(x, ":")
-        return F.struct(f[0].cast("int").alias("at"), F.lit(KINDS.index(kind)).alias("rank"), f[1].cast("int").alias("end"), f[2].alias("votes"))
-
     empty = F.array().cast("array<struct<at:int,rank:int,end:int,votes:string>>")
-    return F.when(maybe, F.transform(parts, record)).otherwise(empty)
+
+    def sized(x: Column) -> Column:
+        # lambda variables hold the arrays: columns named in a lambda would be worked out anew for every element
+        lens = F.transform(x["m"], lambda m, i: F.length(m) + F.length(F.get(x["s"], i)))
+        return F.struct(x["m"].alias("m"), x["s"].alias("s"), lens.alias("n"))
+
+    def begun(x: Column) -> Column:
+        """Where each run of STRIDE matches begins: sums of runs, then running sums of these."""
+        runs = F.sequence(F.lit(0), F.floor((F.size(x["m"]) - 1) / STRIDE).cast("int"))
+        sums = F.transform(runs, lambda r: F.aggregate(F.slice(x["n"], r * STRIDE + 1, F.lit(STRIDE)), F.lit(0), lambda u, v: u + v))
+        start = F.struct(F.lit(0).alias("pos"), F.array().cast("array<int>").alias("out"))
+        at = F.aggregate(sums, start, lambda u, v: F.struct((u["pos"] + v).alias("pos"), F.concat(u["out"], F.array(u["pos"])).alias("out")), lambda u: u["out"])
+        return F.struct(x["m"].alias("m"), x["s"].alias("s"), at.alias("at"))
+
+    def listed(x: Column) -> Column:
+        def add(u: Column, i: Column) -> Column:
+            m, before = F.get(x["m"], i), F.get(x["s"], i)
+            at = u["pos"] + F.length(before)
+            end = at + F.length(m)
+            votes = _votes(kind, m, F.right(before, F.lit(24)), F.left(F.get(x["s"], i + 1), F.lit(1)))
+            one = F.struct(at.alias("at"), F.lit(KINDS.index(kind)).alias("rank"), end.alias("end"), votes.alias("votes"))
+            return F.struct(end.alias("pos"), F.concat(u["out"], F.array(one)).alias("out"))
+
+        def run(begin: Column, r: Column) -> Column:
+            own = F.sequence(r * STRIDE, F.least((r + 1) * STRIDE, F.size(x["m"])) - 1)
+            return F.aggregate(own, F.struct(begin.alias("pos"), empty.alias("out")), add, lambda u: u["out"])
+
+        return F.flatten(F.transform(x["at"], run))
+
+    found = _let(_let(_let(F.struct(hits.alias("m"), rest.alias("s")), sized), lambda x: F.when(F.size(x["m"]) > 0, begun(x))), lambda x: F.when(x.isNotNull(), listed(x)))
+    return F.when(maybe, F.coalesce(found, empty)).otherwise(empty)
+
+
+def _let(value: Column, body) -> Column:
+    """body of a value that is worked out once."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
 
 
 def candidates(docs: DataFrame, text: str = "text") -> DataFrame:

@@ -4,13 +4,12 @@ Listed keys are encoded in level 1; keys of the complete universe that level 1 w
 level 2; listed keys that level 2 wrongly accepts go to level 3, and so on until nothing is wrong.
 Membership of any key of the universe is then exact: the first level that rejects decides. Level 1 is
 sized so that its false positives over the universe are about as many as the listed keys, so every
-level, and what is broadcast, is bounded by the size of the list (checked: MAX_LISTED keys; a larger list
-is cut into blocks of that size, one cascade each).
+level, and what is broadcast, is bounded by the size of the list (checked: MAX_LISTED keys; bits are packed).
 
 The universe is every key the corpus can ask about: for each url all (host suffix, path prefix) pairs
 whose lengths occur in the rules. A url's rule is its longest listed key. Urls without a rule get the
-default verdict of the policy, or block when their host is in the list of blocked hosts, which a second
-cascade over the corpus's hosts encodes.
+default verdict of the policy, or block when their host or a suffix of it is in the list of blocked hosts, which a
+second cascade over all suffixes of the corpus's hosts encodes.
 
 Defined results: a null url or one without `://` has empty host and path; ties between equally long rules
 cannot happen for one host and path unless the rules repeat (block wins); empty tables give empty results.
@@ -25,9 +24,9 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mix, stored, table, tidied
+from .common import drop, free_name, mix, stored, table, tidied
 
-MAX_LISTED = 1 << 20
+MAX_LISTED = 1 << 22
 MAX_LEVELS = 64
 
 #: fixed values: host, path, verdict
@@ -38,8 +37,12 @@ RULES = [
     ("com", "/fr/", "allow"),
     ("com", "/de/", "block"),
 ]
-#: hosts whose first label is one of these are listed as blocked
-BLOCKED_LABELS = ("ad", "ads", "track", "tracker", "spam")
+#: fixed values: listed hosts; a listed host covers all its subdomains
+BLOCKED_HOSTS = [
+    "ads-track.example.com",
+    "casino-win.example.com",
+    "spam-farm.example.com",
+]
 
 
 def _places(h: np.ndarray, level: int, bits: int, k: int) -> np.ndarray:
@@ -58,12 +61,14 @@ class Level:
     def build(cls, keys: np.ndarray, rate: float, number: int) -> Level:
         rate = min(0.5, max(rate, 1e-9))
         n = max(64, int(np.ceil(-len(keys) * np.log(rate) / np.log(2) ** 2)))
-        out = cls(np.zeros(n, bool), max(1, round(-np.log2(rate))), number)
-        out.bits[_places(keys, number, n, out.k).ravel()] = True
+        out = cls(np.zeros(-(-n // 8), np.uint8), max(1, round(-np.log2(rate))), number)
+        at = _places(keys, number, 8 * len(out.bits), out.k).ravel()
+        np.bitwise_or.at(out.bits, (at >> np.uint64(3)).astype(np.int64), np.uint8(1) << (at & np.uint64(7)).astype(np.uint8))
         return out
 
     def has(self, keys: np.ndarray) -> np.ndarray:
-        return self.bits[_places(keys, self.number, len(self.bits), self.k)].all(1)
+        at = _places(keys, self.number, 8 * len(self.bits), self.k)
+        return (self.bits[(at >> np.uint64(3)).astype(np.int64)] >> (at & np.uint64(7)).astype(np.uint8) & 1 == 1).all(1)
 
 
 @dataclass
@@ -83,42 +88,36 @@ class Cascade:
         return out
 
 
-def build_cascade(listed: DataFrame, universe: DataFrame) -> list[Cascade]:
-    """One cascade for every block of MAX_LISTED listed keys; both inputs have one column `key` (string).
+def build_cascade(listed: DataFrame, universe: DataFrame) -> Cascade | None:
+    """The cascade of all listed keys; both inputs have one column `key` (string). None if nothing is listed.
 
-    Only listed hashes and the false positives of level 1 (about as many) reach the driver.
+    Listed hashes and the false positives of level 1 (about as many) reach the driver: at most MAX_LISTED keys, checked.
     """
+    wanted = listed.select(F.xxhash64("key").alias("h")).distinct()
+    many = wanted.count()
+    if many > MAX_LISTED:
+        raise ValueError(f"{many} listed keys; one cascade takes at most {MAX_LISTED}")
+    if not many:
+        return None
     hashed = stored(universe.select(F.xxhash64("key").alias("h")).distinct(), "universe")
-    n_all = hashed.count()
-    present = listed.select(F.xxhash64("key").alias("h")).distinct().join(hashed, "h", "left_semi")
-    total = stored(present, "listed")
-    blocks = max(1, -(-total.count() // MAX_LISTED))
-    made = []
-    for block in range(blocks):
-        mine = F.pmod(F.xxhash64(F.lit(9), "h"), F.lit(blocks)) == block
-        keys = np.array([r.h for r in total.filter(mine).toLocalIterator()], np.int64).astype(np.uint64)
-        if not len(keys):
-            continue
-        levels = [Level.build(keys, 0.7 * len(keys) / max(1, n_all - len(keys)), 0)]
-        first = levels[0]
-
-        def wrong(batches, first=first):
-            for batch in batches:
-                yield batch[first.has(batch["h"].to_numpy(np.int64).astype(np.uint64))]
-
-        false = hashed.mapInPandas(tidied(wrong), "h bigint")
-        # a hash listed in another block is no member of this one
-        held = np.array([r.h for r in false.toLocalIterator()], np.int64).astype(np.uint64)
-        sides = [keys, np.setdiff1d(held, keys)]
-        while len(sides[len(levels) % 2]):
-            if len(levels) == MAX_LEVELS:
-                raise RuntimeError("cascade did not settle")
-            n = len(levels)
-            level = Level.build(sides[n % 2], 0.5, n)
-            levels.append(level)
-            sides[1 - n % 2] = sides[1 - n % 2][level.has(sides[1 - n % 2])]
-        made.append(Cascade(levels))
-    return made
+    keys = wanted.toPandas()["h"].to_numpy(np.int64).astype(np.uint64)
+    levels = [Level.build(keys, 0.7 * many / max(1, hashed.count()), 0)]
+    first = hashed.sparkSession.sparkContext.broadcast(levels[0])
+
+    def wrong(batches):
+        for batch in batches:
+            yield batch[first.value.has(batch["h"].to_numpy(np.int64).astype(np.uint64))]
+
+    accepted = hashed.mapInPandas(tidied(wrong), "h bigint").toPandas()["h"].to_numpy(np.int64).astype(np.uint64)
+    drop(hashed)
+    sides = [keys, np.setdiff1d(accepted, keys)]
+    while len(sides[len(levels) % 2]):
+        if len(levels) == MAX_LEVELS:
+            raise RuntimeError("cascade did not settle")
+        n = len(levels)
+        levels.append(Level.build(sides[n % 2], 0.5, n))
+        sides[1 - n % 2] = sides[1 - n % 2][levels[-1].has(sides[1 - n % 2])]
+    return Cascade(levels)
 
 
 def url_parts(url):
@@ -141,8 +140,6 @@ def key_candidates(host, path, labels: list[int], prefixes: list[int]):
 def judge_urls(pages: DataFrame, rules: list[tuple[str, str, str]], blocked_hosts: DataFrame, url: str = "url", default: str = "allow") -> DataFrame:
     """pages (columns host, path, rule, verdict replaced) with the verdict of the longest rule, else of the lists."""
     spark = pages.sparkSession
-    if len(rules) > MAX_LISTED:
-        raise ValueError(f"more than {MAX_LISTED} rules")
     pages = pages.drop("host", "path", "rule", "verdict")
     host, path = url_parts(url)
     parts = pages.withColumns({"host": host, "path": path})
@@ -151,43 +148,47 @@ def judge_urls(pages: DataFrame, rules: list[tuple[str, str, str]], blocked_host
     cand = key_candidates(F.col("host"), F.col("path"), labels, prefixes)
     universe = parts.select(F.explode(cand).alias("key"))
     listed = spark.createDataFrame([(h + p,) for h, p, _ in rules], "key string")
-    rule_cascades = build_cascade(listed, universe)
-    host_cascades = build_cascade(blocked_hosts.select(F.col("host").alias("key")), parts.select(F.col("host").alias("key")))
+    # a host's own suffixes, from every label on
+    ends = F.transform(F.sequence(F.lit(1), F.size(F.split("host", "\\."))), lambda n: F.array_join(F.slice(F.split(F.col("host"), "\\."), -n, n), "."))
+    hosts = parts.select(F.explode(ends).alias("key"))
+    cascades = spark.sparkContext.broadcast((build_cascade(listed, universe), build_cascade(blocked_hosts.select(F.lower("host").alias("key")).filter("key <> ''"), hosts)))
     verdicts: dict[str, str] = {}
     for h, p, v in rules:
         verdicts[h + p] = "block" if "block" in (v, verdicts.get(h + p)) else v
 
-    def members(cascades, keys: pd.Series) -> np.ndarray:
-        h = keys.to_numpy(np.int64).astype(np.uint64)
-        return np.any([c.listed(h) for c in cascades], 0) if cascades and len(h) else np.zeros(len(h), bool)
+    def members(cascade: Cascade | None, keys: pd.Series) -> pd.Series:
+        """Exploded key hashes (index: row) that are listed."""
+        flat = keys.explode()
+        flat = flat[flat.notna()]
+        h = flat.to_numpy(np.int64).astype(np.uint64)
+        return pd.Series(cascade.listed(h) if cascade is not None and len(h) else np.zeros(len(h), bool), index=flat.index)
+
+    names_out = parts.columns
+    keys, key_hashes, host_hashes = (free_name(parts, x) for x in ("keys", "key_hashes", "host_hashes"))
 
     def decide(batches):
         for batch in batches:
-            flat = batch["key_hashes"].explode()
-            flat = flat[flat.notna()]
-            inside = flat[members(rule_cascades, flat)].index
-            names = batch["keys"].explode().dropna()
-            names = names[members(rule_cascades, flat)]
+            by_rule, by_host = cascades.value
+            inside = members(by_rule, batch[key_hashes])
+            names = batch[keys].explode().dropna()[inside.to_numpy()]
             best: dict[int, str] = {}
-            for i, name in zip(inside, names, strict=True):
+            for i, name in names.items():
                 if len(name) > len(best.get(i, "")):
                     best[i] = name
             rule = pd.Series([best.get(i) for i in batch.index], index=batch.index, dtype=object)
-            blocked = members(host_cascades, batch["host_hash"])
+            blocked = members(by_host, batch[host_hashes]).groupby(level=0).any().reindex(batch.index, fill_value=False)
             batch["rule"] = rule
             batch["verdict"] = [verdicts[r] if r is not None else "block" if b else default for r, b in zip(rule, blocked, strict=True)]
-            yield batch.drop(columns=["keys", "key_hashes", "host_hash"])
+            yield batch[names_out].assign(rule=batch["rule"], verdict=batch["verdict"])
 
-    work = parts.withColumn("keys", cand).withColumns({"key_hashes": F.transform("keys", lambda k: F.xxhash64(k)), "host_hash": F.xxhash64("host")})
+    work = parts.withColumn(keys, cand).withColumns({key_hashes: F.transform(keys, lambda k: F.xxhash64(k)), host_hashes: F.transform(ends, lambda k: F.xxhash64(k))})
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in parts.schema.fields)
     return work.mapInPandas(tidied(decide), f"{fields}, rule string, verdict string")
 
 
 def op9_url_filter(spark, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages").select("page_id", "url")
-    host, _ = url_parts("url")
-    hosts = pages.select(host.alias("host")).distinct()
-    blocked = hosts.filter(F.substring_index("host", ".", 1).isin(*BLOCKED_LABELS))
+    blocked = spark.createDataFrame([(h,) for h in BLOCKED_HOSTS], "host string")
     return judge_urls(pages, RULES, blocked).select("page_id", "host", "path", "rule", "verdict")
 
 
@@ -203,6 +204,7 @@ m AS (
   SELECT page_id, arg_max(h || q, length(h || q)) AS rule, arg_max(v, length(h || q)) AS v FROM p JOIN rules
   ON (host = h OR ends_with(host, '.' || h)) AND starts_with(path, q) GROUP BY page_id)
 SELECT p.page_id, host, path, m.rule,
-  coalesce(m.v, CASE WHEN string_split(host, '.')[1] IN ('ad', 'ads', 'track', 'tracker', 'spam') THEN 'block' ELSE 'allow' END) AS verdict
+  coalesce(m.v, CASE WHEN EXISTS (SELECT 1 FROM (VALUES ('ads-track.example.com'), ('casino-win.example.com'), ('spam-farm.example.com')) b(h)
+    WHERE host = h OR ends_with(host, '.' || h)) THEN 'block' ELSE 'allow' END) AS verdict
 FROM p LEFT JOIN m ON p.page_id = m.page_id
 """
