@@ -5,8 +5,8 @@ three letter vectors, rotated by their distance from the end; a text is the sum
 trigram vectors; a language prototype is the bundle of all texts labelled with it. A text gets the
 language whose prototype has the largest cosine with the text's vector.
 
-Letters are case-folded; every run of other characters is one boundary symbol. a-z have codes of
-their own, other letters share 37 codes by a fixed hash. Sums are integers, so neither partitioning
+Letters are case-folded; every run of other characters is one boundary symbol with a vector of its own. The vector
+of a letter of any alphabet is drawn from its code point. Sums are integers, so neither partitioning
 nor retries change a result. What reaches the driver is one vector per language (at most
 MAX_LANGUAGES x DIM numbers), whatever the corpus size.
 
@@ -17,7 +17,7 @@ to the learning rows. Repeated rows are separate rows. Extra columns are ignored
 
 from __future__ import annotations
 
-from functools import cache
+from functools import cache, lru_cache
 
 import numpy as np
 import pandas as pd
@@ -28,28 +28,26 @@ from .common import in_blocks, table, tidied
 
 DIM = 512
 MAX_LANGUAGES = 10_000
-CODES = 64
+BITS = 21
+#: distinct trigrams of a language that a task holds before it adds up equal ones
+HELD = 1 << 20
 
 
 @cache
 def _letters() -> np.ndarray:
-    """Code point -> letter code, 0 for what is no letter."""
-    out = np.zeros(0x110000, np.uint8)
+    """Code point -> code point of the folded letter, 0 for what is no letter."""
+    out = np.zeros(0x110000, np.int64)
     for cp in range(0x110000):
         c = chr(cp)
         if c.isalpha():
-            low = ord(c.lower()[0])
-            out[cp] = low - 96 if 97 <= low <= 122 else 27 + (low * 2654435761 >> 7) % 37
+            out[cp] = ord(c.lower()[0])
     return out
 
 
-@cache
-def _vectors(dim: int) -> tuple[np.ndarray, np.ndarray]:
-    """Bound vectors of letter pairs (codes a * 64 + b) and vectors of last letters."""
-    rng = np.random.default_rng(7)
-    base = rng.integers(0, 2, (CODES, dim), dtype=np.int8) * np.int8(2) - np.int8(1)
-    pairs = np.roll(base, 2, 1)[:, None, :] * np.roll(base, 1, 1)[None, :, :]
-    return pairs.reshape(CODES * CODES, dim), base
+@lru_cache(1 << 16)
+def letter_vector(code: int, dim: int) -> np.ndarray:
+    """The +-1 vector of a letter, or of the boundary (0)."""
+    return np.random.default_rng([7, code]).integers(0, 2, dim, dtype=np.int8) * np.int8(2) - np.int8(1)
 
 
 def gram_counts(texts: list[str]):
@@ -57,8 +55,8 @@ def gram_counts(texts: list[str]):
     joined = "\n" + "\n".join(texts) + "\n"
     codes = _letters()[np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), np.uint32)]
     kept = np.flatnonzero((codes > 0) | np.append(True, codes[:-1] > 0))
-    codes = codes[kept].astype(np.int64)
-    grams = (codes[:-2] << 12) | (codes[1:-1] << 6) | codes[2:]
+    codes = codes[kept]
+    grams = (codes[:-2] << 2 * BITS) | (codes[1:-1] << BITS) | codes[2:]
     edges = np.cumsum([1] + [len(t) + 1 for t in texts])
     at = np.searchsorted(kept, edges)
     for k in range(len(texts)):
@@ -73,28 +71,47 @@ def gram_counts(texts: list[str]):
 
 def bundle(grams: np.ndarray, counts: np.ndarray, dim: int) -> np.ndarray:
     """Sum of counts x bound trigram vectors, exact integers held in floats."""
-    pairs, last = _vectors(dim)
+    mask = (1 << BITS) - 1
+    own, at = np.unique(np.concatenate([grams >> 2 * BITS, (grams >> BITS) & mask, grams & mask]), return_inverse=True)
+    base = np.stack([letter_vector(c, dim) for c in own.tolist()])
+    first, second = np.roll(base, 2, 1), np.roll(base, 1, 1)
+    x, y, z = at.reshape(3, -1)
     out, kind = np.zeros(dim), np.float32 if counts.sum() < 1 << 23 else np.float64
     for i in range(0, len(grams), 1 << 14):
-        g = grams[i : i + (1 << 14)]
-        out += counts[i : i + (1 << 14)].astype(kind) @ (pairs[g >> 6] * last[g & 63]).astype(kind)
+        part = slice(i, i + (1 << 14))
+        bound = first[x[part]]
+        bound *= second[y[part]]
+        bound *= base[z[part]]
+        out += counts[part].astype(kind) @ bound.astype(kind)
     return out
 
 
+def added(grams: list[np.ndarray], counts: list[np.ndarray]) -> tuple[list[np.ndarray], list[np.ndarray]]:
+    """The same trigrams, each once."""
+    own, at = np.unique(np.concatenate(grams), return_inverse=True)
+    sums = np.zeros(len(own), np.int64)
+    np.add.at(sums, at, np.concatenate(counts))
+    return [own], [sums]
+
+
 def learn(docs: DataFrame, text: str = "text", lang: str = "lang", dim: int = DIM) -> dict[str, np.ndarray]:
     """Prototypes of all languages in docs: one pass, one small vector per language and partition shuffled."""
 
     def partial(batches):
-        found: dict[str, np.ndarray] = {}
+        found: dict[str, tuple[list, list]] = {}
         for batch in batches:
             for langs, texts in in_blocks(batch["lang"], batch["text"]):
                 for name, grams in zip(langs, gram_counts(texts), strict=True):
                     if grams is not None:
-                        found.setdefault(name, np.zeros(CODES**3, np.int64))
-                        found[name][grams[0]] += grams[1]
-        for name, counts in found.items():
-            used = np.flatnonzero(counts)
-            yield pd.DataFrame({"lang": [name], "hv": [bundle(used, counts[used], dim).astype(np.int64)]})
+                        held = found.setdefault(name, ([], []))
+                        held[0].append(grams[0])
+                        held[1].append(grams[1])
+                for name, held in found.items():
+                    if sum(map(len, held[0])) > HELD:
+                        found[name] = added(*held)
+        for name, held in found.items():
+            (grams,), (counts,) = added(*held)
+            yield pd.DataFrame({"lang": [name], "hv": [bundle(grams, counts, dim).astype(np.int64)]})
 
     rows = docs.select(F.col(lang).alias("lang"), F.col(text).alias("text")).filter("lang is not null and text is not null")
     sums = (

@@ -1,14 +1,16 @@
 """Brute-force references, clashing columns, repeated words and very many matches."""
 
+import math
 import random
 import re
 import time
+import zlib
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from localgraph.llm import decontaminate, line_dedup, personal_data, url_filter
+from localgraph.llm import decontaminate, language_id, line_dedup, personal_data, url_filter
 
 
 def _tiles(item, text, least):
@@ -90,3 +92,73 @@ def test_empty_tables(spark, name):
     hosts = spark.createDataFrame([], "host string")
     got = {"decontaminate": lambda: decontaminate.decontaminate(docs, bench), "dedup_lines": lambda: line_dedup.dedup_lines(docs), "judge_urls": lambda: url_filter.judge_urls(docs, url_filter.RULES, hosts)}[name]()
     assert got.count() == 0 and set(docs.columns) <= set(got.columns)
+
+
+def _profile(text, dim):
+    """Sum of the bound vectors of a text's letter trigrams, one by one."""
+    signs = [0]
+    for c in text:
+        x = ord(c.lower()[0]) if c.isalpha() else 0
+        if x or signs[-1]:
+            signs.append(x)
+    if signs[-1]:
+        signs.append(0)
+    v = {x: language_id.letter_vector(x, dim).astype(int) for x in set(signs)}
+    return sum((np.roll(v[x], 2) * np.roll(v[y], 1) * v[z] for x, y, z in zip(signs, signs[1:], signs[2:])), np.zeros(dim, int))
+
+
+def test_language_query_against_definition(spark, tmp_path):
+    rng = random.Random(2)
+    words = {"en": "the and with house water", "de": "der und mit haus wasser", "ru": "дом вода человек и с", "el": "σπίτι νερό και με άνθρωπος"}
+    rows = [(i, " ".join(rng.choice(words[k].split()) for _ in range(rng.randrange(3, 9))) + rng.choice(["", ".", " 12!"]), k) for i in range(40) for k in [rng.choice(list(words))]]
+    rows += [(100, None, "en"), (101, "12 !", "de"), (102, "дом", None), (None, "wasser", "de")]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    out = lambda i: i is not None and zlib.crc32(str(i).encode()) % 4 == 2
+    proto = {}
+    for i, t, k in rows:
+        if t and k and not out(i):
+            proto[k] = proto.get(k, 0) + _profile(t, language_id.DIM)
+    got = {r.doc_id: r for r in language_id.op3_language_id(spark, str(tmp_path)).collect()}
+    for i, t, _ in rows:
+        v = _profile(t or "", language_id.DIM)
+        cos = {k: float(v @ p / math.sqrt((v @ v) * (p @ p))) for k, p in proto.items()} if v.any() else {}
+        best = min(cos, key=lambda k: (-cos[k], k)) if cos else "und"
+        assert (got[i].lang_pred, got[i].held_out) == (best, out(i))
+        assert abs(got[i].score - max(0.0, cos.get(best, 0.0))) < 1e-9
+
+
+def test_pipeline_against_brute_force(spark, tmp_path):
+    import corpus_pipeline
+
+    rng = random.Random(6)
+    make = lambda n: [rng.choice("abcdefghijklmnopqrstuvwxyz") * rng.randrange(1, 4) + str(rng.randrange(50)) for _ in range(n)]
+    item, body = make(20), [make(60) for _ in range(12)]
+    near = [*body[0][:50], "x", *body[0][51:]]
+    texts = [" ".join(b) + "\nshared line" for b in body] + [" ".join(near), " ".join(body[1]), " ".join([*make(30), *item[10:], *item[:10]]), "12 34", None, "shared line", "Shared Line\n" + " ".join(make(9))]
+    rows = [(i, t, "en", f"s{i % 11}", len(t or "")) for i, t in enumerate(texts)]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(1, " ".join(item))], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    got = {r.doc_id: r for r in corpus_pipeline.run(spark, str(tmp_path)).collect()}
+
+    docs = [(i, t, s) for i, t, _, s, _ in rows if t and any(c.isalpha() for c in t)]
+    sites = {}
+    for _, t, s in docs:
+        for line in filter(str.strip, t.split("\n")):
+            sites.setdefault(line.strip(" "), set()).add(s)
+    cut = []
+    for i, t, _ in docs:
+        kept = [x for x in t.split("\n") if len(sites.get(x.strip(" "), ())) < line_dedup.MIN_SITES]
+        cut.append((i, "\n".join(kept) if any(x.strip(" ") for x in kept) else t))
+    grams = {i: {tuple(w[j : j + 5]) for j in range(max(1, len(w) - 4))} for i, t in cut for w in [t.lower().split()]}
+    up = {i: i for i in grams}
+    for i in grams:
+        for j in grams:
+            if i < j and 100 * len(grams[i] & grams[j]) >= 80 * len(grams[i] | grams[j]):
+                a, b = sorted((up[i], up[j]))
+                up = {k: a if v == b else v for k, v in up.items()}
+    words = lambda t: re.findall(r"[a-z0-9]+", t.lower())
+    names = {}
+    code = lambda t: np.array([names.setdefault(w, len(names)) for w in words(t)], np.uint64)
+    left = {i: t for i, t in cut if up[i] == i and sum(x[2] for x in _tiles(code(" ".join(item)).tolist(), code(t).tolist(), 5)) / 20 < 0.5}
+    assert {i: r.text for i, r in got.items()} == left and 0 < len(left) < len(docs) - 2
+    assert all(r.ids for r in got.values())
