@@ -138,7 +138,7 @@ def guarantees(g: Graph, phi, limit: int = LAB) -> DataFrame:
     Every connected component of at most 2/3 of the volume is a target with an empty cut, so all its vertices belong to
     the core. Rows (seed, comp, h, b, rising, nonempty, overlap, c123, c4, floor, ceiling): stop epoch h and class b from
     the exact walk; abscissae rise; clustering from the seed with its own b finds a set, which overlaps the target enough;
-    its epoch satisfies the conditions; curve floor and ceiling hold. Class 0 runs nothing (its verdicts are null), as do
+    its epoch satisfies the conditions; curve floor and, at the end of that epoch, ceiling hold. Class 0 runs nothing (its verdicts are null), as do
     components of more than `limit` vertices or too large a volume (h and b null too).
     """
     vol, c = g.vol, Constants()
@@ -147,7 +147,7 @@ def guarantees(g: Graph, phi, limit: int = LAB) -> DataFrame:
     comp = components(g)
     size = comp.join(g.vertices, "v").groupBy("comp").agg(F.count("*").alias("n"), F.sum("deg").alias("vol"))
     fits = (F.col("n") <= limit) & (3 * F.col("vol") <= 2 * F.lit(vol))
-    rows = g.near.of(comp).join(size.filter(fits).select("comp"), "comp")
+    rows = g.near.of(comp).join(size.filter(fits).select("comp"), "comp").repartition(4 * g.spark.sparkContext.defaultParallelism, "comp")
     out = "seed long, comp long, h int, b int, rising boolean, nonempty boolean, overlap boolean, c123 boolean, c4 boolean, floor boolean, ceiling boolean"
 
     def lab(part: pd.DataFrame) -> pd.DataFrame:
@@ -197,7 +197,7 @@ def guarantees(g: Graph, phi, limit: int = LAB) -> DataFrame:
         got = [(int(ids[v]), int(stop[v]), 0, bool(rising[v]), *[None] * 6) for v in np.flatnonzero(scale == 0)]
         who = np.flatnonzero(scale)
         if len(who):
-            b, h, some = scale[who], stop[who], np.arange(len(who))
+            b, h = scale[who], stop[who]
             plans = {int(x): schedule(vol, phi, int(x)) for x in np.unique(b)}
             eps = np.array([plans[x].eps for x in b.tolist()])
             least = np.array([plans[x].slope_floor for x in b.tolist()])
@@ -205,27 +205,30 @@ def guarantees(g: Graph, phi, limit: int = LAB) -> DataFrame:
             c4, c123, floor, ceiling, beta = np.ones(len(who), bool), np.zeros(len(who), bool), np.ones(len(who), bool), np.ones(len(who), bool), np.zeros(len(who))
             for t in range(1, base.t_last + 1):
                 q = move @ np.where(q >= degree * eps, q, 0.0)
-                order, lam, mass, cut_, side, live = curves(q)
-                fits = live & (6 * lam <= 5 * vol)
-                beta = np.maximum(beta, np.where(fits & (cut_ < f * side), mass, 0).max(0))
-                hit = fits & (cut_ <= f * side) & (lam >= 2.0**b)
-                k = (lam >= 2.0**b).argmax(0)
-                slope = np.where(lam[-1] >= 2.0**b, q[order[k, some], some] / deg[order[k, some]], 0)
+                # sweeps of runs that look for their set or are in their own epoch
                 now = (t1 * (h - 1) < t) & (t <= t1 * h)
-                c4 &= ~now | (slope >= least)
-                c123 |= now & hit.any(0)
-                new = (found < 0) & (slope >= least) & hit.any(0)
-                found[new] = lam[hit.argmax(0), some][new]
-                if t % t1 == 0:
-                    most = beta + 6 * lam / (5 * vol) + np.sqrt(np.maximum(side, 0)) * (1 - f * f / 2) ** t1
-                    ceiling &= (~live | (mass <= most + 1e-9)).all(0)
-                    beta[:] = 0
-                    for i in np.flatnonzero(t == t1 * h):
-                        on = live[:, i]
-                        if late[who[i]]:
-                            floor[i] = value(lam[on, i], mass[on, i], 2 * vol / 3) >= 1 - 1 / (c.c2 * (ell + 2)) - 4 * c.c6 / (3 * c.c3)
-                        else:
-                            floor[i] = value(lam[on, i], mass[on, i], xs[h[i], who[i]]) >= (h[i] + 0.5) / (c.c5 * (ell + 2))
+                on = np.flatnonzero(now | (found < 0))
+                if not len(on):
+                    continue
+                p, bs, col = q[:, on], b[on], np.arange(len(on))
+                order, lam, mass, cut_, side, live = curves(p)
+                fits = live & (6 * lam <= 5 * vol)
+                hit = fits & (cut_ <= f * side) & (lam >= 2.0**bs)
+                k = (lam >= 2.0**bs).argmax(0)
+                steep = np.where(lam[-1] >= 2.0**bs, p[order[k, col], col] / deg[order[k, col]], 0) >= least[on]
+                beta[on] = np.where(now[on], np.maximum(beta[on], np.where(fits & (cut_ < f * side), mass, 0).max(0)), 0)
+                c4[on] &= ~now[on] | steep
+                c123[on] |= now[on] & hit.any(0)
+                new = (found[on] < 0) & steep & hit.any(0)
+                found[on[new]] = lam[hit.argmax(0), col][new]
+                for x in np.flatnonzero(t == t1 * h[on]):
+                    i, live_x = on[x], live[:, x]
+                    l, m = lam[live_x, x], mass[live_x, x]
+                    ceiling[i] = (m <= beta[i] + 6 * l / (5 * vol) + np.sqrt(np.minimum(l, vol - l)) * (1 - f * f / 2) ** t1 + 1e-9).all()
+                    if late[who[i]]:
+                        floor[i] = value(l, m, 2 * vol / 3) >= 1 - 1 / (c.c2 * (ell + 2)) - 4 * c.c6 / (3 * c.c3)
+                    else:
+                        floor[i] = value(l, m, xs[h[i], who[i]]) >= (h[i] + 0.5) / (c.c5 * (ell + 2))
             # the target is the whole component, so all of a found set overlaps it
             got += [(int(ids[v]), int(h[i]), int(b[i]), bool(rising[v]), bool(found[i] >= 0), bool(found[i] >= 2.0 ** (b[i] - 1)), bool(c123[i]), bool(c4[i]), bool(floor[i]), bool(ceiling[i])) for i, v in enumerate(who)]
         df = pd.DataFrame(got, columns=["seed", "h", "b", "rising", "nonempty", "overlap", "c123", "c4", "floor", "ceiling"])
