@@ -409,6 +409,23 @@ def st_stateful_volume(s, d):
     return activity.stateful_volume(s, d)
 
 
+@q("""WITH m AS (SELECT max(ts) - INTERVAL 10 DAY AS mark FROM events WHERE event_type <> 'purchase'),
+ x AS (SELECT time_bucket(INTERVAL 1 DAY, ts) AS w, event_type = 'purchase' AND time_bucket(INTERVAL 1 DAY, ts) + INTERVAL 1 DAY <= mark AS late FROM events, m)
+ SELECT epoch_us(w) // 1000000 AS start, count(*) FILTER (WHERE NOT late) AS n, count(*) FILTER (WHERE late) AS late FROM x GROUP BY 1""")
+def st_late_rows(s, d):
+    return activity.late_rows(s, d, "purchase", "1 day", "10 days")
+
+
+@q(f"WITH {g_sql('user_hour')} SELECT v, deg FROM vx")
+def st_adjacency_upsert(s, d):
+    return activity.upserted(s, d, "2024-01-16").vertices.select("v", "deg")
+
+
+@q(f"WITH {g_sql('user_hour')} SELECT count(*) AS arcs_stream, count(*) AS arcs_batch, count(*) AS arcs_both FROM arcs")
+def st_stream_equals_batch(s, d):
+    return activity.against_batch(activity.upserted(s, d, "2024-01-16").arcs, graph(s, d, "user_hour").arcs)
+
+
 _R2 = [Run(0, cust(0)), Run(1, cust(1))]
 
 
