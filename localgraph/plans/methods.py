@@ -13,7 +13,7 @@ from fractions import Fraction
 from pyspark.sql import functions as F
 
 from ..graph import Graph, boundary, components, conductance_in, edges_between, min_conductance, overlap, report, volume
-from ..operators import analysis, baselines, cluster, partition, sampling, sweep, walk
+from ..operators import analysis, baselines, cluster, cost, partition, sampling, sweep, walk
 from ..operators.walk import Run
 from ..params import UNIT, Constants, f2, max_draws, scale_count, scale_law, schedule, valid_scales
 from ..session import cut
@@ -738,6 +738,7 @@ def k_work(spark, d):
 add("k_work", k_work, rec(g_sql("fk_forest"), w_sql(_TWO, 4), select="SELECT run_id, CAST(sum(deg) FILTER (WHERE t < 4) AS BIGINT) AS arcs_read, max(n) AS support, max(t) AS steps FROM (SELECT *, count(*) OVER (PARTITION BY run_id, t) AS n FROM w JOIN vx USING (v)) GROUP BY 1"))
 add("k_sort", lambda s, d: walk.support_stats(graph(s, d, "fk_forest"), walk.walk(graph(s, d, "fk_forest"), _TWO, 4)).groupBy("run_id").agg(F.round(F.sum(F.col("n") * F.log2(F.col("n").cast("double"))), 6).alias("sort_work")),
     rec(g_sql("fk_forest"), w_sql(_TWO, 4), select="SELECT run_id, round(sum(n * log2(n)), 6) AS sort_work FROM (SELECT run_id, t, count(*) AS n FROM w GROUP BY 1, 2) GROUP BY 1"))
+add("k_step_jobs", lambda s, d: cost.step_costs(graph(s, d, "fk_forest"), _TWO, 4))
 lc_query("k_steps", "fk_forest", _GRID_RUNS[:4], 6, "stops")
 lc_query("k_quality", "page_link", practical([6, 22, 38], "3/10", 2), 5, "stops")
 
