@@ -14,6 +14,7 @@ recurse nor rescan.
 
 Defined results: null text is empty; no candidates -> zero counts, digest of the empty string; without
 any candidate in the table the prior weights are used; rows are answered each; extra columns are ignored.
+The query also returns n_spans and has_personal_data, over base and added spans of every kind.
 """
 
 from __future__ import annotations
@@ -235,4 +236,11 @@ def op8_personal_data(spark, sf_dir: str) -> DataFrame:
     found = stored(candidates(table(spark, sf_dir, "documents").select("doc_id", "text")), "candidates")
     out = spans(found)
     n = {f"n_{k}": F.size(F.filter("base", _of_kind(i))).cast("long") for i, k in enumerate(BASE)}
-    return out.select("doc_id", *[c.alias(k) for k, c in n.items()], F.sha2(as_text(F.col("base")), 256).alias("base_sha256"), as_text(F.col("all")).alias("spans"))
+    n["n_spans"] = F.size("all").cast("long")
+    return out.select(
+        "doc_id",
+        *[c.alias(k) for k, c in n.items()],
+        (F.size("all") > 0).alias("has_personal_data"),
+        F.sha2(as_text(F.col("base")), 256).alias("base_sha256"),
+        as_text(F.col("all")).alias("spans"),
+    )
