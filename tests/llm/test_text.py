@@ -171,6 +171,15 @@ def test_personal_data_base(spark):
         assert row.s == ",".join(f"{k}:{a}:{b}" for a, _, k, b in want)
 
 
+def test_personal_data_totals(spark, tmp_path):
+    docs(spark, ["to a@b.org at 1.2.3.4, +1 (988) 555-2485", "nothing here", "card 4111 1111 1111 1111", None, ""]).select("doc_id", "text").write.parquet(f"{tmp_path}/documents.parquet")
+    rows = {r.doc_id: r for r in personal_data.op8_personal_data(spark, str(tmp_path)).collect()}
+    assert [(rows[i].n_email, rows[i].n_ip, rows[i].n_card, rows[i].n_phone) for i in range(5)] == [(1, 1, 0, 1), (0, 0, 0, 0), (0, 0, 1, 0), (0, 0, 0, 0), (0, 0, 0, 0)]
+    for r in rows.values():
+        assert r.n_spans == len([x for x in r.spans.split(",") if x]) >= r.n_email + r.n_ip + r.n_card + r.n_phone
+        assert r.has_personal_data == (r.n_spans > 0)
+
+
 def test_cascade_is_exact(spark):
     universe = spark.range(5000).select(F.concat(F.lit("k"), "id").alias("key"))
     listed = universe.filter("substr(key, 2) % 37 = 0")
