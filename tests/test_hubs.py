@@ -4,6 +4,13 @@ from localgraph.sources.builders import load
 D = "/root/testdata/sf0.001"
 
 
+def test_saved_adjacency_of_a_hub_is_one_vertex(spark, same, monkeypatch):
+    from localgraph import graph as graphs
+
+    monkeypatch.setattr(graphs, "CHUNK", 4)
+    same(relational.QUERIES["io_bucketed_adjacency"](spark, D), relational.SQL["io_bucketed_adjacency"])
+
+
 def test_two_first_neighbours_by_lateral_join(spark):
     rows = relational.QUERIES["op_join_lateral"](spark, D).collect()
     assert len({r.src for r in rows}) == load(spark, D, "pages").filter("html like '%href=\"%'").count() and max(r.dst for r in rows) > 0
