@@ -11,3 +11,11 @@ def test_job_is_done_on_a_given_table(spark, same, name):
     df = {**methods.QUERIES, **relational.QUERIES}[name](spark, D)
     assert any(f"/{NAMES[name]}.parquet" in f for f in df.inputFiles())
     same(df, {**methods.SQL, **relational.SQL}[name])
+
+
+def test_step_example_walks_on_the_forest(spark, same):
+    df = methods.QUERIES["w_step_example"](spark, D)
+    same(df, methods.SQL["w_step_example"])
+    rows = df.collect()
+    # lost neighbours give mass back, so more than half stays
+    assert {r.run_id for r in rows} == {0, 1} and max(r.mass for r in rows) > 0.5
