@@ -15,3 +15,45 @@ def test_first_peel_walks_on_the_graph_itself(spark, monkeypatch):
     parts = partition.peel_clusters(g, Fraction(9, 10), 0.5, 1, batch=8, t_max=4, eps=1e-9, slope=1e-6, disjoint=True)
     assert {r.v for r in parts.collect()} == {r.v for r in g.vertices.collect()} and parts.select("part").distinct().count() == 2
     assert "clusters" in labels and "touched" not in labels
+
+
+def hub(spark):
+    """A root over 12 stars: every draw that reaches the root neighbours all of them."""
+    edges = [(0, 100 * c) for c in range(1, 13)] + [(100 * c, 100 * c + i) for c in range(1, 13) for i in range(1, 6)]
+    return Graph.from_edges(spark.createDataFrame(edges, "a long, b long")).kept()
+
+
+def test_draws_that_meet_are_settled_in_one_batch(spark, monkeypatch):
+    """Draws that share a hub: one batch in place of a batch for every clash, with the rows of one draw at a time."""
+    from localgraph import graph as graphs
+
+    o = dict(draws=12, t_max=6, eps=1e-9, slope=1e-6, pick="largest")
+    one, trace = (sorted(map(tuple, x.collect())) for x in partition.peel_partition(hub(spark), Fraction(9, 10), 0.5, batch=1, **o))
+    calls, plain = [], partition.sampled_local_cluster
+    monkeypatch.setattr(partition, "sampled_local_cluster", lambda *a, **k: calls.append(a) or plain(*a, **k))
+    monkeypatch.setattr(graphs, "CHUNK", 4)
+    got = [sorted(map(tuple, x.collect())) for x in partition.peel_partition(hub(spark).stored(), Fraction(9, 10), 0.5, batch=6, **o)]
+    assert got == [one, trace] and len(trace) > 2
+    assert len(calls) <= 2
+
+
+def test_in_order_stops_at_rows_that_are_not_held():
+    from localgraph.operators.cluster import Ball, in_order
+
+    run = dict(run_id=0, seed=1, eps_units=1, b=1, phi_num=1, phi_den=3, slope_units=0.0, unit=1 << 50, pick="first")
+
+    def ball(seed, hit, v, nbrs):
+        x = Ball(run | {"seed": seed}, 100)
+        x.take(v, [3] * len(v), [0] * len(v), [0] * len(v), nbrs)
+        x.hit, x.state = hit, {}
+        return x
+
+    first = ball(1, [1, 2], [1, 2], [[2, 3, 4], [1, 3, 4]])
+    inside = ball(2, [2], [2], [[1, 3, 4]])
+    apart = ball(9, [9], [9], [[10, 11, 12]])
+    beside = ball(3, [3], [3], [[1, 2, 5]])
+    got = in_order([first, apart, inside, beside, apart], 5)
+    assert got[0] is first and got[1] is apart
+    # a seed that is gone gives no run; a walk that now goes on past the rows at hand is not settled, nor is any later one
+    assert got[2].hit is None and got[2].state == {} and got[3:] == [None, None]
+    assert in_order([first, apart, beside], 5, limit=9) == [first, apart, None]
