@@ -3,7 +3,7 @@
 The best segmentation of a text maximises the sum of its pieces' scores; ties go to the longer last
 piece. Best scores at the last WIDTH positions are all that the rest of a text can depend on, so a chunk
 of text is a WIDTH x WIDTH matrix over (max, +). Texts longer than CHUNK characters are cut into
-chunks that are rows of their own: one pass makes the matrices, an associative prefix product per text
+chunks that are rows of their own: one pass makes the matrices and the ids between a chunk's walls, an associative prefix product per text
 gives each chunk the scores before it, a second pass gives each chunk's map from the state it is left in
 to the state it is entered in, composing these maps backwards gives every chunk its exit state, and a third
 pass backtraces each chunk independently. Shorter texts are one chunk. Scores are integers, so the cut
@@ -112,6 +112,19 @@ def normalise(text: str) -> str:
     return text.replace(MARK, _RAW_MARK).replace(" ", MARK)
 
 
+def plain(marked: str) -> str:
+    """The text that `normalise` made this of."""
+    return marked.replace(MARK, " ").replace(_RAW_MARK, MARK)
+
+
+class Numbers(dict):
+    """Keys numbered as they are met."""
+
+    def __missing__(self, key):
+        self[key] = n = len(self)
+        return n
+
+
 class Encoder:
     """Best segmentations, of many short segments at once (arrays) or of one string (loops)."""
 
@@ -281,8 +294,8 @@ class Encoder:
         if len(self.seen) > KEEP_SEGMENTS:
             self.forget()
         seen, old = self.seen, len(self.seen)
-        add = seen.setdefault
-        codes = [np.array([add(w, len(seen)) for w in self.cut.findall(t)], np.int64) for t in texts]
+        code = seen.__getitem__
+        codes = [np.array(list(map(code, self.cut.findall(t))), np.int64) for t in texts]
         if len(seen) > old:
             pool, first, count, score = self.segments(list(islice(seen, old, None)))
             first += len(self.pool)
@@ -296,7 +309,7 @@ class Encoder:
         return out
 
     def forget(self) -> None:
-        self.seen: dict[str, int] = {}
+        self.seen = Numbers()
         self.pool = np.zeros(0, np.int32)
         self.pool_at, self.pool_n, self.pool_score = (np.zeros(0, np.int64) for _ in range(3))
 
@@ -316,52 +329,64 @@ class Encoder:
         found = [m.start() for m in self.walls.finditer(s, max(low, 1))]
         return (found[0], found[-1]) if found else None
 
-    def transfer(self, s: str, low: int) -> np.ndarray:
-        """Matrix [i, j]: best score from position low - i to position len(s) - j by pieces that end in the chunk."""
+    def split(self, s: str, low: int) -> tuple[str, str | None, str]:
+        """(before the first wall, between, from the last wall on); all of a chunk without walls is before, and between is None."""
+        cut = self.parts(s, low)
+        return (s[: cut[0]], s[cut[0] : cut[1]], s[cut[1] :]) if cut else (s, None, "")
+
+    def matrix(self, head: str, tail: str, low: int, base: int | None) -> np.ndarray:
+        """`transfer` of a split chunk, with the score between the walls."""
         k = self.width
         out = np.full((k, k), NONE, np.int64)
-        cut = self.parts(s, low)
-        head = s[: cut[0]] if cut else s
         ways = [self.forward(head, {low - i: 0}, low)[0] for i in range(min(k, low + 1))]
-        if not cut:
+        if base is None:
             for i, best in enumerate(ways):
-                out[i, : min(k, len(s) + 1)] = best[::-1][:k]
+                out[i, : min(k, len(head) + 1)] = best[::-1][:k]
             return out
-        base = self.encode_marked([s[cut[0] : cut[1]]])[0][1]
-        tail = self.forward(s[cut[1] :], {0: 0}, 0)[0]
+        ends = self.forward(tail, {0: 0}, 0)[0]
         for i, best in enumerate(ways):
-            for j, t in enumerate(tail[::-1][:k]):
+            for j, t in enumerate(ends[::-1][:k]):
                 if best[-1] > NONE and t > NONE:
                     out[i, j] = best[-1] + base + t
         return out
 
+    def transfer(self, s: str, low: int) -> np.ndarray:
+        """Matrix [i, j]: best score from position low - i to position len(s) - j by pieces that end in the chunk."""
+        head, middle, tail = self.split(s, low)
+        return self.matrix(head, tail, low, None if middle is None else self.encode_marked([middle])[0][1])
+
     def entered(self, s: str, low: int, vector: np.ndarray):
         entry = {low - i: int(x) for i, x in enumerate(vector) if x > NONE and low - i >= 0}
         return self.forward(s, entry, low)
 
-    def exits(self, s: str, low: int, vector: np.ndarray) -> list[int]:
-        """For each exit offset the entry offset of its best path; -1 where there is none."""
-        cut = self.parts(s, low)
-        head = s[: cut[0]] if cut else s
+    def leaves(self, head: str, tail: str | None, low: int, vector: np.ndarray) -> list[int]:
+        """`exits` of a split chunk; tail is None where there are no walls."""
         best, back = self.entered(head, low, vector)
-        if cut:
+        if tail is not None:
             into = low - self.trace(head, back, len(head), low)[1]
-            tail = self.forward(s[cut[1] :], {0: 0}, 0)[0][::-1][: self.width]
-            return [into if t > NONE else -1 for t in tail] + [-1] * (self.width - len(tail))
-        ends = [len(s) - j for j in range(self.width)]
-        return [low - self.trace(s, back, e, low)[1] if e >= 0 and best[e] > NONE else -1 for e in ends]
+            ends = self.forward(tail, {0: 0}, 0)[0][::-1][: self.width]
+            return [into if t > NONE else -1 for t in ends] + [-1] * (self.width - len(ends))
+        ends = [len(head) - j for j in range(self.width)]
+        return [low - self.trace(head, back, e, low)[1] if e >= 0 and best[e] > NONE else -1 for e in ends]
 
-    def chunk_ids(self, s: str, low: int, vector: np.ndarray, leave: int) -> np.ndarray:
-        """Ids of the pieces that end in the chunk, on the path left at offset `leave`."""
-        cut = self.parts(s, low)
-        head = s[: cut[0]] if cut else s
+    def exits(self, s: str, low: int, vector: np.ndarray) -> list[int]:
+        """For each exit offset the entry offset of its best path; -1 where there is none."""
+        head, middle, tail = self.split(s, low)
+        return self.leaves(head, None if middle is None else tail, low, vector)
+
+    def path(self, head: str, between: np.ndarray | None, tail: str, low: int, vector: np.ndarray, leave: int) -> np.ndarray:
+        """`chunk_ids` of a split chunk, with the ids between the walls."""
         _, back = self.entered(head, low, vector)
-        if not cut:
-            return np.array(self.trace(s, back, len(s) - leave, low)[0], np.int32)
+        if between is None:
+            return np.array(self.trace(head, back, len(head) - leave, low)[0], np.int32)
         begin = self.trace(head, back, len(head), low)[0]
-        tail = s[cut[1] :]
         end = self.trace(tail, self.forward(tail, {0: 0}, 0)[1], len(tail) - leave, 0)[0]
-        return np.concatenate([np.array(begin, np.int32), self.encode_marked([s[cut[0] : cut[1]]])[0][0], np.array(end, np.int32)])
+        return np.concatenate([np.array(begin, np.int32), between, np.array(end, np.int32)])
+
+    def chunk_ids(self, s: str, low: int, vector: np.ndarray, leave: int) -> np.ndarray:
+        """Ids of the pieces that end in the chunk, on the path left at offset `leave`."""
+        head, middle, tail = self.split(s, low)
+        return self.path(head, None if middle is None else self.encode_marked([middle])[0][0], tail, low, vector, leave)
 
 
 def combine(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -406,7 +431,7 @@ def encode_whole(docs: DataFrame, v: Vocabulary, text: str, verify: bool) -> Dat
     def run(batches):
         e = get()
         for batch in batches:
-            for at, texts in in_blocks(range(len(batch)), batch[text], 1 << 20):
+            for at, texts in in_blocks(range(len(batch)), batch[text], 1 << 21):
                 part = batch.iloc[at[0] : at[-1] + 1].copy()
                 got = e.encode(texts)
                 part["ids"], part["piece_score"] = [g[0] for g in got], [g[1] for g in got]
@@ -434,8 +459,14 @@ def encode_chunked(texts: DataFrame, v: Vocabulary, chunk: int = CHUNK) -> DataF
     def matrices(batches):
         for b in batches:
             e = get()
-            b["m"] = [e.transfer(norm(s), low).tobytes() for s, low in zip(b["s"], b["low"], strict=True)]
-            yield b[["k1", "k2", "at", "m"]]
+            got = []
+            for s, low in zip(b["s"], b["low"], strict=True):
+                head, middle, tail = e.split(norm(s), low)
+                ids, base = (None, None) if middle is None else e.encode_marked([middle])[0]
+                # stored as text: its own space marks go back to what they were
+                got.append((e.matrix(head, tail, low, base).tobytes(), plain(head), None if middle is None else plain(tail), None if ids is None else ids.tobytes()))
+            b["m"], b["head"], b["tail"], b["ids"] = zip(*got, strict=True) if got else [()] * 4
+            yield b[["k1", "k2", "at", "low", "m", "head", "tail", "ids"]]
 
     def scan(b: pd.DataFrame) -> pd.DataFrame:
         b = b.sort_values("at", ignore_index=True)
@@ -445,14 +476,15 @@ def encode_chunked(texts: DataFrame, v: Vocabulary, chunk: int = CHUNK) -> DataF
         b["total"] = int(end)
         return b[["k1", "k2", "at", "vec", "total"]]
 
-    mats = rows.mapInPandas(tidied(matrices), "k1 bigint, k2 bigint, at bigint, m binary")
-    vecs = mats.groupBy("k1", "k2").applyInPandas(scan, "k1 bigint, k2 bigint, at bigint, vec binary, total bigint")
-    ready = stored(rows.join(vecs, ["k1", "k2", "at"]), "chunk-states")
+    # each chunk is encoded once; what lies between its walls is not needed as text again
+    mats = stored(rows.mapInPandas(tidied(matrices), "k1 bigint, k2 bigint, at bigint, low int, m binary, head string, tail string, ids binary"), "chunk-ids")
+    vecs = mats.select("k1", "k2", "at", "m").groupBy("k1", "k2").applyInPandas(scan, "k1 bigint, k2 bigint, at bigint, vec binary, total bigint")
+    ready = stored(mats.drop("m", "ids").join(vecs, ["k1", "k2", "at"]), "chunk-states")
 
     def maps(batches):
         for b in batches:
             e = get()
-            b["map"] = [e.exits(norm(s), low, np.frombuffer(x, np.int64)) for s, low, x in zip(b["s"], b["low"], b["vec"], strict=True)]
+            b["map"] = [e.leaves(norm(h), None if t is None else norm(t), low, np.frombuffer(x, np.int64)) for h, t, low, x in zip(b["head"], b["tail"], b["low"], b["vec"], strict=True)]
             yield b[["k1", "k2", "at", "map"]]
 
     def leave(b: pd.DataFrame) -> pd.DataFrame:
@@ -466,10 +498,14 @@ def encode_chunked(texts: DataFrame, v: Vocabulary, chunk: int = CHUNK) -> DataF
     def trace(batches):
         for b in batches:
             e = get()
-            b["part"] = [e.chunk_ids(norm(s), low, np.frombuffer(x, np.int64), j) for s, low, x, j in zip(b["s"], b["low"], b["vec"], b["leave"], strict=True)]
+            b["part"] = [
+                e.path(norm(h), None if i is None else np.frombuffer(i, np.int32), norm(t or ""), low, np.frombuffer(x, np.int64), j)
+                for h, t, i, low, x, j in zip(b["head"], b["tail"], b["ids"], b["low"], b["vec"], b["leave"], strict=True)
+            ]
             yield b[["k1", "k2", "at", "total", "part"]]
 
-    parts = ready.join(out_of, ["k1", "k2", "at"]).mapInPandas(tidied(trace), "k1 bigint, k2 bigint, at bigint, total bigint, part array<int>")
+    last = ready.join(out_of, ["k1", "k2", "at"]).join(mats.select("k1", "k2", "at", "ids"), ["k1", "k2", "at"])
+    parts = last.mapInPandas(tidied(trace), "k1 bigint, k2 bigint, at bigint, total bigint, part array<int>")
     whole = parts.groupBy("k1", "k2").agg(F.sort_array(F.collect_list(F.struct("at", "part"))).alias("ps"), F.min("total").alias("piece_score"))
     return whole.select("k1", "k2", F.flatten(F.transform("ps", lambda p: p["part"])).alias("ids"), "piece_score")
 

@@ -162,3 +162,25 @@ def test_pipeline_against_brute_force(spark, tmp_path):
     left = {i: t for i, t in cut if up[i] == i and sum(x[2] for x in _tiles(code(" ".join(item)).tolist(), code(t).tolist(), 5)) / 20 < 0.5}
     assert {i: r.text for i, r in got.items()} == left and 0 < len(left) < len(docs) - 2
     assert all(r.ids for r in got.values())
+
+
+def test_chunk_is_encoded_once(monkeypatch):
+    """Matrix, exits and ids of a chunk share one encoding of what lies between its walls."""
+    import numpy as np
+
+    from localgraph.llm import pieces
+
+    e = pieces.Encoder(pieces.Vocabulary.load())
+    calls, plain = [], e.encode_marked
+    monkeypatch.setattr(e, "encode_marked", lambda texts: calls.append(texts) or plain(texts))
+    text = "some words ▁ and\nlines of them  " * 6 + "w" * 60 + " end"
+    s, size, k = pieces.MARK + pieces.normalise(text), 40, e.width
+    assert pieces.plain(s) == " " + text
+    cuts = [(s[max(0, a - k + 1) : a + size], a - max(0, a - k + 1)) for a in range(0, len(s), size)]
+    parts = [(*e.split(*c), c[1]) for c in cuts]
+    got = [None if m is None else e.encode_marked([m])[0] for _, m, _, _ in parts]
+    vec = pieces.prefix_vectors([e.matrix(h, t, low, g and g[1]) for (h, _, t, low), g in zip(parts, got)])
+    leave = pieces.exit_states([e.leaves(h, None if m is None else t, low, x) for (h, m, t, low), x in zip(parts, vec)])
+    ids = np.concatenate([e.path(h, g and g[0], t, low, x, j) for (h, _, t, low), g, x, j in zip(parts, got, vec, leave)])
+    assert len(calls) == sum(m is not None for _, m, _, _ in parts) < len(parts)
+    assert ids.tolist() == e.encode([text])[0][0].tolist()
