@@ -7,6 +7,7 @@ import time
 import zlib
 
 import numpy as np
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -184,3 +185,16 @@ def test_chunk_is_encoded_once(monkeypatch):
     ids = np.concatenate([e.path(h, g and g[0], t, low, x, j) for (h, _, t, low), g, x, j in zip(parts, got, vec, leave)])
     assert len(calls) == sum(m is not None for _, m, _, _ in parts) < len(parts)
     assert ids.tolist() == e.encode([text])[0][0].tolist()
+
+
+@pytest.mark.parametrize("k", range(5))
+def test_pipeline_batches_end_by_bytes(spark, k):
+    """After any stage, 4,000 texts of 10 kB travel in batches of a few MB, not in one of 40 MB."""
+    import corpus_pipeline
+
+    own = spark.newSession()
+    docs = own.sql("SELECT id AS doc_id, concat(id, repeat(' some words', 900)) AS text, 'en' AS lang, 'a' AS source, 9900L AS n_chars FROM range(0, 4000, 1, 1)")
+    corpus_pipeline.STAGES[k][1](own, docs.limit(3), "/root/testdata/sf0.001")
+    sizes = docs.mapInPandas(lambda batches: (pd.DataFrame({"n": [int(b["text"].str.len().sum())]}) for b in batches), "n long").toPandas()["n"]
+    assert sizes.max() < 8 << 20
+    assert sizes.sum() == sum(9900 + len(str(i)) for i in range(4000))
