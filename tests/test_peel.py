@@ -1,5 +1,7 @@
 from fractions import Fraction
 
+import numpy as np
+
 from localgraph.graph import Graph
 from localgraph.operators import partition
 
@@ -57,3 +59,31 @@ def test_in_order_stops_at_rows_that_are_not_held():
     # a seed that is gone gives no run; a walk that now goes on past the rows at hand is not settled, nor is any later one
     assert got[2].hit is None and got[2].state == {} and got[3:] == [None, None]
     assert in_order([first, apart, beside], 5, limit=9) == [first, apart, None]
+
+
+def test_uniforms_of_tasks_are_those_of_plans(spark):
+    from localgraph.operators.sampling import sample_scale, scales_at, uniforms, uniforms_at
+
+    for seed, first in ((1, 0), (-7, 1 << 33)):
+        draws = uniforms(spark, seed, first, 500)
+        one, two = uniforms_at(seed, first, 500)
+        assert [(r.u1, r.u2) for r in draws.orderBy("draw").collect()] == list(zip(one.tolist(), two.tolist(), strict=True))
+        assert [r.b for r in sample_scale(9, draws).orderBy("draw").collect()] == scales_at(9, two).tolist()
+
+
+def small(spark):
+    """Two paths, two triangles with a bridge."""
+    ends = [(10 * c + i, 10 * c + i + 1) for c in range(2) for i in range(4 + c)] + [(90, 91), (90, 92), (92, 91), (92, 93), (93, 94), (93, 95), (94, 95)]
+    return Graph.from_edges(spark.createDataFrame(ends, "a long, b long")).kept()
+
+
+def test_held_splits_equal_partitions_by_plans(spark, monkeypatch):
+    """Two levels of parts that tasks split by themselves, without a batch of jobs, are those of `peel_partition`."""
+    g, o = small(spark), dict(batch=12, t_max=4, eps=1e-9, slope=1e-6, draws=12)
+    get = lambda: sorted(map(tuple, partition.peel_clusters(g, Fraction(9, 10), 0.5, 2, **o).collect()))
+    with monkeypatch.context() as m:
+        m.setattr(partition, "PART_VOL", 0, raising=False)
+        want = get()
+    assert len(want) == sum(1 for _ in g.vertices.collect()) and len({name for _, name in want}) > 2
+    monkeypatch.setattr(partition, "peel_partition", lambda *a, **k: 1 / 0)
+    assert get() == want
