@@ -87,3 +87,33 @@ def test_held_splits_equal_partitions_by_plans(spark, monkeypatch):
     assert len(want) == sum(1 for _ in g.vertices.collect()) and len({name for _, name in want}) > 2
     monkeypatch.setattr(partition, "peel_partition", lambda *a, **k: 1 / 0)
     assert get() == want
+
+
+def test_parts_are_split_until_nothing_is_found(spark, monkeypatch):
+    """No depth: more than two parts, the same ones if a task hands parts on and if no walk is compared with another."""
+    from localgraph.operators import held
+
+    g, o = small(spark), dict(t_max=4, eps=1e-9, slope=1e-6)
+    get = lambda: sorted(map(tuple, partition.peel_clusters(g, Fraction(9, 10), 0.5, **o).collect()))
+    want = get()
+    assert len(want) == g.vertices.count() and len({name for _, name in want}) > 2
+    monkeypatch.setattr(partition, "SPREAD_VOL", 12)
+    assert get() == want
+    monkeypatch.setattr(held, "NEAR_VOL", 0)
+    rows = g.near.rows.collect()
+    rule = held.Rule(partition.partition_phi(Fraction(9, 10)), 0.5, practical=o)
+    whole = lambda: held.Held([r.v for r in rows], [r.deg for r in rows], [len(r.nbrs) for r in rows], [u for r in rows for u in r.nbrs], rule)
+    first = whole()
+    assert sorted((int(first.ids[i]), name) for here, name, done in first.split("0", None, 0) for i in here if done) == want
+    # nothing is left to find in any part
+    for name in {n for _, n in want}:
+        at = [r for r in rows if (r.v, name) in want]
+        part = held.Held([r.v for r in at], [r.deg for r in at], [len(r.nbrs) for r in at], [u for r in at for u in r.nbrs], rule)
+        assert not len(part.peel(np.arange(len(at))))
+
+
+def test_recursive_query_goes_on_after_the_first_split(spark):
+    from localgraph.plans import methods
+
+    parts = [r.part for r in methods.QUERIES["pp_recursive"](spark, "/root/testdata/sf0.001").collect()]
+    assert len(set(parts)) > 2 and max(map(len, parts)) > 3
