@@ -15,7 +15,23 @@ from .sampling import scales_at, uniforms_at
 #: volume around a seed up to which walks are compared with others
 NEAR_VOL = 1 << 8
 #: outcomes kept of such walks
-KEPT = 1 << 15
+KEPT = 1 << 13
+#: draws whose uniforms are kept
+FIRST = 1 << 12
+#: of a process, as its parts are mostly alike: clusters by surroundings and run, uniforms by seed
+_OUTCOMES: dict[tuple, tuple | None] = {}
+_UNIFORMS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+
+
+def _drawn(seed: int, first: int, count: int) -> tuple[np.ndarray, np.ndarray]:
+    """`uniforms_at`, those of the first draws made once."""
+    if first + count > FIRST:
+        return uniforms_at(seed, first, count)
+    if seed not in _UNIFORMS:
+        _UNIFORMS.clear()
+        _UNIFORMS[seed] = uniforms_at(seed, 0, FIRST)
+    u1, u2 = _UNIFORMS[seed]
+    return u1[first : first + count], u2[first : first + count]
 
 
 @dataclass(frozen=True)
@@ -56,7 +72,6 @@ class Held:
         self.degs = np.asarray(deg, np.int64)[first]
         self.deg = self.degs.tolist()
         self.of, self.parts = [0] * n, 1
-        self.outcomes: dict[tuple, tuple | None] = {}
         self.runs: dict[tuple, tuple] = {}
 
     def around(self, v: int) -> list[int]:
@@ -104,7 +119,7 @@ class Held:
                 self.runs.clear()
             s = schedule(vol, self.rule.phi, b, **self.rule.practical)
             r = asdict(run_of(0, 0, s, pick=self.rule.pick))
-            self.runs[key] = r, s.t_last, (b, r["eps_units"], r["slope_units"], r["unit"], s.t_last)
+            self.runs[key] = r, s.t_last, (s.t_last, *r.values())
         return self.runs[key]
 
     def cluster(self, v: int, b: int, vol: int) -> list[int] | tuple | None:
@@ -115,20 +130,21 @@ class Held:
             order, form, size = near
             # the volume left tells for sets of more than half of it only
             key = (form, kind, vol if 2 * size > vol else 0)
-            if key in self.outcomes:
-                got = self.outcomes[key]
+            if key in _OUTCOMES:
+                got = _OUTCOMES[key]
                 return got and [order[i] for i in got]
         ball = Ball(run | {"seed": v}, vol)
         while ball.hit is None and ball.t < steps and (need := ball.missing()):
+            need = need if near is None else order
             rows = [self.around(x) for x in need]
             deg, count = self.degs[need], np.array([len(x) for x in rows], np.int64)
             ball.take_rows(np.array(need, np.int64), deg, deg - count, np.zeros(len(need), np.int64), count, np.array([u for x in rows for u in x], np.int64))
             ball.advance(steps)
         if key is not None:
-            if len(self.outcomes) >= KEPT:
-                self.outcomes.clear()
+            if len(_OUTCOMES) >= KEPT:
+                _OUTCOMES.clear()
             place = {x: i for i, x in enumerate(order)}
-            self.outcomes[key] = ball.hit and tuple(place[x] for x in ball.hit)
+            _OUTCOMES[key] = ball.hit and tuple(place[x] for x in ball.hit)
         return ball.hit
 
     def peel(self, here: np.ndarray) -> np.ndarray:
@@ -142,7 +158,7 @@ class Held:
         seeds, gone, without, at, n = np.append(here, -1), [], set(), 0, 64
         while at < budget and 4 * left >= 3 * vol:
             n = min(n, budget - at)
-            u1, u2 = uniforms_at(rule.seed, at, n)
+            u1, u2 = _drawn(rule.seed, at, n)
             drawn = seeds[np.searchsorted(ends, np.floor(u1 * float(vol)), "right")].tolist()
             ell, scale = 0, []
             for k, v in enumerate(drawn):
@@ -177,6 +193,8 @@ class Held:
             elif self.degs[here].sum() <= enough:
                 yield here, name, False
             elif len(gone := self.peel(here)):
-                todo += [(gone, name + "1"), (np.setdiff1d(here, gone, assume_unique=True), name + "0")]
+                rest = np.ones(len(here), bool)
+                rest[np.searchsorted(here, gone)] = False
+                todo += [(gone, name + "1"), (here[rest], name + "0")]
             else:
                 yield here, name, True
